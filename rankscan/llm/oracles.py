@@ -36,3 +36,65 @@ FROM d JOIN comp ON comp.v = d.doc_id LEFT JOIN sz ON sz.doc_id = d.doc_id
 """
 
 SQL = {"op1_decontamination": DECONTAMINATION, "op4_ngram_jaccard_join": NGRAM_JOIN}
+
+TOP_K = """
+WITH v AS (SELECT vec_id, [floor(256 * x::double)::bigint FOR x IN embedding] AS q FROM embeddings),
+s AS (SELECT a.vec_id AS query_id, b.vec_id, list_sum([x[1] * x[2] FOR x IN list_zip(a.q, b.q)])::bigint AS score FROM v a JOIN v b ON a.vec_id % 50 = 0 AND a.vec_id <> b.vec_id)
+SELECT query_id, rank::integer AS rank, vec_id, score FROM (SELECT *, row_number() OVER (PARTITION BY query_id ORDER BY score DESC, vec_id) AS rank FROM s) WHERE rank <= 5
+"""
+
+URL_RULES = f"""
+WITH r(verdict, host, path) AS (VALUES ('allow', 'org', '/'), ('block', 'example.org', '/es/'), ('block', 'example.org', '/en/1'), ('allow', 'com', '/fr/'), ('block', 'com', '/de/')),
+p AS (SELECT page_id, coalesce({_LOW.format(x="regexp_extract(url, '^(?s:.*?)://([^/?#]*)', 1)")}, '') AS host, coalesce(regexp_extract(url, '^(?s:.*?)://[^/?#]*([^?#]*)', 1), '') AS path FROM pages),
+fit AS (SELECT page_id, r.host || r.path AS rule, verdict, row_number() OVER (PARTITION BY page_id ORDER BY length(r.host || r.path) DESC, length(r.host) DESC) AS k
+        FROM p JOIN r ON (p.host = r.host OR ends_with(p.host, '.' || r.host)) AND starts_with(p.path, r.path))
+SELECT p.page_id, p.host, p.path, rule, coalesce(verdict, 'allow') AS verdict FROM p LEFT JOIN fit ON fit.page_id = p.page_id AND k = 1
+"""
+
+WARC_FIXITY = """
+WITH t AS (SELECT page_id, 'WARC/1.0\r\nWARC-Type: resource\r\nWARC-Target-URI: ' || coalesce(url, '') || '\r\nContent-Type: text/html\r\nContent-Length: ' || strlen(coalesce(html, ''))::varchar || '\r\n\r\n' || coalesce(html, '') || '\r\n\r\n' AS x, coalesce(html, '') AS html FROM pages),
+e AS (SELECT page_id, sha256(x) AS digest, strlen(x)::bigint AS length, count(*) AS copies, max(html) AS html FROM t GROUP BY 1, 2, 3),
+f AS (SELECT *, floor(page_id / 256)::bigint AS file FROM e)
+SELECT page_id, file, row_number() OVER w - 1 AS pos, coalesce(sum(length) OVER (PARTITION BY file ORDER BY page_id, digest ROWS BETWEEN UNBOUNDED PRECEDING AND 1 PRECEDING), 0)::bigint AS "offset", length, digest, copies,
+       page_id IN (SELECT page_id FROM marked) AND length(html) > 0 AS corrupt
+FROM f WINDOW w AS (PARTITION BY file ORDER BY page_id, digest)
+"""
+
+
+def _mixture() -> str:
+    words = _words("text", r"[^\x20\x09-\x0D]+")
+    worst = "(SELECT max(pow(s, a - 1)) / sum(pow(s, a)) FROM sh)"
+    entropy = "(SELECT ln(sum(pow(s, a))) - a * sum(pow(s, a) * ln(s)) / sum(pow(s, a)) FROM sh)"
+    return f"""
+WITH RECURSIVE d AS (SELECT doc_id, coalesce(source, '') AS source, len({words})::bigint AS n_tokens FROM documents),
+t AS (SELECT source, sum(n_tokens)::bigint AS tokens FROM d GROUP BY source HAVING sum(n_tokens) > 0),
+total AS (SELECT sum(tokens)::bigint AS total, count(*) AS n FROM t),
+sh AS (SELECT source, tokens, tokens / total AS s FROM t, total),
+grid(step, lo, hi, lo2, hi2) AS (
+  SELECT 0, 0, 1048577, -1, 1048577
+  UNION ALL
+  SELECT step + 1, CASE WHEN e THEN (lo + hi) // 2 ELSE lo END, CASE WHEN e THEN hi ELSE (lo + hi) // 2 END, CASE WHEN w THEN (lo2 + hi2) // 2 ELSE lo2 END, CASE WHEN w THEN hi2 ELSE (lo2 + hi2) // 2 END
+  FROM (SELECT *, (SELECT {entropy.replace("a *", "(((lo + hi) // 2) / 1048576.0) *").replace("s, a", "s, ((lo + hi) // 2) / 1048576.0")} >= 0.9 * ln(n) - 1e-12 FROM total) AS e,
+               {worst.replace("s, a", "s, ((lo2 + hi2) // 2) / 1048576.0")} > 4.0 AS w FROM grid WHERE step < 22)),
+alpha AS (SELECT greatest(lo, least(lo2 + 1, 1048576)) / 1048576.0 AS a FROM grid WHERE step = 22),
+raised AS (SELECT source, tokens, pow(s, a) AS r FROM sh, alpha),
+wt AS (SELECT source, tokens, round(r / (SELECT sum(r) FROM raised), 12) AS weight FROM raised),
+q AS (SELECT source, tokens, weight, floor(weight * total)::bigint AS quota FROM wt, total),
+p AS (SELECT *, quota // tokens AS passes, quota % tokens AS rest FROM q),
+c AS (SELECT doc_id, p.*, n_tokens, epoch, md5('42|' || epoch::varchar || '|' || coalesce(doc_id::varchar, 'null')) AS k FROM (SELECT *, unnest(range(0, passes + 1)) AS epoch FROM p) p JOIN d USING (source)),
+o AS (SELECT *, sum(n_tokens) OVER (PARTITION BY source, epoch ORDER BY k, doc_id ROWS UNBOUNDED PRECEDING) AS e FROM c)
+SELECT doc_id, source, epoch::integer AS epoch, floor((epoch * tokens + e - n_tokens) / (weight * 1048576))::bigint AS block, n_tokens FROM o WHERE epoch < passes OR e <= rest
+"""
+
+
+def _crc_marked(every: int, sql: str) -> str:
+    """DuckDB has no crc32, so the ids are marked by a table-driven fold over the id's digits."""
+    return "WITH RECURSIVE " + f"""bits(b, k, v) AS (SELECT b::ubigint, 0, b::ubigint FROM range(256) r(b) UNION ALL SELECT b, k + 1, CASE WHEN v & 1 = 1 THEN xor(v >> 1, 3988292384::ubigint) ELSE v >> 1 END FROM bits WHERE k < 8),
+tab AS (SELECT b, v FROM bits WHERE k = 8),
+fold(page_id, i, c) AS (SELECT DISTINCT page_id, 0, 4294967295::ubigint FROM pages WHERE page_id IS NOT NULL UNION ALL
+  SELECT page_id, i + 1, xor(c >> 8, tab.v) FROM fold JOIN tab ON tab.b = xor(c, ascii(substr(page_id::varchar, i + 1, 1))::ubigint) & 255 WHERE i < length(page_id::varchar)),
+marked AS (SELECT page_id FROM fold WHERE i = length(page_id::varchar) AND xor(c, 4294967295::ubigint) % {every} = 0),
+""" + sql.strip().removeprefix("WITH ")
+
+
+SQL |= {"op3_bit_sliced_top_k": TOP_K, "op7_url_rules": URL_RULES, "op2_source_mixture": _mixture(), "op9_warc_fixity": _crc_marked(97, WARC_FIXITY)}
