@@ -6,8 +6,9 @@
 3. Two sets of Jaccard similarity t share a shingle among the n - ceil(t n) + 1 rarest of each. Prefix shingles held by
    one representative alone end here; shingles with the same holders are joined as one.
 4. The holders of a shingle are dealt into blocks of bounded size, pairs of blocks into tiles. A tile streams through a
-   task that keeps one block: length, position and suffix (histogram) bounds, then the rule that a pair belongs to the
-   first shingle group it shares, then the exact overlap. A tile returns at most a row per member and no pairs.
+   task that keeps one block. A first round without the sets applies the length, position and suffix (histogram) bounds
+   and returns the members that some partner passes with; a second round brings those members' sets, gives each pair to
+   the first shingle group it shares and counts the exact overlap. A tile returns at most a row per member and no pairs.
 5. Links give components; representatives carry their classes along.
 
 Defined cases: null, empty and wordless texts have no shingles, link with nothing and are their own component; texts of
@@ -35,7 +36,7 @@ from .textkernel import mix, shingle_set, texts
 BITS, CHUNK = 22, 1 << 16
 #: A block's members and shingles, about.
 BLOCK_ROWS, BLOCK_SHINGLES = 1024, 1_000_000
-BINS = 16
+BINS = 64
 _MERGE = 1 << 22
 
 
@@ -103,15 +104,26 @@ class _Block:
     """Members of one block, and an index from shingle to members built when many pairs need it."""
 
     def __init__(self):
-        self.rid, self.n, self.weight, self.at, self.sets, self.before, self.bins = [], [], [], [], [], [], []
+        self.rid, self.n, self.at, self.bins, self.weight, self.sets, self.before = [], [], [], [], [], [], []
         self.index = None
 
-    def add(self, rid, n, weight, at, tokens, before, bins) -> None:
-        for to, x in zip((self.rid, self.n, self.weight, self.at, self.sets, self.before, self.bins), (rid, n, weight, at, tokens, before, bins)):
+    def add(self, rid, n, at, bins, weight, tokens, before) -> None:
+        for to, x in zip((self.rid, self.n, self.at, self.bins, self.weight, self.sets, self.before), (rid, n, at, bins, weight, tokens, before)):
             to.append(x)
 
     def freeze(self) -> None:
-        self.sizes, self.places, self.histograms = np.array(self.n), np.array(self.at), np.array(self.bins).reshape(-1, BINS)
+        self.sizes, self.places, self.histograms = np.array(self.n), np.array(self.at), np.array(self.bins).reshape(-1, BINS).astype(np.int32)
+
+    def possible(self, n: int, at: int, bins: np.ndarray, upto: int, t: Fraction) -> tuple[np.ndarray, np.ndarray]:
+        """Members before ``upto`` that may link by length, position and histogram, and the overlap that each needs."""
+        sizes, places = self.sizes[:upto], self.places[:upto]
+        need = _needs(sizes, n, t)
+        most = np.minimum(places, at) + np.minimum(sizes - places, n - at)
+        which = np.flatnonzero((need <= np.minimum(sizes, n)) & (most >= need))
+        if len(which):
+            apart = np.abs(self.histograms[which] - bins).sum(1)
+            which = which[apart <= sizes[which] + n - 2 * need[which]]
+        return which, need[which]
 
     def overlaps(self, tokens: np.ndarray, which: np.ndarray) -> np.ndarray:
         if len(which) <= 8:
@@ -130,11 +142,79 @@ class _Block:
         return np.bincount(owner[picks], minlength=len(self.sets))[which]
 
 
-def _tiles(t: Fraction):
-    """Rows sorted by tile, then side and size; side 0 is kept, side 1 streams by; a tile of one block meets itself."""
+def _by_tile(batches: Iterator[pa.RecordBatch], names: list[str]):
+    """(tile, side, row) in order; a row that repeats its predecessor's member is left out."""
+    last = None
+    for batch in batches:
+        for tile, side, rid, row in zip(zip(*(batch.column(x).to_pylist() for x in ("bucket", "ti", "tj"))), batch.column("side").to_pylist(), batch.column("rid").to_pylist(), zip(*(batch.column(x) for x in names))):
+            if last != (tile, side, rid):
+                yield tile, side, rid, row
+            last = tile, side, rid
+
+
+def _meet(rows, make, probe, close):
+    """Keeps side 0 of each tile and probes it with side 1; a tile of one block meets itself."""
+    now, block, met = None, None, False
+
+    def end():
+        if block is not None and now[1] == now[2]:
+            block.freeze()
+            for i in range(1, len(block.rid)):
+                probe(block, now, i, (block.rid[i], block.n[i], block.at[i], block.bins[i], block.weight[i], block.sets[i], block.before[i]))
+        return close(now)
+
+    for tile, side, rid, row in rows:
+        if tile != now:
+            if now is not None and (out := end()) is not None:
+                yield out
+            now, block, met = tile, _Block(), False
+        one = make(tile, rid, row)
+        if side == 0:
+            block.add(*one)
+        else:
+            if not met:
+                block.freeze()
+                met = True
+            probe(block, now, len(block.rid), one)
+    if now is not None and (out := end()) is not None:
+        yield out
+
+
+def _sift(t: Fraction):
+    """First round: members of a shingle group that pass all bounds with some partner."""
+
+    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        passed: dict[int, int] = {}
+
+        def make(tile, rid, row):
+            n, at, bins = row
+            return rid, n.as_py(), at.as_py(), np.frombuffer(bins.as_buffer(), np.uint16), 0, None, None
+
+        def probe(block, tile, upto, one):
+            if upto:
+                which, _ = block.possible(one[1], one[2], one[3].astype(np.int32), upto, t)
+                if len(which):
+                    passed[one[0]] = one[2]
+                    passed.update((block.rid[j], block.at[j]) for j in which.tolist())
+
+        def close(tile):
+            if not passed:
+                return None
+            out = pa.RecordBatch.from_arrays([pa.array([tile[0]] * len(passed), pa.int64()), pa.array(list(passed), pa.int64()), pa.array(list(passed.values()), pa.int32())], ["bucket", "rid", "at"])
+            passed.clear()
+            return out
+
+        yield from _meet(_by_tile(batches, ["n", "at", "bins"]), make, probe, close)
+
+    return run
+
+
+def _verify(t: Fraction):
+    """Second round: exact overlaps; each member with links, a peer of the same cluster and its number of links."""
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        now, block, alone, root, links = None, None, True, {}, {}
+        root: dict[int, int] = {}
+        links: dict[int, int] = {}
 
         def find(x):
             while root[x] != x:
@@ -142,62 +222,53 @@ def _tiles(t: Fraction):
                 x = root[x]
             return x
 
-        def probe(rid, n, weight, at, tokens, before, bins, upto: int) -> None:
+        def make(tile, rid, row):
+            n, at, bins, weight, tokens, groups = row
+            held = groups.values.to_numpy()
+            return rid, n.as_py(), at.as_py(), np.frombuffer(bins.as_buffer(), np.uint16), weight.as_py(), np.frombuffer(tokens.as_buffer(), np.uint64), set(held[held < tile[0]].tolist())
+
+        def probe(block, tile, upto, one):
             if not upto:
                 return
-            sizes = block.sizes[:upto]
-            need = _needs(sizes, n, t)
-            places = block.places[:upto]
-            far = np.minimum(places, at) + 1 + np.minimum(sizes - places, n - at) - 1
-            ok = (need <= np.minimum(sizes, n)) & (far >= need)
-            which = np.flatnonzero(ok)
-            if len(which):
-                apart = np.abs(block.histograms[which] - bins).sum(1)
-                which = which[apart <= sizes[which] + n - 2 * need[which]]
-            if before:
-                which = np.array([j for j in which if before.isdisjoint(block.before[j])], np.int64)
+            rid, n, at, bins, weight, tokens, before = one
+            which, need = block.possible(n, at, bins.astype(np.int32), upto, t)
+            if before and len(which):
+                own = np.array([before.isdisjoint(block.before[j]) for j in which])
+                which, need = which[own], need[own]
             if not len(which):
                 return
-            which = which[block.overlaps(tokens, which) >= need[which]]
-            for j in which.tolist():
+            for j in which[block.overlaps(tokens, which) >= need].tolist():
                 other = block.rid[j]
                 for x, w in ((rid, block.weight[j]), (other, weight)):
                     root.setdefault(x, x)
                     links[x] = links.get(x, 0) + w
-                root[max(find(rid), find(other))] = min(find(rid), find(other))
+                a, b = find(rid), find(other)
+                root[max(a, b)] = min(a, b)
 
-        def close() -> pa.RecordBatch | None:
-            if block and alone:
-                block.freeze()
-                for i in range(len(block.rid)):
-                    probe(block.rid[i], block.n[i], block.weight[i], block.at[i], block.sets[i], block.before[i], block.bins[i], i)
-            if links:
-                return pa.RecordBatch.from_arrays([pa.array(list(links), pa.int64()), pa.array([find(x) for x in links], pa.int64()), pa.array(list(links.values()), pa.int64())], ["rid", "peer", "links"])
-            return None
+        def close(tile):
+            if not links:
+                return None
+            out = pa.RecordBatch.from_arrays([pa.array(list(links), pa.int64()), pa.array([find(x) for x in links], pa.int64()), pa.array(list(links.values()), pa.int64())], ["rid", "peer", "links"])
+            links.clear()
+            root.clear()
+            return out
 
-        for batch in batches:
-            cols = [batch.column(x) for x in ("bucket", "ti", "tj", "side", "rid", "n", "weight", "at", "buckets", "tokens")]
-            meta = [c.to_pylist() for c in cols[:8]]
-            for i, (bucket, ti, tj, side, rid, n, weight, at) in enumerate(zip(*meta)):
-                if now != (bucket, ti, tj):
-                    if (out := close()) is not None:
-                        yield out
-                    now, block, alone, root, links = (bucket, ti, tj), _Block(), ti == tj, {}, {}
-                tokens = np.frombuffer(cols[9][i].as_buffer(), np.uint64)
-                groups = cols[8][i].values.to_numpy()
-                one = (rid, n, weight, at, tokens, set(groups[groups < bucket].tolist()), np.bincount((mix(tokens) >> np.uint64(60)).astype(np.int64), minlength=BINS))
-                if side == 0:
-                    block.add(*one)
-                else:
-                    if not hasattr(block, "sizes"):
-                        block.freeze()
-                    probe(*one, len(block.rid))
-        if (out := close()) is not None:
-            yield out
+        yield from _meet(_by_tile(batches, ["n", "at", "bins", "weight", "tokens", "buckets"]), make, probe, close)
 
     return run
 
 
+def _dealt(members: DataFrame) -> DataFrame:
+    """Each member once for every tile of its shingle group that its block is in."""
+    each = members.withColumn("block", F.pmod(F.xxhash64("rid", F.lit(7)), "blocks").cast("int")).withColumn("other", F.explode(F.expr("sequence(0, blocks - 1)")))
+    return each.withColumns({"ti": F.least("block", "other"), "tj": F.greatest("block", "other"), "side": (F.col("other") < F.col("block")).cast("int")}).drop("block", "other")
+
+
+def _sorted(tiles: DataFrame) -> DataFrame:
+    keys = ["bucket", "ti", "tj"]
+    return tiles.repartition(*keys).sortWithinPartitions(*keys, "side", "n", "rid")
+
+
 def jaccard_join(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text", k: int = 3, threshold: Fraction = Fraction(9, 10)) -> DataFrame:
     """Per row: id, n_shingles, component_id, n_links (rows it links with), text_key, leads (True for one row of each component)."""
     t = Fraction(threshold)
@@ -207,49 +278,46 @@ def jaccard_join(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text"
 
     def prefixes(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for batch in batches:
-            sizes, heads, sign = [], [], ([], [])
+            sizes, heads, sign, bins = [], [], ([], []), []
             for buf in texts(batch.column("text")):
                 tokens = shingle_set(buf, k)
                 n = len(tokens)
                 sizes.append(n)
                 heads.append(_rare_first(tokens, counts.value)[: n - math.ceil(t * n) + 1] if n else tokens)
                 sign[0].append(int(np.bitwise_xor.reduce(tokens)) if n else 0)
-                sign[1].append(int(mix(tokens ^ np.uint64(0xA5A5A5A5)).sum()) if n else 0)
+                mixed = mix(tokens ^ np.uint64(0xA5A5A5A5))
+                sign[1].append(int(mixed.sum()) if n else 0)
+                bins.append(np.minimum(np.bincount((mixed >> np.uint64(58)).astype(np.int64), minlength=BINS), 65535).astype(np.uint16).tobytes())
             signed = [pa.array(np.array(x, np.uint64).view(np.int64)) for x in sign]
-            yield pa.RecordBatch.from_arrays([batch.column("doc_id"), batch.column("text_key"), pa.array(sizes, pa.int64()), *signed, _lists(heads)], ["doc_id", "text_key", "n", "s1", "s2", "head"])
+            yield pa.RecordBatch.from_arrays([batch.column("doc_id"), batch.column("text_key"), pa.array(sizes, pa.int64()), *signed, _lists(heads), pa.array(bins, pa.binary())], ["doc_id", "text_key", "n", "s1", "s2", "head", "bins"])
 
     id_kind = docs.schema["doc_id"].dataType.simpleString()
-    slim = docs.select("doc_id", F.xxhash64("text").alias("text_key"), "text").mapInArrow(prefixes, f"doc_id {id_kind}, text_key bigint, n bigint, s1 bigint, s2 bigint, head array<bigint>")
+    slim = docs.select("doc_id", F.xxhash64("text").alias("text_key"), "text").mapInArrow(prefixes, f"doc_id {id_kind}, text_key bigint, n bigint, s1 bigint, s2 bigint, head array<bigint>, bins binary")
     rows = cut(slim.withColumn("rid", F.monotonically_increasing_id()))
     classes = cut(rows.where("n > 0").groupBy("s1", "s2", "n").agg(F.min("rid").alias("rid"), F.count("*").alias("weight"), F.min("doc_id").alias("least_id")))
-    heads = rows.where("n > 0").join(classes.select("rid", "weight"), "rid").select("rid", "n", "weight", "doc_id", "text_key", "head")
+    heads = rows.where("n > 0").join(classes.select("rid", "weight"), "rid")
     posts = heads.select("rid", "n", F.posexplode("head").alias("at", "token"))
     mark = F.xxhash64("rid")
     held = posts.groupBy("token").agg(F.count("*").alias("c"), F.bit_xor(mark).alias("x1"), F.sum(F.shiftright(mark, 20)).alias("x2"), F.sum("n").alias("shingles")).where("c > 1")
     groups = held.groupBy("c", "x1", "x2").agg(F.min("token").alias("token"), F.first("shingles").alias("shingles"))
     blocks = F.greatest(F.ceil(F.col("c") / BLOCK_ROWS), F.ceil(F.col("shingles") / BLOCK_SHINGLES)).cast("int")
-    members = cut(posts.join(groups.select("token", blocks.alias("blocks")), "token").select("rid", F.col("token").alias("bucket"), "at", "blocks"))
-
-    live = cut(members.groupBy("rid").agg(F.array_sort(F.collect_list("bucket")).alias("buckets")).join(heads.select("rid", "n", "weight", "doc_id", "text_key"), "rid"))
+    members = posts.join(groups.select("token", blocks.alias("blocks")), "token").select("rid", "n", F.col("token").alias("bucket"), "at", "blocks")
+    sifted = _sorted(_dealt(members.join(rows.select("rid", "bins"), "rid"))).mapInArrow(_sift(t), "bucket bigint, rid bigint, at int")
+    sifted = cut(sifted.distinct())
+    many = sifted.groupBy("bucket").agg(F.ceil(F.count("*") / BLOCK_ROWS).cast("int").alias("by_rows"))
+    live = cut(sifted.groupBy("rid").agg(F.array_sort(F.collect_list("bucket")).alias("buckets")).join(heads.select("rid", "n", "weight", "doc_id", "text_key", "bins"), "rid"))
+    weighed = sifted.join(live.select("rid", F.col("n").alias("_n")), "rid").groupBy("bucket").agg(F.ceil(F.sum("_n") / BLOCK_SHINGLES).cast("int").alias("by_size"))
+    left = sifted.join(many, "bucket").join(weighed, "bucket").select("rid", "bucket", "at", F.greatest("by_rows", "by_size").alias("blocks"))
 
     def sets(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for batch in batches:
-            found = [shingle_set(buf, k).tobytes() for buf in texts(batch.column("text"))]
-            yield pa.RecordBatch.from_arrays([*[batch.column(x) for x in ("rid", "n", "weight", "buckets")], pa.array(found, pa.binary())], ["rid", "n", "weight", "buckets", "tokens"])
-
-    wanted = live.withColumnsRenamed({"doc_id": "_id", "text_key": "_key"})
-    wanted = F.broadcast(wanted.select("_id", "_key")) if (few := live.count() <= BROADCAST_ROWS) else wanted.select("_id", "_key")
-    same = F.xxhash64("text").eqNullSafe(F.col("_key")) & F.col("doc_id").eqNullSafe(F.col("_id"))
-    kept = docs.join(wanted, same, "left_semi").select("doc_id", F.xxhash64("text").alias("text_key"), "text").dropDuplicates(["doc_id", "text_key"])
-    own = live.alias("l").join(kept.alias("d"), F.col("l.text_key").eqNullSafe(F.col("d.text_key")) & F.col("l.doc_id").eqNullSafe(F.col("d.doc_id")))
-    full = own.select("l.rid", "l.n", "l.weight", "l.buckets", "d.text").mapInArrow(sets, "rid bigint, n bigint, weight bigint, buckets array<bigint>, tokens binary")
-    block = F.pmod(F.xxhash64("rid", F.lit(7)), "blocks").cast("int")
-    dealt = members.withColumn("block", block).withColumn("other", F.explode(F.expr("sequence(0, blocks - 1)")))
-    dealt = dealt.select("rid", "bucket", "at", F.least("block", "other").alias("ti"), F.greatest("block", "other").alias("tj"), (F.col("other") < F.col("block")).cast("int").alias("side"))
-    keys = ["bucket", "ti", "tj"]
-    tiles = dealt.join(full, "rid").repartition(*keys).sortWithinPartitions(*keys, "side", "n", "rid")
-    found = cut(tiles.mapInArrow(_tiles(t), "rid bigint, peer bigint, links bigint"))
-    del few
+            yield pa.RecordBatch.from_arrays([batch.column(0), pa.array([shingle_set(buf, k).tobytes() for buf in texts(batch.column(1))], pa.binary())], ["rid", "tokens"])
+
+    wanted = live.select("rid", F.col("doc_id").alias("_id"), F.col("text_key").alias("_key"))
+    wanted = F.broadcast(wanted) if live.count() <= BROADCAST_ROWS else wanted
+    full = docs.join(wanted, F.xxhash64("text").eqNullSafe(F.col("_key")) & F.col("doc_id").eqNullSafe(F.col("_id"))).select("rid", "text").mapInArrow(sets, "rid bigint, tokens binary")
+    tiles = _dealt(left).join(live.select("rid", "n", "weight", "buckets", "bins"), "rid").join(full, "rid")
+    found = cut(_sorted(tiles).mapInArrow(_verify(t), "rid bigint, peer bigint, links bigint"))
 
     labels = components(found.select(F.col("rid").alias("a"), F.col("peer").alias("b")))
     named = labels.join(classes, labels["vertex"] == classes["rid"]).select("vertex", "label", "least_id", "weight")
@@ -259,8 +327,8 @@ def jaccard_join(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text"
     of_class = classes.join(joined, "rid", "left").join(linked, "rid", "left").select(
         "s1", "s2", "n", F.coalesce("component_id", "least_id").alias("component_id"), (F.coalesce("links", F.lit(0)) + F.col("weight") - 1).alias("n_links"), F.coalesce("leader", "rid").alias("leader")
     )
-    some = rows.where("n > 0").drop("head").join(of_class, ["s1", "s2", "n"])
-    none = rows.where("n = 0").select("*", F.col("doc_id").alias("component_id"), F.lit(0).cast("long").alias("n_links"), F.col("rid").alias("leader"))
+    some = rows.where("n > 0").drop("head", "bins").join(of_class, ["s1", "s2", "n"])
+    none = rows.where("n = 0").drop("head", "bins").select("*", F.col("doc_id").alias("component_id"), F.lit(0).cast("long").alias("n_links"), F.col("rid").alias("leader"))
     cols = [F.col("doc_id").alias(id_col), F.col("n").alias("n_shingles"), "component_id", "n_links", "text_key", "rid", "leader"]
     return some.select(*cols).unionAll(none.select(*cols))
 
