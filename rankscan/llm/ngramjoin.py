@@ -4,11 +4,11 @@
    buckets, summed exactly) gives the rarity order; any total order keeps the join exact, a good one keeps it small.
 2. Texts of equal sets form a class; one representative goes on, so copies never meet each other.
 3. Two sets of Jaccard similarity t share a shingle among the n - ceil(t n) + 1 rarest of each. Prefix shingles held by
-   one representative alone end here; shingles with the same holders are joined as one.
+   one representative alone end here.
 4. The holders of a shingle are dealt into blocks of bounded size, pairs of blocks into tiles. A tile streams through a
    task that keeps one block. A first round without the sets applies the length, position and suffix (histogram) bounds
-   and returns the members that some partner passes with; a second round brings those members' sets, gives each pair to
-   the first shingle group it shares and counts the exact overlap. A tile returns at most a row per member and no pairs.
+   and returns the members that some partner passes with; groups left with the same members become one. A second round
+   brings the members' sets, gives each pair to the first group it shares and counts the exact overlap. A tile returns at most a row per member and no pairs.
 5. Links give components; representatives carry their classes along.
 
 Defined cases: null, empty and wordless texts have no shingles, link with nothing and are their own component; texts of
@@ -297,17 +297,18 @@ def jaccard_join(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text"
     classes = cut(rows.where("n > 0").groupBy("s1", "s2", "n").agg(F.min("rid").alias("rid"), F.count("*").alias("weight"), F.min("doc_id").alias("least_id")))
     heads = rows.where("n > 0").join(classes.select("rid", "weight"), "rid")
     posts = heads.select("rid", "n", F.posexplode("head").alias("at", "token"))
-    mark = F.xxhash64("rid")
-    held = posts.groupBy("token").agg(F.count("*").alias("c"), F.bit_xor(mark).alias("x1"), F.sum(F.shiftright(mark, 20)).alias("x2"), F.sum("n").alias("shingles")).where("c > 1")
-    groups = held.groupBy("c", "x1", "x2").agg(F.min("token").alias("token"), F.first("shingles").alias("shingles"))
-    blocks = F.greatest(F.ceil(F.col("c") / BLOCK_ROWS), F.ceil(F.col("shingles") / BLOCK_SHINGLES)).cast("int")
-    members = posts.join(groups.select("token", blocks.alias("blocks")), "token").select("rid", "n", F.col("token").alias("bucket"), "at", "blocks")
+    held = posts.groupBy("token").agg(F.count("*").alias("c")).where("c > 1").select("token", F.ceil(F.col("c") / BLOCK_ROWS).cast("int").alias("blocks"))
+    members = posts.join(held, "token").select("rid", "n", F.col("token").alias("bucket"), "at", "blocks")
     sifted = _sorted(_dealt(members.join(rows.select("rid", "bins"), "rid"))).mapInArrow(_sift(t), "bucket bigint, rid bigint, at int")
     sifted = cut(sifted.distinct())
-    many = sifted.groupBy("bucket").agg(F.ceil(F.count("*") / BLOCK_ROWS).cast("int").alias("by_rows"))
+    mark = F.xxhash64("rid")
+    sizes = sifted.groupBy("bucket").agg(F.count("*").alias("c"), F.bit_xor(mark).alias("x1"), F.sum(F.shiftright(mark, 20)).alias("x2"))
+    groups = sizes.groupBy("c", "x1", "x2").agg(F.min("bucket").alias("bucket"))
+    many = groups.select("bucket", F.ceil(F.col("c") / BLOCK_ROWS).cast("int").alias("by_rows"))
+    sifted = cut(sifted.join(many, "bucket"))
     live = cut(sifted.groupBy("rid").agg(F.array_sort(F.collect_list("bucket")).alias("buckets")).join(heads.select("rid", "n", "weight", "doc_id", "text_key", "bins"), "rid"))
     weighed = sifted.join(live.select("rid", F.col("n").alias("_n")), "rid").groupBy("bucket").agg(F.ceil(F.sum("_n") / BLOCK_SHINGLES).cast("int").alias("by_size"))
-    left = sifted.join(many, "bucket").join(weighed, "bucket").select("rid", "bucket", "at", F.greatest("by_rows", "by_size").alias("blocks"))
+    left = sifted.join(weighed, "bucket").select("rid", "bucket", "at", F.greatest("by_rows", "by_size").alias("blocks"))
 
     def sets(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for batch in batches:
