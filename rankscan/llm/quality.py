@@ -59,42 +59,43 @@ def measures(buf: np.ndarray) -> np.ndarray:
     return np.concatenate([kinds, more])
 
 
+def _sigmoid(z: np.ndarray) -> np.ndarray:
+    return 1 / (1 + np.exp(-np.clip(z, -30, 30)))
+
+
 def _placed(x: np.ndarray, cuts: np.ndarray) -> np.ndarray:
     """Each measure's place, as an index over all places."""
     return np.stack([np.searchsorted(cuts[j], x[:, j], "right") + j * (PLACES + 1) for j in range(x.shape[1])], 1)
 
 
-def fit_nonnegative(positive: np.ndarray, unlabelled: np.ndarray, prior: float, steps: int = 400, decay: float = 1e-4) -> tuple[np.ndarray, np.ndarray, float]:
-    """Cuts, weights and bias that minimise pi R+(P) + max(0, R-(U) - pi R-(P)) with the logistic loss.
+def fit_nonnegative(positive: np.ndarray, unlabelled: np.ndarray, prior: float, steps: int = 500, decay: float = 3e-4) -> tuple[np.ndarray, np.ndarray, float]:
+    """Cuts, weights and bias that minimise pi R+(P) + max(0, R-(U) - pi R-(P)) with the sigmoid loss.
 
     Where the bracket falls below 0, the step climbs it back instead, as the non-negative estimator asks.
     """
-    cuts = np.quantile(unlabelled, np.linspace(0, 1, PLACES + 1)[1:-1], axis=0).T
-    cuts = np.concatenate([cuts, np.quantile(unlabelled, [0.002, 0.998], axis=0).T], 1)
-    cuts.sort(axis=1)
-    p_at, u_at = _placed(positive, cuts[:, :PLACES]), _placed(unlabelled, cuts[:, :PLACES])
+    cuts = np.sort(np.quantile(unlabelled, np.linspace(0, 1, PLACES + 2)[1:-1], axis=0).T, axis=1)
+    p_at, u_at = _placed(positive, cuts), _placed(unlabelled, cuts)
     size = positive.shape[1] * (PLACES + 1)
     w, b = np.zeros(size), np.log(prior / (1 - prior))
     m, v = np.zeros(size + 1), np.zeros(size + 1)
-    sigmoid = lambda z: 1 / (1 + np.exp(-np.clip(z, -30, 30)))
     for step in range(1, steps + 1):
-        zp, zu = b + w[p_at].sum(1), b + w[u_at].sum(1)
-        gap = np.logaddexp(0, zu).mean() - prior * np.logaddexp(0, zp).mean()
-        plus, minus_p, minus_u = prior * (sigmoid(zp) - 1) / len(zp), -prior * sigmoid(zp) / len(zp), sigmoid(zu) / len(zu)
-        gp, gu = (plus + minus_p, minus_u) if gap >= 0 else (-minus_p, -minus_u)
+        p, u = _sigmoid(b + w[p_at].sum(1)), _sigmoid(b + w[u_at].sum(1))
+        gap = u.mean() - prior * p.mean()
+        slope_p, slope_u = prior * p * (1 - p) / len(p), u * (1 - u) / len(u)
+        gp, gu = (-2 * slope_p, slope_u) if gap >= 0 else (slope_p, -slope_u)
         grad = np.bincount(p_at.ravel(), np.repeat(gp, p_at.shape[1]), size) + np.bincount(u_at.ravel(), np.repeat(gu, u_at.shape[1]), size)
         grad = np.append(grad + decay * w, gp.sum() + gu.sum())
         m, v = 0.9 * m + 0.1 * grad, 0.99 * v + 0.01 * grad**2
-        move = 0.03 * (m / (1 - 0.9**step)) / (np.sqrt(v / (1 - 0.99**step)) + 1e-8)
+        move = 0.02 * (m / (1 - 0.9**step)) / (np.sqrt(v / (1 - 0.99**step)) + 1e-8)
         w, b = w - move[:-1], b - move[-1]
-    return cuts[:, :PLACES], w, float(b)
+    return cuts, w, float(b)
 
 
 def predict(x: np.ndarray, model: tuple) -> np.ndarray:
     cuts, w, b = model
     if w is None:
         return np.full(len(x), b)
-    return 1 / (1 + np.exp(-np.clip(b + w[_placed(x, cuts)].sum(1), -30, 30)))
+    return _sigmoid(b + w[_placed(x, cuts)].sum(1))
 
 
 def _measured(docs: DataFrame, id_col: str, text_col: str) -> DataFrame:
