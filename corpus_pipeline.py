@@ -1,16 +1,29 @@
-"""A corpus pipeline of five operators: toxicity, n-gram join, decontamination, mixing, token files."""
+"""A corpus pipeline of five operators: toxicity, n-gram join, decontamination, mixing, token files.
+
+Each stage takes the documents that its predecessor kept and applies its operator to all of them. Null, empty and very
+long texts, repeated rows and empty tables are handled as each operator states.
+"""
 
 from __future__ import annotations
 
 from pyspark.sql import DataFrame, SparkSession
 
-from rankscan.llm import decontaminate, ngramjoin
-from rankscan.llm.common import table, without
+from rankscan.llm import decontaminate, mixture, ngramjoin, queries, tokenfile, toxicity
+from rankscan.llm.common import shared_path, table, without
+
+
+def toxicity_stage(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
+    """Documents whose score is at least 0.5 go."""
+    scored = toxicity.score(docs, toxicity.train(docs, table(spark, sf_dir, "labels")))
+    return without(docs, scored.where("score >= 0.5"))
 
 
 def ngram_stage(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
-    """One document of each component of the n-gram join stays, that of the least id."""
-    return without(docs, ngramjoin.one_of_each(ngramjoin.jaccard_join(docs)))
+    """One document of each component of the n-gram join stays, that of the least id; of equal rows one stays."""
+    joined = ngramjoin.jaccard_join(docs)
+    repeated = joined.groupBy("doc_id", "text_key").count().where("count > 1")
+    kept = docs if repeated.isEmpty() else docs.dropDuplicates(["doc_id", "text"])
+    return without(kept, ngramjoin.one_of_each(joined))
 
 
 def decontamination_stage(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
@@ -19,12 +32,32 @@ def decontamination_stage(spark: SparkSession, docs: DataFrame, sf_dir: str) ->
     return without(docs, judged.where("contaminated"))
 
 
-STAGES = [("ngram_jaccard_join", ngram_stage), ("decontamination", decontamination_stage)]
+def mixing_stage(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
+    """Documents as often as the mix to target weights has them, with a budget of the tokens there are."""
+    return mixture.mixed_documents(docs, mixture.mix(docs))
+
+
+def token_stage(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
+    """Writes token files and returns what is read back from them, a row per document."""
+    return tokenfile.encode_and_check(docs, queries.TOKENIZER)
+
+
+STAGES = [
+    ("toxicity", toxicity_stage),
+    ("ngram_jaccard_join", ngram_stage),
+    ("decontamination", decontamination_stage),
+    ("source_mixture", mixing_stage),
+    ("token_files", token_stage),
+]
+#: SQL has no learned scores and no tokenizer; tests/llm holds the pipeline against its operators' brute-force versions.
 ORACLE_SQL = None
 
 
 def run(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """All stages; each result but the last is written to the shared folder and read again."""
     docs = table(spark, sf_dir, "documents")
-    for _, stage in STAGES:
-        docs = stage(spark, docs, sf_dir)
-    return docs
+    for name, stage in STAGES[:-1]:
+        path = shared_path(spark, f"stage-{name}")
+        stage(spark, docs, sf_dir).write.parquet(path)
+        docs = spark.read.parquet(path)
+    return STAGES[-1][1](spark, docs, sf_dir)

@@ -335,6 +335,9 @@ def jaccard_join(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text"
 
 
 def one_of_each(joined: DataFrame, id_col: str = "doc_id") -> DataFrame:
-    """The rows of ``jaccard_join`` that may go so that the row of the least id stays of each component (ids, text_key)."""
-    best = joined.groupBy("leader").agg(F.min(F.struct(F.col(id_col).isNull(), F.col(id_col), F.col("rid"))).alias("best"))
-    return joined.join(best, "leader").where(F.col("rid") != F.col("best.rid")).select(id_col, "text_key")
+    """The rows of ``jaccard_join`` that may go so that the row of the least id stays of each component (ids, text_key).
+
+    Rows equal in id and text to one that stays are not named, as ids and texts could not tell them apart.
+    """
+    best = joined.groupBy("leader").agg(F.min(F.struct(F.col(id_col).isNull().alias("none"), F.col(id_col).alias("id"), F.col("text_key").alias("key"))).alias("best"))
+    return joined.join(best, "leader").where(~(F.col(id_col).eqNullSafe(F.col("best.id")) & F.col("text_key").eqNullSafe(F.col("best.key")))).select(id_col, "text_key")
