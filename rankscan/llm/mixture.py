@@ -100,13 +100,13 @@ def mix(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text", source_
 
 def mixed_documents(docs: DataFrame, mixed: DataFrame, id_col: str = "doc_id", text_col: str = "text", broadcast_rows: int = 1_000_000) -> DataFrame:
     """The documents as often as the mix has them, with their own columns."""
-    times = cut(mixed.groupBy(F.col(id_col).alias("_id"), F.col("text_key").alias("_key"), F.col("source").alias("_source")).agg(F.count("*").alias("_copies")))
-    # a repeated row brings its own copies in the mix, so the sum is shared among the repeated rows
-    same = docs.groupBy(F.col(id_col).alias("_i"), F.xxhash64(text_col).alias("_k")).agg(F.count("*").alias("_rows")).where("_rows > 1")
+    times = cut(mixed.groupBy(F.col(id_col).alias("_id"), F.col("text_key").alias("_key")).agg(F.count("*").cast("int").alias("_copies")))
     few = times.count()
+    # one of the rows equal in id and text brings the copies of them all
+    same = cut(docs.groupBy(F.col(id_col).alias("_i"), F.xxhash64(text_col).alias("_k")).agg(F.count("*").alias("_rows")).where("_rows > 1"))
     if not same.isEmpty():
-        times = times.join(same, times["_id"].eqNullSafe(same["_i"]) & (times["_key"] == same["_k"]), "left").withColumn("_copies", F.ceil(F.col("_copies") / F.coalesce("_rows", F.lit(1)))).select("_id", "_key", "_source", "_copies")
-    times = times.select("_id", "_key", "_copies").groupBy("_id", "_key").agg(F.max("_copies").cast("int").alias("_copies"))
+        equal = docs[id_col].eqNullSafe(same["_i"]) & (F.xxhash64(docs[text_col]) == same["_k"])
+        docs = docs.join(same, equal, "left_anti").unionAll(docs.join(same, equal, "left_semi").dropDuplicates([id_col, text_col]))
     side = F.broadcast(times) if few <= broadcast_rows else times
-    joined = docs.join(side, docs[id_col].eqNullSafe(side["_id"]) & (F.xxhash64(docs[text_col]) == side["_key"]))
-    return joined.withColumn("_copy", F.explode(F.sequence(F.lit(1), F.col("_copies")))).select(*[docs[c] for c in docs.columns])
+    joined = docs.join(side, F.col(id_col).eqNullSafe(F.col("_id")) & (F.xxhash64(text_col) == F.col("_key")))
+    return joined.withColumn("_copy", F.explode(F.sequence(F.lit(1), F.col("_copies")))).drop("_copy", "_copies", "_id", "_key")

@@ -117,9 +117,9 @@ def train(docs: DataFrame, labels: DataFrame, id_col: str = "doc_id", text_col:
     rows = _measured(docs.select(id_col, text_col).join(F.broadcast(both.select(id_col)), id_col, "left_semi"), id_col, text_col).join(F.broadcast(both), id_col)
     rows = rows.select("p", "x").orderBy(F.col("p"), F.col("x")).toArrow()
     p = rows["p"].to_numpy()
-    x = np.array(rows["x"].to_pylist(), float).reshape(len(p), -1)
     if not prior or prior >= 1 or not (p == 1).any() or not (p == 0).any():
         return None, None, float(prior or 0.0)
+    x = np.array(rows["x"].to_pylist(), float)
     return fit_nonnegative(x[p == 1], x[p == 0], prior)
 
 
@@ -129,7 +129,7 @@ def score(docs: DataFrame, model: tuple, id_col: str = "doc_id", text_col: str =
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for batch in batches:
-            x = np.array([measures(buf) for buf in texts(batch.column(2))]).reshape(batch.num_rows, -1)
+            x = np.array([measures(buf) for buf in texts(batch.column(2))])
             yield pa.RecordBatch.from_arrays([batch.column(0), batch.column(1), pa.array(predict(x, held.value) if len(x) else [], pa.float64())], [id_col, "text_key", "score"])
 
     picked = docs.select(id_col, F.xxhash64(text_col).alias("text_key"), text_col)

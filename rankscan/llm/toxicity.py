@@ -101,6 +101,8 @@ def sentence_scores(buf: np.ndarray, weights: np.ndarray, bias: float) -> tuple[
     if not len(sentence):
         return first[:0], last[:0], np.zeros(0)
     used = np.unique(sentence)
+    if bias == -np.inf:
+        return first[used], last[used], np.zeros(len(used))
     z = bias + np.bincount(sentence, weights[place], len(first))[used]
     return first[used], last[used], 1 / (1 + np.exp(-np.clip(z, -30, 30)))
 

@@ -19,6 +19,7 @@ from __future__ import annotations
 from collections.abc import Iterator
 
 import numpy as np
+import pandas as pd
 import pyarrow as pa
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
@@ -148,7 +149,7 @@ def decode(lines: DataFrame, model: tuple[np.ndarray, np.ndarray, np.ndarray], c
 
     batch_kind = {"bigint": pa.int64(), "int": pa.int32(), "string": pa.string()}[kind]
 
-    def ends(key: tuple, pdf):
+    def ends(pdf: pd.DataFrame) -> pd.DataFrame:
         """States before and at the end of each chunk of one long conversation, along its best path."""
         pdf = pdf.sort_values("chunk").reset_index(drop=True)
         maps = [np.array(m).reshape(7, 6) for m in pdf["m"]]

@@ -83,24 +83,29 @@ def audit(leaves: DataFrame, replica: DataFrame) -> DataFrame:
         a, b = (x.where(F.col("level") == level).select("of_files", "file", "node", "digest") for x in nodes)
         if marked is not None and agreeing_shape:
             a, b = (_below(x, marked, level == of_file) for x in (a, b))
-        same = a["of_files"].eqNullSafe(b["of_files"]) & a["file"].eqNullSafe(b["file"]) & a["node"].eqNullSafe(b["node"])
-        differ = a.join(b, same, "full").where(~a["digest"].eqNullSafe(b["digest"]))
-        marked = cut(differ.select(F.coalesce(a["file"], b["file"]).alias("file"), F.coalesce(a["node"], b["node"]).alias("node")))
+        marked = cut(_differing(a, b))
         if agreeing_shape and marked.isEmpty():
             break
     a, b = (x.select("file", F.col("pos").alias("node"), "digest", "length") for x in (leaves, replica))
     if marked is not None:
         a, b = (_below(x, marked, False) for x in (a, b))
-    differ = a.join(b, (a["file"] == b["file"]) & (a["node"] == b["node"]), "full").where(~a["digest"].eqNullSafe(b["digest"]))
-    return differ.select(F.coalesce(a["file"], b["file"]).alias("file"), F.coalesce(a["node"], b["node"]).alias("pos"))
+    return _differing(*(x.select(F.lit(False).alias("of_files"), "file", "node", "digest") for x in (a, b))).withColumnRenamed("node", "pos")
+
+
+def _differing(a: DataFrame, b: DataFrame) -> DataFrame:
+    """(file, node) of rows whose digests differ or that one side lacks."""
+    b = b.select(*[F.col(c).alias(f"_{c}") for c in ("of_files", "file", "node", "digest")])
+    same = F.col("of_files").eqNullSafe(F.col("_of_files")) & F.col("file").eqNullSafe(F.col("_file")) & F.col("node").eqNullSafe(F.col("_node"))
+    differ = a.join(b, same, "full").where(~F.col("digest").eqNullSafe(F.col("_digest")))
+    return differ.select(F.coalesce("file", "_file").alias("file"), F.coalesce("node", "_node").alias("node"))
 
 
 def _below(children: DataFrame, marked: DataFrame, files: bool) -> DataFrame:
     """Children of marked nodes; at the seam, a file's own root is the child of a range of files."""
     m = marked.select(F.col("file").alias("_file"), F.col("node").alias("_node"))
     if files:
-        return children.join(m, F.floor((children["file"] + 1) / FAN) == m["_node"], "left_semi")
-    return children.join(m, children["file"].eqNullSafe(m["_file"]) & (F.floor(children["node"] / FAN) == m["_node"]), "left_semi")
+        return children.join(m, F.floor((F.col("file") + 1) / FAN) == F.col("_node"), "left_semi")
+    return children.join(m, F.col("file").eqNullSafe(F.col("_file")) & (F.floor(F.col("node") / FAN) == F.col("_node")), "left_semi")
 
 
 def corrupted(pages: DataFrame, every: int = 97) -> DataFrame:
