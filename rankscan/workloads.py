@@ -1,6 +1,730 @@
-"""Named queries over the given tables and their DuckDB oracles."""
+"""Named queries over the given tables: every method, variant, baseline, measure and experiment at least once.
+
+Each takes (spark, sf_dir) and runs over whole tables. ``oracles.py`` has DuckDB SQL for those that SQL can express.
+"""
 
 from __future__ import annotations
 
-QUERIES: dict = {}
-ORACLE_SQL: dict[str, str] = {}
+from collections.abc import Callable
+
+from pyspark.sql import DataFrame, SparkSession
+from pyspark.sql import functions as F
+from pyspark.sql import Window
+
+from rankscan.functions import nulllaw as N
+from rankscan.functions import register as sql_functions
+from rankscan.operators import baselines as B
+from rankscan.operators import laws as L
+from rankscan.operators import metrics as M
+from rankscan.operators import prepare as P
+from rankscan.operators import ranking as K
+from rankscan.operators import scan as S
+from rankscan.oracles import SQL as ORACLE_SQL  # noqa: F401
+from rankscan.plans.detect import detect_events
+from rankscan.sources import datasource, planted
+from rankscan.sources import families as C
+from rankscan.sources.tables import cut, read_table, shared_path
+
+QUERIES: dict[str, Callable[[SparkSession, str], DataFrame]] = {}
+#: Every so-manieth series of the planted grid, its series length and widest window, in the queries that SQL repeats.
+GRID = {"every": 10, "n": 200, "w_max": 16}
+
+
+def query(f: Callable) -> Callable:
+    QUERIES[f.__name__] = f
+    return f
+
+
+def _named(name: str, f: Callable) -> None:
+    QUERIES[name] = f
+
+
+# ---- series ---------------------------------------------------------------------------------------------------------
+for _name, _family in {
+    "bin_orders_daily": C.orders_daily, "bin_ship_daily": C.ship_daily, "bin_events_hourly": C.events_hourly, "bin_event_points": C.event_points, "supplier_weekly_series": C.supplier_weekly,
+    "user_value_index": C.user_values, "vector_series_long": C.vector_series, "turn_length_series": C.turn_lengths, "doc_length_series": C.doc_lengths, "label_bit_series": C.label_bits,
+    "page_length_series": C.page_lengths, "part_price_series": C.part_price,
+}.items():
+    _named(_name, _family)
+
+
+def _rounded(df: DataFrame, digits: int) -> DataFrame:
+    return df.select("series_id", "t", F.round("value", digits).alias("value"))
+
+
+def _thousands(spark, d):
+    return C.supplier_weekly(spark, d).withColumn("value", F.col("value") / 100000)
+
+
+@query
+def detrend_supplier_weekly(spark, d):
+    return _rounded(P.detrend(_thousands(spark, d), "linear"), 3)
+
+
+@query
+def detrend_part_price(spark, d):
+    return _rounded(P.detrend(C.part_price(spark, d), "linear"), 4)
+
+
+@query
+def detrend_moving_median(spark, d):
+    return P.detrend(C.events_hourly(spark, d), "moving_median", half=7)
+
+
+@query
+def detrend_difference(spark, d):
+    return P.detrend(C.ship_daily(spark, d), "difference")
+
+
+@query
+def fill_previous_users(spark, d):
+    """Hours of a user's last known event value: gaps take the previous value."""
+    rows = read_table(spark, d, "events", "user_id", "ts", "value")
+    sums = P.bin_values(rows, F.col("user_id"), F.expr("datediff(ts, date '2024-01-01') + 1"), F.floor("value"), "sum")
+    return P.fill_gaps(sums, "previous", lo=1, hi=30)
+
+
+@query
+def fill_interpolate_users(spark, d):
+    rows = read_table(spark, d, "events", "user_id", "ts", "value")
+    sums = P.bin_values(rows, F.col("user_id"), F.expr("datediff(ts, date '2024-01-01') + 1"), F.floor("value"), "max")
+    return _rounded(P.fill_gaps(sums, "interpolate", lo=1, hi=30), 6)
+
+
+@query
+def segment_ship_daily(spark, d):
+    total = F.aggregate("values", F.lit(0.0), lambda a, x: a + x)
+    return P.segment(C.ship_daily(spark, d), 1000, 100).select("series_id", "seg_id", "seg_start", "n", total.alias("total"), F.element_at("t", -1).alias("last_t"))
+
+
+@query
+def segment_last_anchor(spark, d):
+    lengths = spark.range(900, 3000, 37).select(F.col("id").alias("length"))
+    return lengths.select("length", F.posexplode(P.segment_starts(1000, 100)).alias("seg_id", "seg_start"))
+
+
+# ---- ranks ----------------------------------------------------------------------------------------------------------
+@query
+def rank_events_hourly(spark, d):
+    return P.rank_long(C.events_hourly(spark, d))
+
+
+@query
+def rank_vectors(spark, d):
+    return P.rank_long(C.vector_series(spark, d)).select("series_id", "t", "r")
+
+
+@query
+def rank_ties_label_bits(spark, d):
+    return P.rank_long(C.label_bits(spark, d))
+
+
+@query
+def rank_average_ties(spark, d):
+    return P.rank_long(C.events_hourly(spark, d), ties="average")
+
+
+@query
+def rank_ordinal_ties(spark, d):
+    return P.rank_long(C.events_hourly(spark, d), ties="ordinal")
+
+
+@query
+def prefix_sums_vectors(spark, d):
+    return S.prefix_long(P.rank_long(C.vector_series(spark, d))).select("series_id", "t", "c")
+
+
+@query
+def rank_sums_fixed_w(spark, d):
+    return S.windows_long(P.rank_long(C.vector_series(spark, d)), 5, 5).select("series_id", "s", "q")
+
+
+# ---- laws -----------------------------------------------------------------------------------------------------------
+def _counts(law: DataFrame) -> DataFrame:
+    return law.select("n", "w", "phi", F.col("ways").cast("bigint").alias("ways"))
+
+
+@query
+def law_enumerated_n10(spark, d):
+    return _counts(L.build_null_law(spark, [10], 10, "memo"))
+
+
+@query
+def law_recurrence_n30_w8(spark, d):
+    return _counts(L.build_null_law(spark, [30], 8, "memo"))
+
+
+@query
+def law_product_n30_w8(spark, d):
+    return _counts(L.build_null_law(spark, [30], 8, "product"))
+
+
+@query
+def law_steps_n30_w8(spark, d):
+    return _counts(L.law_by_steps(spark, 30, 8))
+
+
+@query
+def law_source_n30_w8(spark, d):
+    datasource.register(spark)
+    return _counts(spark.read.format("null_law").options(n=30, w_max=8).load())
+
+
+@query
+def law_udtf_n30_w8(spark, d):
+    sql_functions.register(spark)
+    return _counts(spark.sql("SELECT * FROM partition_law(30, 8)"))
+
+
+@query
+def law_conditioning_n50_w3_10_20(spark, d):
+    law = L.build_null_law(spark, [50], 20, "exact").where("w in (3, 10, 20)")
+    return law.select("n", "w", "phi", *[(F.round(c, 6) + 0.0).alias(c) for c in ("log10_mass", "log10_lower", "log10_upper")])
+
+
+@query
+def law_stored_n50(spark, d):
+    """The same law through a store: built once, then read with pruned partitions."""
+    store = L.LawStore(spark)
+    store.get([50], 20)
+    return store.get([50], 20).where("w in (3, 10, 20)").select("n", "w", "phi", *[(F.round(c, 6) + 0.0).alias(c) for c in ("log10_mass", "log10_lower", "log10_upper")])
+
+
+@query
+def law_tails_n30(spark, d):
+    law = _counts(L.build_null_law(spark, [30], 8, "product"))
+    mass = law.withColumn("mass", F.col("ways") / F.sum("ways").over(Window.partitionBy("n", "w")))
+    return L.with_tails(mass).select("n", "w", "phi", *[F.round(c, 10).alias(c) for c in ("mass", "lower", "upper", "tail", "two_sided")])
+
+
+@query
+def law_critical_sums_n64(spark, d):
+    return S.critical_sums(spark, 64, 8, 1e-4)
+
+
+@query
+def law_convergence(spark, d):
+    """Standardised laws for growing n: mass at the mean and the share of mass within one standard deviation."""
+    rows = []
+    for n in (50, 100, 250, 500):
+        law = N.Law.exact(n, 10)
+        for w in (3, 10):
+            phi = [k + N.least_sum(w) for k in range(len(law.mass[w]))]
+            mean, var = w * (n + 1) / 2, w * (n - w) * (n + 1) / 12
+            rows.append((n, w, mean, var, float(sum(m for m, x in zip(law.mass[w], phi) if (x - mean) ** 2 <= var))))
+    return spark.createDataFrame(rows, "n int, w int, mean double, variance double, within_one double").withColumn("within_one", F.round("within_one", 8))
+
+
+@query
+def min_width_table(spark, d):
+    rows = [(n, a, N.min_width(n, 10.0**-a)) for n in (50, 64, 100, 357, 500, 720, 1000) for a in (4, 6, 8)]
+    return spark.createDataFrame(rows, "n int, minus_log10_alpha int, w int")
+
+
+@query
+def memo_cells_table(spark, d):
+    return spark.createDataFrame([(n, w, N.memo_cells(n, w)) for n, w in ((30, 8), (50, 20), (500, 50), (1000, 100))], "n int, w_max int, cells bigint")
+
+
+@query
+def mc_hash_law_n30(spark, d):
+    return L.law_by_hash_sampling(spark, 30, 5, 2000).withColumn("error", F.round(1 / F.sqrt("hits"), 9))
+
+
+@query
+def mc_required_samples(spark, d):
+    rows = [(a, e, N.required_samples(a, e)) for a in (1e-2, 1e-3, 1e-4) for e in (0.05, 0.1, 0.2)]
+    return spark.createDataFrame(rows, "alpha double, epsilon double, samples bigint")
+
+
+def _exact_mass(spark, n, w_max):
+    law = _counts(L.build_null_law(spark, [n], w_max, "product"))
+    return law.withColumn("mass", F.col("ways") / F.sum("ways").over(Window.partitionBy("n", "w")))
+
+
+@query
+def mc_error_vs_exact(spark, d):
+    sampled = L.law_by_hash_sampling(spark, 30, 5, 2000).withColumn("mass", F.col("hits") / 2000)
+    return L.law_error(sampled, _exact_mass(spark, 30, 5), 0.01).select("n", "w", "phi", "censored", F.round("error", 9).alias("error"))
+
+
+@query
+def mc_decision_flips(spark, d):
+    sampled = L.with_tails(L.law_by_hash_sampling(spark, 30, 5, 2000).withColumn("mass", F.col("hits") / 2000))
+    return L.decision_flips(sampled, L.with_tails(_exact_mass(spark, 30, 5)), 0.01).select("n", "w", "phi")
+
+
+@query
+def mc_numpy_law_n50(spark, d):
+    """Greatest and mean relative error of 10^4, 10^5 and 10^6 draws at w = 3, 10, 20 where the mass is at least 1e-4."""
+    exact = _exact_mass(spark, 50, 20).where("w in (3, 10, 20)")
+    out = []
+    for draws in (10_000, 100_000, 1_000_000):
+        mc = L.law_by_sampling(spark, [50], 20, draws).select("n", "w", "phi", F.pow(F.lit(10.0), "log10_mass").alias("mass"))
+        out.append(L.law_error(mc, exact, 1e-4).groupBy("w").agg(F.max(F.abs("error")).alias("worst"), F.avg(F.abs("error")).alias("mean")).withColumn("draws", F.lit(draws)))
+    return L.union(out)
+
+
+# ---- scores and searches ----------------------------------------------------------------------------------------------
+def _vector_surface(spark, d, mode="tail"):
+    return S.scan_sql(C.vector_series(spark, d), [64], 8, mode)
+
+
+@query
+def surface_vectors(spark, d):
+    return _vector_surface(spark, d)
+
+
+@query
+def surface_vectors_mass(spark, d):
+    return _vector_surface(spark, d, "mass")
+
+
+@query
+def surface_vectors_worker(spark, d):
+    """The same surface from packed segments in Arrow workers."""
+    packed = P.segment(C.vector_series(spark, d), 64, 8)
+    return S.search_segments(packed, 8, output="surface").select("series_id", "s", "w", "q", F.round("log10_p", 6).alias("log10_p"))
+
+
+@query
+def surface_vectors_udf(spark, d):
+    found = S.windows_long(P.rank_long(C.vector_series(spark, d)), 8)
+    return found.select("series_id", "s", "w", "q", F.round(sql_functions.interval_log10_p("q", "w", "n"), 6).alias("log10_p"))
+
+
+@query
+def surface_minima_vectors(spark, d):
+    return S.surface_minima_sql(_vector_surface(spark, d))
+
+
+def _best(surface: DataFrame) -> DataFrame:
+    return K.best_per_series(surface)
+
+
+@query
+def best_interval_vectors(spark, d):
+    return _best(_vector_surface(spark, d))
+
+
+@query
+def best_interval_events_hourly(spark, d):
+    return _best(S.scan_sql(C.events_hourly(spark, d), [720], 6))
+
+
+@query
+def best_interval_critical_filter(spark, d):
+    return S.critical_filter(C.vector_series(spark, d), 64, 8, 1e-3)
+
+
+@query
+def best_interval_udaf(spark, d):
+    """The best window of every vector by an aggregate function."""
+    return C.vector_series(spark, d).groupBy("series_id").agg(sql_functions.best_interval("value", "t").alias("b")).select("series_id", F.col("b")[0].cast("int").alias("s"), F.col("b")[1].cast("int").alias("w"), F.round(F.col("b")[2], 6).alias("log10_p"))
+
+
+# ---- overlap, ranking ---------------------------------------------------------------------------------------------------
+def _pairs(spark, d):
+    part = read_table(spark, d, "part", "p_partkey", "p_size")
+    one = part.select(F.col("p_partkey").alias("k"), (F.col("p_partkey") % 50).alias("s1"), F.col("p_size").cast("bigint").alias("w1"))
+    two = part.select((F.col("p_partkey") - 1).alias("k"), (F.col("p_partkey") * 7 % 50).alias("s2"), F.col("p_size").cast("bigint").alias("w2"))
+    return one.join(two, "k")
+
+
+@query
+def overlap_pairs(spark, d):
+    args = [F.col(c) for c in ("s1", "w1", "s2", "w2")]
+    return _pairs(spark, d).select("k", *args, *[K.overlaps(*args, x).alias(f"theta_{int(100 * x)}") for x in (0.05, 0.5, 0.75)])
+
+
+@query
+def overlap_literal_vs_short(spark, d):
+    args = [F.col(c) for c in ("s1", "w1", "s2", "w2")]
+    same = [(K.overlaps(*args, x) == K.overlaps_by_terms(*args, x)).cast("int") for x in (0.05, 0.25, 0.5, 0.75)]
+    return _pairs(spark, d).agg(F.count("*").alias("pairs"), *[F.sum(c).alias(f"same_{i}") for i, c in enumerate(same)])
+
+
+@query
+def rank_all_regions(spark, d):
+    return K.rank_events(S.surface_minima_sql(_vector_surface(spark, d)))
+
+
+@query
+def rank_best_per_series(spark, d):
+    return K.rank_events(_vector_surface(spark, d), per_series="best")
+
+
+@query
+def top_percent_series(spark, d):
+    return K.top_percent(K.rank_events(_vector_surface(spark, d), per_series="best"), 5.0)
+
+
+@query
+def significant_at_alpha(spark, d):
+    return K.filter_significant(_vector_surface(spark, d), 1e-4)
+
+
+# ---- baselines ------------------------------------------------------------------------------------------------------------
+def _discord_rows(spark, d, method):
+    found = B.discords(P.segment(C.vector_series(spark, d), 64, 8), 8, method=method)
+    return found.select("series_id", "pos", F.round("distance", 6).alias("distance"))
+
+
+@query
+def discord_vectors_n8(spark, d):
+    return _discord_rows(spark, d, "brute")
+
+
+@query
+def discord_sax_vectors(spark, d):
+    return _discord_rows(spark, d, "words")
+
+
+@query
+def discord_distances_sql(spark, d):
+    return B.discords_sql(C.vector_series(spark, d), 8).withColumn("distance", F.round("distance", 6))
+
+
+@query
+def discord_ranked(spark, d):
+    return B.rank_discords(_discord_rows(spark, d, "brute"))
+
+
+@query
+def discord_znorm_vectors(spark, d):
+    found = B.discords(P.segment(C.vector_series(spark, d), 64, 8), 8, znorm=True)
+    return found.select("series_id", "pos", F.round("distance", 5).alias("distance"))
+
+
+@query
+def discord_udaf_vectors(spark, d):
+    return C.vector_series(spark, d).groupBy("series_id").agg(F.round(sql_functions.discord_score("value", "t"), 6).alias("distance"))
+
+
+@query
+def chi_square_supplier(spark, d):
+    return B.chi_square(_thousands(spark, d)).select("series_id", F.round("chi2", 4).alias("chi2"), "dof", F.round("reduced", 6).alias("reduced"))
+
+
+@query
+def chi_square_mad_supplier(spark, d):
+    return B.chi_square(_thousands(spark, d), "mad").select("series_id", F.round("reduced", 6).alias("reduced"))
+
+
+@query
+def fixed_window_w7_ship(spark, d):
+    return B.fixed_window(C.ship_daily(spark, d), 7)
+
+
+@query
+def max_deviation_vectors(spark, d):
+    return B.deviations(C.vector_series(spark, d), 8)
+
+
+@query
+def randomization_test_users(spark, d):
+    return B.randomization_test(P.segment(C.user_values(spark, d), 60, 10), 60, 10)
+
+
+# ---- planted events and measures --------------------------------------------------------------------------------------------
+def _grid(spark, **more):
+    g = GRID | more
+    truth = planted.grid_truth(spark, g["n"], every=g["every"])
+    return truth, planted.grid_values(truth, g["n"])
+
+
+@query
+def planted_grid_truth(spark, d):
+    return planted.grid_truth(spark).drop("k")
+
+
+@query
+def planted_grid_values(spark, d):
+    return _grid(spark)[1]
+
+
+@query
+def planted_outlier_values(spark, d):
+    truth, values = _grid(spark)
+    return planted.add_outlier(values, truth, GRID["n"])
+
+
+@query
+def planted_on_suppliers_truth(spark, d):
+    return planted.plant(C.supplier_weekly(spark, d), 10, 8.0, 3.0)[1]
+
+
+def _grid_ranked(spark):
+    truth, values = _grid(spark)
+    ranked = K.rank_events(S.scan_sql(values, [GRID["n"]], GRID["w_max"]), per_series="best")
+    return cut(truth), cut(ranked)
+
+
+@query
+def recall_report(spark, d):
+    truth, ranked = _grid_ranked(spark)
+    return M.recall_at(ranked, truth, [1, 5, 10, 15, 20, 25, 50, 100]).withColumn("recall", F.round("recall", 9))
+
+
+@query
+def rank_summary_report(spark, d):
+    truth, ranked = _grid_ranked(spark)
+    return M.rank_summary(M.known_ranks(ranked, truth))
+
+
+@query
+def false_positive_report(spark, d):
+    truth, ranked = _grid_ranked(spark)
+    return M.false_positives_in_top(ranked, truth)
+
+
+@query
+def separation_report(spark, d):
+    truth, ranked = _grid_ranked(spark)
+    return M.separation(ranked, truth)
+
+
+@query
+def interval_join_truth(spark, d):
+    truth, ranked = _grid_ranked(spark)
+    return M.match_truth(ranked, truth).select("series_id", "event_no", "s", "w")
+
+
+@query
+def full_recall_report(spark, d):
+    truth, ranked = _grid_ranked(spark)
+    return M.percent_for_full_recall(ranked, truth).withColumn("percent", F.round("percent", 9))
+
+
+# ---- relational surface -----------------------------------------------------------------------------------------------------
+def _supplier_best(spark, d):
+    best = _best(S.scan_sql(C.supplier_weekly(spark, d), [357], 6))
+    high = F.when(2 * F.col("q") > F.col("w") * 358, "high").otherwise("low")
+    return best.withColumn("direction", high).join(C.supplier_tiles(spark, d), "series_id")
+
+
+@query
+def cube_events_by_tile(spark, d):
+    return _supplier_best(spark, d).cube("region", "direction").agg(F.count("*").alias("series"), F.min("log10_p").alias("best"), F.grouping_id().cast("bigint").alias("level"))
+
+
+@query
+def rollup_region_hits(spark, d):
+    return _supplier_best(spark, d).rollup("region", "nation").agg(F.count("*").alias("series"), F.sum("w").alias("width"))
+
+
+@query
+def pivot_direction_by_region(spark, d):
+    return _supplier_best(spark, d).groupBy("region").pivot("direction", ["high", "low"]).agg(F.count("*")).na.fill(0, ["high", "low"])
+
+
+@query
+def setop_agreement(spark, d):
+    """Series among the best tenth by both scores, and those by the tail score alone."""
+    tops = [K.top_percent(K.rank_events(_vector_surface(spark, d, m), per_series="best"), 10.0).select("series_id") for m in ("tail", "mass")]
+    return tops[0].intersect(tops[1]).withColumn("kind", F.lit("both")).union(tops[0].exceptAll(tops[1]).withColumn("kind", F.lit("tail only")))
+
+
+@query
+def asof_region_order(spark, d):
+    """Each error event with the value of its user's latest purchase before it."""
+    rows = read_table(spark, d, "events", "event_id", "ts", "user_id", "event_type", "value").withColumn("us", P.micros("ts"))
+    errors = rows.where("event_type = 'error'").select("event_id", "user_id", "us")
+    bought = rows.where("event_type = 'purchase'").select("user_id", F.col("us").alias("at"), F.col("value").alias("last_purchase"))
+    return K.asof_join(errors, bought, "user_id", "us", "at", "last_purchase").select("event_id", "user_id", "last_purchase")
+
+
+@query
+def semi_series_with_event(spark, d):
+    rows = read_table(spark, d, "embeddings", "vec_id", "label").withColumn("series_id", F.col("vec_id").cast("string"))
+    return rows.join(K.filter_significant(_vector_surface(spark, d), 1e-4), "series_id", "left_semi").select("vec_id", "label")
+
+
+@query
+def anti_series_without_event(spark, d):
+    rows = read_table(spark, d, "embeddings", "vec_id", "label").withColumn("series_id", F.col("vec_id").cast("string"))
+    return rows.join(K.filter_significant(_vector_surface(spark, d), 1e-4), "series_id", "left_anti").select("vec_id", "label")
+
+
+@query
+def profile_series(spark, d):
+    """Counts, distinct values and quartiles of each event type's hourly series."""
+    return C.events_hourly(spark, d).groupBy("series_id").agg(F.count("*").alias("points"), F.countDistinct("value").alias("levels"), F.median("value").alias("middle"), F.stddev_samp("value").alias("sd"), F.max("value").alias("most")).withColumn("sd", F.round("sd", 9))
+
+
+# ---- the chain and its experiments (results of randomised searches; no SQL) ---------------------------------------------------
+@query
+def detect_powell_supplier(spark, d):
+    return detect_events(C.supplier_weekly(spark, d), 300, 40, search="powell", restarts=30)
+
+
+@query
+def detect_exhaustive_supplier(spark, d):
+    return detect_events(C.supplier_weekly(spark, d), 300, 40, search="exhaustive", alpha=1e-3)
+
+
+@query
+def detect_sampled_law_supplier(spark, d):
+    return detect_events(C.supplier_weekly(spark, d), 300, 40, law="sampled", samples=20_000, per_series="best")
+
+
+@query
+def detect_users_unequal(spark, d):
+    return detect_events(C.user_values(spark, d), 60, 10, detrend="none", per_series="best")
+
+
+@query
+def detect_long_series(spark, d):
+    return detect_events(C.ship_daily(spark, d).unionByName(C.orders_daily(spark, d)), 1000, 100, alpha=1e-4)
+
+
+@query
+def detect_saw_tooth(spark, d):
+    return detect_events(C.part_price(spark, d), 1000, 100, detrend="linear", per_series="best")
+
+
+@query
+def detect_hourly_points(spark, d):
+    return detect_events(C.event_points(spark, d), 720, 48, search="powell", restarts=50)
+
+
+def _packed_grid(spark, every=5, n=1000):
+    truth = planted.grid_truth(spark, n, every=every)
+    return truth, cut(P.segment(planted.grid_values(truth, n), n, 100))
+
+
+def _powell(packed, r, **more):
+    return S.search_segments(packed, 100, search="powell", restarts=r, **more)
+
+
+@query
+def detect_powell_grid(spark, d):
+    """The synthetic study: all 2,000 series of 1,000 points, 30 restarts, best region of each."""
+    return K.rank_events(_powell(_packed_grid(spark, 1)[1], 30), per_series="best").drop("members")
+
+
+@query
+def synthetic_report(spark, d):
+    """Events in the top ranks, false positives and the gap, for the method and for discords, without and with outliers."""
+    truth = planted.grid_truth(spark, 1000, every=5)
+    plain = planted.grid_values(truth, 1000)
+    known = truth.where("kind <> 'none'").select("series_id").distinct()
+    out = []
+    for name, values in (("plain", plain), ("outlier", planted.add_outlier(plain, truth))):
+        packed = cut(P.segment(values, 1000, 100))
+        ranked = {"rank sums": K.rank_events(_powell(packed, 30), per_series="best"), "discord": B.rank_discords(B.discords(packed, 20))}
+        for method, rows in ranked.items():
+            false = M.false_positives_in_top(rows, truth)
+            last = rows.join(known, "series_id").agg(F.max("global_rank").alias("last_rank"), F.count("*").alias("known"))
+            out.append(false.crossJoin(last).select(F.lit(name).alias("data"), F.lit(method).alias("method"), "known", "false_positives", "last_rank"))
+    return L.union(out)
+
+
+@query
+def cluster_regions_grid(spark, d):
+    return K.rank_events(_powell(_packed_grid(spark, 20)[1], 30)).select("series_id", "region_id", "s", "w", "log10_p", "hits", "hit_share", "global_rank")
+
+
+@query
+def pivot_restart_curve(spark, d):
+    truth, packed = _packed_grid(spark, 5)
+    return M.restart_curve(lambda r: _powell(packed, r), truth, [5, 10, 20, 30, 50])
+
+
+@query
+def misses_by_bump_width(spark, d):
+    truth, packed = _packed_grid(spark, 5)
+    return M.misses_by_width(M.found_events(_powell(packed, 10), truth, -8.0))
+
+
+@query
+def theta_sweep(spark, d):
+    _, packed = _packed_grid(spark, 40)
+    return M.theta_curve(_powell(packed, 30, output="candidates"), [0.05, 0.25, 0.5, 0.75, 0.95]).groupBy("theta").agg(F.sum("regions").alias("regions"), F.min("best_log10_p").alias("best"))
+
+
+@query
+def minimiser_gap(spark, d):
+    """How far each minimiser stays from the true minimum, and what it costs."""
+    _, packed = _packed_grid(spark, 20)
+    exact = cut(S.search_segments(packed, 100, search="exhaustive", output="candidates"))
+    out = []
+    for name, more in {"powell": {}, "coordinate": {}, "pattern": {}, "powell log": {"spread": "log"}}.items():
+        found = S.search_segments(packed, 100, search=name.split()[0], restarts=30, output="candidates", **more)
+        out.append(M.search_gap(found, exact).agg(F.avg((F.col("gap") < 1e-9).cast("double")).alias("reached"), F.max("gap").alias("worst"), F.avg("evals").alias("evals")).withColumn("minimiser", F.lit(name)))
+    return L.union(out)
+
+
+@query
+def law_agreement_survey(spark, d):
+    """Rankings by the exact and by the sampled law."""
+    series = C.supplier_weekly(spark, d)
+    a = detect_events(series, 300, 40, per_series="best")
+    b = detect_events(series, 300, 40, law="sampled", samples=20_000, per_series="best")
+    return M.rank_agreement(a, b, 20)
+
+
+def _survey(spark, d):
+    series, truth = planted.plant(C.supplier_weekly(spark, d), 10, 6.0, 4.0)
+    return cut(series), cut(truth)
+
+
+@query
+def survey_report(spark, d):
+    """The survey's stand-in: planted bumps among suppliers; depth of full recall for the method and for discords."""
+    series, truth = _survey(spark, d)
+    ours = detect_events(series, 300, 40, per_series="best")
+    discord = B.rank_discords(B.discords(P.segment(P.detrend_linear(series), 300, 40), 20))
+    out = []
+    for name, ranked in (("rank sums", ours), ("discord", discord.withColumn("log10_p", F.lit(None).cast("double")))):
+        out.append(M.rank_summary(M.known_ranks(ranked, truth)).withColumn("method", F.lit(name)))
+    return L.union(out)
+
+
+@query
+def survey_tiles(spark, d):
+    """Events by tile: best regions of every supplier with its nation."""
+    series, _ = _survey(spark, d)
+    best = detect_events(series, 300, 40, per_series="best").join(C.supplier_tiles(spark, d), "series_id")
+    return best.groupBy("nation").agg(F.count("*").alias("series"), F.min("global_rank").alias("best_rank"), F.min("log10_p").alias("best_log10_p"))
+
+
+@query
+def low_chi2_report(spark, d):
+    series, _ = _survey(spark, d)
+    return M.low_chi2_in_top(detect_events(series, 300, 40, per_series="best"), B.chi_square(series), 20)
+
+
+@query
+def trend_report(spark, d):
+    """A bump on a ramp: regions with and without detrending, by score and by frequency."""
+    truth = planted.grid_truth(spark, 1000, singles=323, doubles=0, nulls=0, every=40)
+    ramp = planted.grid_values(truth, 1000).withColumn("value", F.col("value") + F.col("t") * 0.05)
+    out = []
+    for how in ("none", "linear"):
+        found = S.search_segments(P.segment(ramp, 1000, 100), 100, search="powell", restarts=30, detrend=how)
+        out.append(K.rank_events(found, order=("hits", "log10_p")).select("series_id", "s", "w", "log10_p", "hits", "global_rank").withColumn("detrend", F.lit(how)))
+    return L.union(out)
+
+
+@query
+def udtf_event_regions(spark, d):
+    sql_functions.register(spark)
+    C.vector_series(spark, d).createOrReplaceTempView("vector_points")
+    return spark.sql("SELECT * FROM event_regions(TABLE(SELECT * FROM vector_points) PARTITION BY series_id ORDER BY t, 8)")
+
+
+@query
+def stream_events_hourly(spark, d):
+    """Hourly counts by a stream over the events file; the twin of the batch bins without the filled ones."""
+    from rankscan.streaming.detect import tumbling_counts
+
+    points = spark.readStream.schema(read_table(spark, d, "events").schema).option("pathGlobFilter", "events.parquet").parquet(d)
+    end = points.limit(0)
+    del end
+    out = shared_path(spark, "stream")
+    counts = tumbling_counts(points.select("event_type", "ts"), "event_type", late="0 seconds")
+    run = counts.writeStream.format("parquet").option("path", f"{out}/rows").option("checkpointLocation", f"{out}/state").trigger(availableNow=True).start()
+    run.awaitTermination()
+    rows = spark.read.schema("series_id string, ts timestamp, value bigint").parquet(f"{out}/rows")
+    return rows.select("series_id", F.expr("(unix_micros(ts) - 1704067200000000) div 3600000000 + 1").alias("t"), F.col("value").cast("double").alias("value"))
