@@ -14,7 +14,7 @@ score is 0. Columns other than id and text are not read.
 
 from __future__ import annotations
 
-from collections.abc import Iterator
+from collections.abc import Callable, Iterator
 
 import numpy as np
 import pyarrow as pa
@@ -57,34 +57,35 @@ def bag(buf: np.ndarray) -> tuple[np.ndarray, np.ndarray, np.ndarray, np.ndarray
     return first, last, key >> BITS, key & ((1 << BITS) - 1)
 
 
-def fit_noisy_or(bags: list[tuple[np.ndarray, np.ndarray]], toxic: np.ndarray, prior: float, features: int = 6000, steps: int = 250, decay: float = 2e-4) -> tuple[np.ndarray, float]:
-    """Weights of the hashed places and the bias; ``bags`` holds (sentence, place) arrays."""
-    counts = np.zeros((2, 1 << BITS))
-    for (_, place), y in zip(bags, toxic):
+def fit_noisy_or(bags: Callable[[], Iterator[tuple[np.ndarray, np.ndarray]]], toxic: np.ndarray, prior: float, features: int = 6000, steps: int = 250, decay: float = 2e-4) -> tuple[np.ndarray, float]:
+    """Weights of the hashed places and the bias; ``bags()`` gives each document's (sentence, place) arrays, and is gone
+    through twice so that only the chosen features are ever held."""
+    counts = np.zeros((2, 1 << BITS), np.float32)
+    for (_, place), y in zip(bags(), toxic):
         counts[int(y)][np.unique(place)] += 1
-    n = np.array([max(1, (toxic == 0).sum()), max(1, (toxic == 1).sum())])
-    rate = (counts + 0.5) / (n[:, None] + 1)
-    gain = np.abs(np.log(rate[1] / rate[0])) * np.sqrt(counts[1] + counts[0] * n[1] / n[0])
+    n = np.array([max(1, (toxic == 0).sum()), max(1, (toxic == 1).sum())], np.float32)
+    gain = np.abs(np.log((counts[1] + 0.5) * (n[0] + 1) / (counts[0] + 0.5) / (n[1] + 1))) * np.sqrt(counts[1] + counts[0] * n[1] / n[0])
     gain[counts.sum(0) < 4] = 0
     picked = np.sort(np.argsort(-gain, kind="stable")[:features])
-    slot = np.full(1 << BITS, -1)
+    del counts, gain
+    slot = np.full(1 << BITS, -1, np.int32)
     slot[picked] = np.arange(len(picked))
-    sent, feat, doc, at = [], [], [], 0
-    for i, (sentence, place) in enumerate(bags):
+    sent, feat, doc, at, size = [], [], [], 0, 0
+    for i, (sentence, place) in enumerate(bags()):
         here = int(sentence.max()) + 1 if len(sentence) else 0
         ok = slot[place] >= 0
-        sent.append(sentence[ok] + at)
+        sent.append((sentence[ok] + at).astype(np.int32))
         feat.append(slot[place[ok]])
-        doc.append(np.full(here, i))
-        at += here
-    sent, feat, doc = (np.concatenate([*x, np.zeros(0, np.int64)]).astype(np.int64) for x in (sent, feat, doc))
+        doc.append(np.full(here, i, np.int32))
+        at, size = at + here, i + 1
+    sent, feat, doc = (np.concatenate([*x, np.zeros(0, np.int32)]) for x in (sent, feat, doc))
     weigh = np.where(toxic == 1, prior / n[1], (1 - prior) / n[0])
     w, b = np.zeros(len(picked)), -4.0
     m, v = np.zeros(len(picked) + 1), np.zeros(len(picked) + 1)
     for step in range(1, steps + 1):
         z = b + np.bincount(sent, w[feat], at)
         p = 1 / (1 + np.exp(-np.clip(z, -30, 30)))
-        none = np.exp(np.maximum(np.bincount(doc, np.log1p(-np.minimum(p, 1 - 1e-9)), len(bags)), -30))
+        none = np.exp(np.maximum(np.bincount(doc, np.log1p(-np.minimum(p, 1 - 1e-9)), size), -30))
         pull = np.where(toxic == 1, -none / np.maximum(1 - none, 1e-9), 1.0) * weigh
         g = pull[doc] * p
         grad = np.append(np.bincount(feat, g[sent], len(picked)) + decay * w / len(picked) ** 0.5, g.sum())
@@ -118,11 +119,13 @@ def train(docs: DataFrame, labels: DataFrame, id_col: str = "doc_id", text_col:
     chosen, prior = _sample(labels, id_col, label_col, positives, negatives)
     if not prior:
         return np.zeros(1 << BITS, np.float32), -np.inf
-    rows = docs.select(id_col, text_col).join(F.broadcast(chosen), id_col).select("y", F.xxhash64(text_col).alias("h"), text_col).toArrow().combine_chunks()
-    rows = rows.sort_by([("h", "ascending"), ("y", "ascending")])
-    toxic = rows["y"].to_numpy()
-    bags = [bag(buf)[2:] for chunk in rows[text_col].chunks for buf in texts(chunk)]
-    return fit_noisy_or(bags, toxic, prior)
+    rows = docs.select(id_col, text_col).join(F.broadcast(chosen), id_col).select("y", F.xxhash64(text_col).alias("h"), text_col).toArrow()
+    order = np.lexsort((rows["y"].to_numpy(), rows["h"].to_numpy()))  # the fit does not depend on how rows came
+    held = [buf for chunk in rows[text_col].chunks for buf in texts(chunk)]
+    model = fit_noisy_or(lambda: (bag(held[i])[2:] for i in order.tolist()), rows["y"].to_numpy()[order], prior)
+    del rows, held
+    pa.default_memory_pool().release_unused()
+    return model
 
 
 def score(docs: DataFrame, model: tuple[np.ndarray, float], id_col: str = "doc_id", text_col: str = "text", offends: float = 0.5) -> DataFrame:
