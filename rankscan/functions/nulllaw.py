@@ -94,7 +94,8 @@ class Law:
 
     def __init__(self, n: int, w_max: int, masses: list[np.ndarray], samples: int | None = None):
         self.n, self.w_max, self.samples = n, min(w_max, n), samples
-        self.mass = [np.asarray(m, float) for m in masses]
+        # an exact law is symmetric; so are its tails, to the last bit, if the rounding is made so too
+        self.mass = [np.asarray(m, float) if samples else (np.asarray(m, float) + np.asarray(m, float)[::-1]) / 2 for m in masses]
         self.lower = [np.minimum(np.cumsum(m), 1.0) for m in self.mass]
         self.upper = [np.minimum(np.cumsum(m[::-1])[::-1], 1.0) for m in self.mass]
 

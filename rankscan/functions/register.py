@@ -65,7 +65,7 @@ def discord_score(value: pd.Series, t: pd.Series) -> float:
 
 @udtf(returnType="series_id string, s int, w int, log10_p double, hits int")
 class EventRegions:
-    """SELECT * FROM event_regions(TABLE(series) PARTITION BY series_id ORDER BY t, w_max): one series is held at a time."""
+    """SELECT * FROM event_regions(TABLE(series) PARTITION BY (series_id) ORDER BY (t), w_max): one series is held at a time."""
 
     def __init__(self):
         self.rows: list[tuple[int, float]] = []

@@ -253,4 +253,7 @@ SQL["asof_region_order"] = "SELECT e.event_id, e.user_id, p.value AS last_purcha
 _put("semi_series_with_event", V_SURF, last="SELECT vec_id, label FROM embeddings WHERE vec_id::varchar IN (SELECT series_id FROM surf WHERE log10_p <= -4)")
 _put("anti_series_without_event", V_SURF, last="SELECT vec_id, label FROM embeddings WHERE vec_id::varchar NOT IN (SELECT series_id FROM surf WHERE log10_p <= -4)")
 _put("profile_series", HOURLY, last="SELECT series_id, count(*) AS points, count(DISTINCT value) AS levels, median(value) AS middle, round(stddev_samp(value), 9) AS sd, max(value) AS most FROM s GROUP BY 1")
-SQL["stream_events_hourly"] = "SELECT event_type AS series_id, (epoch_us(ts) - 1704067200000000) // 3600000000 + 1 AS t, count(*)::double AS value FROM events GROUP BY 1, 2"
+SQL["stream_events_hourly"] = """
+WITH e AS (SELECT event_type AS series_id, (epoch_us(ts) - 1704067200000000) // 3600000000 + 1 AS t, count(*)::double AS value FROM events GROUP BY 1, 2)
+SELECT * FROM e WHERE 1704067200000000 + t * 3600000000 <= (SELECT max(epoch_us(ts)) FROM events)
+"""

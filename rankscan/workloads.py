@@ -515,7 +515,7 @@ def rollup_region_hits(spark, d):
 
 @query
 def pivot_direction_by_region(spark, d):
-    return _supplier_best(spark, d).groupBy("region").pivot("direction", ["high", "low"]).agg(F.count("*")).na.fill(0, ["high", "low"])
+    return _supplier_best(spark, d).groupBy("region").pivot("direction", ["high", "low"]).agg(F.count("direction")).na.fill(0, ["high", "low"])
 
 
 @query
@@ -711,20 +711,18 @@ def trend_report(spark, d):
 def udtf_event_regions(spark, d):
     sql_functions.register(spark)
     C.vector_series(spark, d).createOrReplaceTempView("vector_points")
-    return spark.sql("SELECT * FROM event_regions(TABLE(SELECT * FROM vector_points) PARTITION BY series_id ORDER BY t, 8)")
+    return spark.sql("SELECT * FROM event_regions(TABLE(SELECT * FROM vector_points) PARTITION BY (series_id) ORDER BY (t), 8)")
 
 
 @query
 def stream_events_hourly(spark, d):
-    """Hourly counts by a stream over the events file; the twin of the batch bins without the filled ones."""
+    """Hourly counts by a stream over the events file: the batch bins that the watermark has closed by the stream's end."""
     from rankscan.streaming.detect import tumbling_counts
 
     points = spark.readStream.schema(read_table(spark, d, "events").schema).option("pathGlobFilter", "events.parquet").parquet(d)
-    end = points.limit(0)
-    del end
     out = shared_path(spark, "stream")
     counts = tumbling_counts(points.select("event_type", "ts"), "event_type", late="0 seconds")
     run = counts.writeStream.format("parquet").option("path", f"{out}/rows").option("checkpointLocation", f"{out}/state").trigger(availableNow=True).start()
     run.awaitTermination()
     rows = spark.read.schema("series_id string, ts timestamp, value bigint").parquet(f"{out}/rows")
-    return rows.select("series_id", F.expr("(unix_micros(ts) - 1704067200000000) div 3600000000 + 1").alias("t"), F.col("value").cast("double").alias("value"))
+    return rows.select("series_id", (F.floor((P.micros("ts") - 1_704_067_200_000_000) / C.HOUR_US) + 1).alias("t"), F.col("value").cast("double").alias("value"))
