@@ -32,12 +32,12 @@ from .common import BROADCAST_ROWS, cut
 from .components import components
 from .textkernel import mix, shingle_set, texts
 
-#: The count table has 2 ** BITS buckets of 4 bytes whatever the corpus' size.
-BITS, CHUNK = 22, 1 << 16
+#: The count table has 2 ** BITS buckets of a byte (counts on a logarithmic scale) whatever the corpus' size.
+BITS, CHUNK = 24, 1 << 16
 #: A block's members and shingles, about.
 BLOCK_ROWS, BLOCK_SHINGLES = 1024, 1_000_000
 BINS = 64
-_MERGE = 1 << 22
+_MERGE = 1 << 20
 
 
 def _bucket(tokens: np.ndarray) -> np.ndarray:
@@ -45,15 +45,15 @@ def _bucket(tokens: np.ndarray) -> np.ndarray:
 
 
 def shingle_counts(docs: DataFrame, text_col: str, k: int) -> np.ndarray:
-    """How many sets hold a shingle of each bucket; only the table of fixed size comes to the driver."""
+    """How common the shingles of each bucket are; only the table of fixed size comes to the driver."""
 
     def count(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        total = np.zeros(1 << BITS, np.uint32)
+        total = np.zeros(1 << BITS, np.uint8)  # a task's counts end at 255, their sum does not
         held, size = [], 0
 
         def add() -> None:
-            if held:
-                total[:] += np.bincount(_bucket(np.concatenate(held)), minlength=1 << BITS).astype(np.uint32)
+            at, times = np.unique(_bucket(np.concatenate([*held, np.zeros(0, np.uint64)])), return_counts=True)
+            total[at] = np.minimum(total[at] + times, 255)
             held.clear()
 
         for batch in batches:
@@ -72,15 +72,16 @@ def shingle_counts(docs: DataFrame, text_col: str, k: int) -> np.ndarray:
         sums: dict[int, np.ndarray] = {}
         for batch in batches:
             for c, x in zip(batch.column(0).to_pylist(), batch.column(1)):
-                sums[c] = sums.get(c, 0) + np.frombuffer(zlib.decompress(x.as_py()), np.uint32)
+                sums[c] = sums.get(c, 0) + np.frombuffer(zlib.decompress(x.as_py()), np.uint8).astype(np.uint32)
         for c, x in sums.items():
-            yield pa.RecordBatch.from_arrays([pa.array([c], pa.int32()), pa.array([zlib.compress(x.tobytes(), 1)], pa.binary())], ["chunk", "counts"])
+            scaled = np.minimum(np.rint(8 * np.log2(1.0 + x)), 255).astype(np.uint8)
+            yield pa.RecordBatch.from_arrays([pa.array([c], pa.int32()), pa.array([zlib.compress(scaled.tobytes(), 1)], pa.binary())], ["chunk", "counts"])
 
     kind = "chunk int, counts binary"
     parts = docs.select(text_col).mapInArrow(count, kind).repartition(8, "chunk").mapInArrow(add_up, kind)
-    out = np.zeros(1 << BITS, np.uint32)
+    out = np.zeros(1 << BITS, np.uint8)
     for c, x in parts.collect():
-        out[c : c + CHUNK] = np.frombuffer(zlib.decompress(bytes(x)), np.uint32)
+        out[c : c + CHUNK] = np.frombuffer(zlib.decompress(bytes(x)), np.uint8)
     return out
 
 
