@@ -12,11 +12,11 @@ def _round(edges: DataFrame) -> DataFrame:
     """Every vertex's greater neighbours, then its lesser ones, move to its least neighbour."""
     both = edges.unionAll(edges.select(F.col("b").alias("a"), F.col("a").alias("b")))
     least = both.groupBy("a").agg(F.least(F.min("b"), F.col("a")).alias("m"))
-    large = both.join(least, "a").where(F.col("b") > F.col("a")).select(F.col("b").alias("a"), F.col("m").alias("b"))
+    large = both.join(least.hint("merge"), "a").where(F.col("b") > F.col("a")).select(F.col("b").alias("a"), F.col("m").alias("b"))
     large = large.where("a <> b").distinct()
     down = large.select(F.greatest("a", "b").alias("a"), F.least("a", "b").alias("b"))
     least = down.groupBy("a").agg(F.min("b").alias("m"))
-    small = down.join(least, "a").select("a", "b", "m")
+    small = down.join(least.hint("merge"), "a").select("a", "b", "m")
     out = small.select(F.col("b").alias("a"), F.col("m").alias("b")).unionAll(small.select("a", F.col("m").alias("b")))
     return out.where("a <> b").distinct()
 

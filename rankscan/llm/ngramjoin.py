@@ -295,6 +295,7 @@ def jaccard_join(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text"
     id_kind = docs.schema["doc_id"].dataType.simpleString()
     slim = docs.select("doc_id", F.xxhash64("text").alias("text_key"), "text").mapInArrow(prefixes, f"doc_id {id_kind}, text_key bigint, n bigint, s1 bigint, s2 bigint, head array<bigint>, bins binary")
     rows = cut(slim.withColumn("rid", F.monotonically_increasing_id()))
+    counts.destroy()  # nothing after the cut reads it
     classes = cut(rows.where("n > 0").groupBy("s1", "s2", "n").agg(F.min("rid").alias("rid"), F.count("*").alias("weight"), F.min("doc_id").alias("least_id")))
     heads = rows.where("n > 0").join(classes.select("rid", "weight"), "rid")
     posts = heads.select("rid", "n", F.posexplode("head").alias("at", "token"))

@@ -9,7 +9,7 @@ from rankscan.llm import tokenfile as T
 PATH = public_tokenizers.path("byte_bpe_50k.json")
 TEXTS = [
     "Plain text, with words.", "", None, "two  spaces", "lines\nof\n\ntext \n here", "\n", " ", " lead", "trail ", "tab\tand\r\nreturn", "nb\xa0space x", "a\u2028b c", "\x1c x", "zero\x00byte x", "<|endoftext|> hi", "é ü ß 漢字 🙂 ok",
-    "it's we're 12 345 !!! $$$ x", "word " * 30_000, "\u3000 x\u3000y",
+    "end. a, b., c.. d.' e' 7. 8, .x ,y é. 漢, _. a_.", "it's we're 12 345 !!! $$$ x", "word " * 30_000, "\u3000 x\u3000y",
 ]
 
 
