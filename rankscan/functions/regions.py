@@ -25,12 +25,15 @@ def cluster(s, w, log10_p, theta: float) -> list[list[int]]:
     """Greedy complete linkage: the best first; a candidate joins the first cluster of which it overlaps every member."""
     order = np.lexsort((w, s, log10_p))
     out: list[list[int]] = []
+    lead_s, lead_w = np.zeros(len(order), np.int64), np.zeros(len(order), np.int64)
     for i in order.tolist():
-        for members in out:
-            if np.all(overlaps(s[i], w[i], s[members], w[members], theta)):
-                members.append(i)
+        # only clusters whose first member it overlaps can take it; of those the earliest that agrees as a whole does
+        for k in np.flatnonzero(overlaps(s[i], w[i], lead_s[: len(out)], lead_w[: len(out)], theta)).tolist():
+            if np.all(overlaps(s[i], w[i], s[out[k]], w[out[k]], theta)):
+                out[k].append(i)
                 break
         else:
+            lead_s[len(out)], lead_w[len(out)] = s[i], w[i]
             out.append([i])
     return out
 

@@ -5,6 +5,8 @@ from __future__ import annotations
 from pyspark.sql import Column, DataFrame, SparkSession
 from pyspark.sql import functions as F
 
+from rankscan.sources.tables import cut
+
 WIDTHS, HEIGHTS = 19, 17
 
 
@@ -65,6 +67,7 @@ def plant(series: DataFrame, share: int, height: float, bump_theta: float, seed:
     peak = F.floor(0.2 * F.col("n") + uniform(F.lit(seed), F.lit("peak"), F.col("series_id")) * 0.6 * F.col("n")).cast("bigint")
     half = int(2 * bump_theta + 0.999999)
     truth = ends.where(pick).select("series_id", F.lit("single").alias("kind"), F.lit(0).alias("event_no"), peak.alias("t_peak"), (peak - half).alias("t_lo"), (peak + half).alias("t_hi"), F.lit(float(height)).alias("height"), F.lit(float(bump_theta)).alias("bump_theta"))
-    all_rows = series.join(robust_sigma(series), "series_id").join(truth.select("series_id", "t_peak"), "series_id", "left")
+    truth = cut(truth)
+    all_rows = series.join(cut(robust_sigma(series)), "series_id").join(truth.select("series_id", "t_peak"), "series_id", "left")
     bump = F.col("sigma") * height * F.exp(-F.pow(F.col("t") - F.col("t_peak"), 2) / (2 * bump_theta**2))
     return all_rows.select("series_id", "t", (F.col("value") + F.coalesce(bump, F.lit(0.0))).alias("value")), truth
