@@ -270,6 +270,17 @@ def _sorted(tiles: DataFrame) -> DataFrame:
     return tiles.repartition(*keys).sortWithinPartitions(*keys, "side", "n", "rid")
 
 
+def _not_within(members: DataFrame) -> DataFrame:
+    """Members of groups that do not lie within a greater one that every member of theirs has as its greatest.
+
+    A member's greatest group (by size, then bucket) is never left out, as that member itself names it; so each pair of
+    a group left out is met in a group that stays.
+    """
+    greatest = members.groupBy("rid").agg(F.max(F.struct("c", "bucket")).getField("bucket").alias("greatest"))
+    named = members.join(greatest, "rid").groupBy("bucket").agg(F.min("greatest").alias("lo"), F.max("greatest").alias("hi"))
+    return members.join(named.where("lo <> hi or lo = bucket").select("bucket"), "bucket")
+
+
 def jaccard_join(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text", k: int = 3, threshold: Fraction = Fraction(9, 10)) -> DataFrame:
     """Per row: id, n_shingles, component_id, n_links (rows it links with), text_key, leads (True for one row of each component)."""
     t = Fraction(threshold)
@@ -306,8 +317,7 @@ def jaccard_join(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text"
     mark = F.xxhash64("rid")
     sizes = sifted.groupBy("bucket").agg(F.count("*").alias("c"), F.bit_xor(mark).alias("x1"), F.sum(F.shiftright(mark, 20)).alias("x2"))
     groups = sizes.groupBy("c", "x1", "x2").agg(F.min("bucket").alias("bucket"))
-    many = groups.select("bucket", F.ceil(F.col("c") / BLOCK_ROWS).cast("int").alias("by_rows"))
-    sifted = cut(sifted.join(many, "bucket"))
+    sifted = cut(_not_within(sifted.join(groups.select("bucket", "c"), "bucket")).withColumn("by_rows", F.ceil(F.col("c") / BLOCK_ROWS).cast("int")))
     live = cut(sifted.groupBy("rid").agg(F.array_sort(F.collect_list("bucket")).alias("buckets")).join(heads.select("rid", "n", "weight", "doc_id", "text_key", "bins"), "rid"))
     weighed = sifted.join(live.select("rid", F.col("n").alias("_n")), "rid").groupBy("bucket").agg(F.ceil(F.sum("_n") / BLOCK_SHINGLES).cast("int").alias("by_size"))
     left = sifted.join(weighed, "bucket").select("rid", "bucket", "at", F.greatest("by_rows", "by_size").alias("blocks"))
