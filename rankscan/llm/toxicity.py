@@ -8,8 +8,8 @@ The fit uses a bounded sample: at most ``positives`` and ``negatives`` labelled
 from rows that are not held out. Scores of all documents come from whole texts.
 
 Defined cases: null, empty and wordless texts have the score of an empty bag, 0; a row with a null id is scored and held out; repeated
-rows are scored alike; repeated labels of an id count as toxic if one is; without any toxic training label every
-score is 0. Columns other than id and text are not read.
+rows are scored alike; repeated labels of an id count as toxic if one is; without any toxic training label, or
+without any labelled document, every score is 0. Columns other than id and text are not read.
 """
 
 from __future__ import annotations
@@ -115,17 +115,28 @@ def _sample(labels: DataFrame, id_col: str, label_col: str, positives: int, nega
 
 
 def train(docs: DataFrame, labels: DataFrame, id_col: str = "doc_id", text_col: str = "text", label_col: str = "toxic", positives: int = 2500, negatives: int = 5000) -> tuple[np.ndarray, float]:
-    """Fits on at most ``positives`` + ``negatives`` labelled documents; their texts alone come to the driver."""
+    """Fits on at most ``positives`` + ``negatives`` labelled documents, in one task whose input that bounds; only the model comes to the driver."""
     chosen, prior = _sample(labels, id_col, label_col, positives, negatives)
     if not prior:
         return np.zeros(1 << BITS, np.float32), -np.inf
-    rows = docs.select(id_col, text_col).join(F.broadcast(chosen), id_col).select("y", F.xxhash64(text_col).alias("h"), text_col).toArrow()
-    order = np.lexsort((rows["y"].to_numpy(), rows["h"].to_numpy()))  # the fit does not depend on how rows came
-    held = [buf for chunk in rows[text_col].chunks for buf in texts(chunk)]
-    model = fit_noisy_or(lambda: (bag(held[i])[2:] for i in order.tolist()), rows["y"].to_numpy()[order], prior)
-    del rows, held
-    pa.default_memory_pool().release_unused()
-    return model
+    rows = docs.select(id_col, text_col).join(F.broadcast(chosen), id_col).select("y", F.xxhash64(text_col).alias("h"), text_col)
+
+    def fit(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        if not (parts := list(batches)):
+            return
+        sample = pa.Table.from_batches(parts)
+        order = np.lexsort((sample["y"].to_numpy(), sample["h"].to_numpy()))  # the fit does not depend on how rows came
+        held = [buf for chunk in sample["text"].chunks for buf in texts(chunk)]
+        full, bias = fit_noisy_or(lambda: (bag(held[i])[2:] for i in order.tolist()), sample["y"].to_numpy()[order], prior)
+        at = np.flatnonzero(full)
+        yield pa.RecordBatch.from_arrays([pa.array([at.astype(np.int32).tobytes()]), pa.array([full[at].tobytes()]), pa.array([float(bias)])], ["at", "weights", "bias"])
+
+    one = rows.toDF("y", "h", "text").repartition(1).mapInArrow(fit, "at binary, weights binary, bias double").first()
+    full = np.zeros(1 << BITS, np.float32)
+    if one is None:
+        return full, -np.inf
+    full[np.frombuffer(one["at"], np.int32)] = np.frombuffer(one["weights"], np.float32)
+    return full, one["bias"]
 
 
 def score(docs: DataFrame, model: tuple[np.ndarray, float], id_col: str = "doc_id", text_col: str = "text", offends: float = 0.5) -> DataFrame:
