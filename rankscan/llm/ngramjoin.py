@@ -28,7 +28,7 @@ import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from .common import BROADCAST_ROWS, cut
+from .common import BROADCAST_ROWS, cut, small_batches
 from .components import components
 from .textkernel import mix, shingle_set, texts
 
@@ -37,6 +37,8 @@ BITS, CHUNK = 24, 1 << 16
 #: A block's members and shingles, about.
 BLOCK_ROWS, BLOCK_SHINGLES = 1024, 1_000_000
 BINS = 64
+#: Rows of a batch that goes to a worker, and bytes of sets in one that comes back.
+BATCH_ROWS, BATCH_BYTES = 512, 1 << 22
 _MERGE = 1 << 20
 
 
@@ -283,7 +285,12 @@ def _not_within(members: DataFrame) -> DataFrame:
 
 def jaccard_join(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text", k: int = 3, threshold: Fraction = Fraction(9, 10)) -> DataFrame:
     """Per row: id, n_shingles, component_id, n_links (rows it links with), text_key, leads (True for one row of each component)."""
-    t = Fraction(threshold)
+    with small_batches(docs.sparkSession, BATCH_ROWS):
+        return _joined(docs, id_col, text_col, k, Fraction(threshold))
+
+
+def _joined(docs: DataFrame, id_col: str, text_col: str, k: int, t: Fraction) -> DataFrame:
+    """All that runs Python is executed here; what is returned only joins its results."""
     spark = docs.sparkSession
     docs = docs.select(F.col(id_col).alias("doc_id"), F.col(text_col).alias("text"))
     counts = spark.sparkContext.broadcast(shingle_counts(docs, "text", k))
@@ -324,7 +331,16 @@ def jaccard_join(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text"
 
     def sets(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for batch in batches:
-            yield pa.RecordBatch.from_arrays([batch.column(0), pa.array([shingle_set(buf, k).tobytes() for buf in texts(batch.column(1))], pa.binary())], ["rid", "tokens"])
+            rids, held, size = [], [], 0
+            for rid, buf in zip(batch.column(0).to_pylist(), texts(batch.column(1))):
+                rids.append(rid)
+                held.append(shingle_set(buf, k).tobytes())
+                size += len(held[-1])
+                if size >= BATCH_BYTES:
+                    yield pa.RecordBatch.from_arrays([pa.array(rids, pa.int64()), pa.array(held, pa.binary())], ["rid", "tokens"])
+                    rids, held, size = [], [], 0
+            if rids:
+                yield pa.RecordBatch.from_arrays([pa.array(rids, pa.int64()), pa.array(held, pa.binary())], ["rid", "tokens"])
 
     wanted = live.select("rid", F.col("doc_id").alias("_id"), F.col("text_key").alias("_key"))
     wanted = F.broadcast(wanted) if live.count() <= BROADCAST_ROWS else wanted
