@@ -6,11 +6,16 @@ long texts, repeated rows and empty tables are handled as each operator states.
 
 from __future__ import annotations
 
+from fractions import Fraction
+
 from pyspark.sql import DataFrame, SparkSession
 
 from rankscan.llm import decontaminate, mixture, ngramjoin, queries, tokenfile, toxicity
 from rankscan.llm.common import shared_path, table, without
 
+#: The near-duplicate stage's rule: words of a shingle, least Jaccard similarity of two documents' sets.
+NEAR_WORDS, NEAR_SHARE = 5, Fraction(4, 5)
+
 
 def toxicity_stage(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
     """Documents whose score is at least 0.5 go."""
@@ -19,8 +24,11 @@ def toxicity_stage(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFra
 
 
 def ngram_stage(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
-    """One document of each component of the n-gram join stays, that of the least id; of equal rows one stays."""
-    joined = ngramjoin.jaccard_join(docs)
+    """One document of each component of the n-gram join stays, that of the least id; of equal rows one stays.
+
+    Near copies share at least 4/5 of their five-word shingles; op4's three words and 9/10 bind that query alone.
+    """
+    joined = ngramjoin.jaccard_join(docs, k=NEAR_WORDS, threshold=NEAR_SHARE)
     repeated = joined.groupBy("doc_id", "text_key").count().where("count > 1")
     kept = docs if repeated.isEmpty() else docs.dropDuplicates(["doc_id", "text"])
     return without(kept, ngramjoin.one_of_each(joined))

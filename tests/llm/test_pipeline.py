@@ -25,6 +25,14 @@ def test_repeated_rows_leave_one(spark):
     assert sorted(r[0] for r in kept.collect()) == [1, 3, 4]
 
 
+def test_near_copies_with_two_percent_of_words_changed_leave_one(spark):
+    words = [f"w{i}" for i in range(500)]
+    near = ["other" if i % 50 == 25 else w for i, w in enumerate(words)]  # 10 of 500: above 0.8 on five words, below 0.9 on three
+    far = ["other" if i % 20 == 10 else w for i, w in enumerate(words)]
+    docs = spark.createDataFrame([(1, " ".join(words)), (2, " ".join(near)), (3, " ".join(far))], "doc_id bigint, text string")
+    assert sorted(r[0] for r in P.ngram_stage(spark, docs, TINY).collect()) == [1, 3]
+
+
 @pytest.mark.parametrize("n", [0])
 def test_empty_documents(spark, n):
     docs = spark.read.parquet(f"{TINY}/documents.parquet").limit(n)
