@@ -102,6 +102,29 @@ def search_segments(
     return segments.mapInPandas(run, kind)
 
 
+def best_windows(segments: DataFrame, w_max: int, mode: str = "tail") -> DataFrame:
+    """Each segment's best window of all, by scores of six decimals as ``scan_sql`` has them; of equal ones the earliest,
+    then the shortest."""
+    held = segments.sparkSession.sparkContext.broadcast(law_tables(lengths_of(segments), w_max, mode))
+
+    def run(batches: Iterator[pd.DataFrame]) -> Iterator[pd.DataFrame]:
+        for pdf in batches:
+            rows = []
+            for row in pdf.itertuples(index=False):
+                f = R.Surface(_ranks(row, "none", "hashed", 42), held.value[row.n][0], 1, w_max)
+                each = []
+                for w in range(1, f.w_max + 1):
+                    q, p = f.row(w)
+                    p = np.round(p, 6)
+                    i = int(p.argmin())
+                    each.append((float(p[i]), int(row.seg_start) + i, w, int(q[i])))
+                p, s, w, q = min(each)
+                rows.append((row.series_id, s, w, q, p))
+            yield pd.DataFrame(rows, columns=["series_id", "s", "w", "q", "log10_p"])
+
+    return segments.mapInPandas(run, "series_id string, s int, w int, q bigint, log10_p double")
+
+
 def local_minima(f: R.Surface) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
     """Windows whose score no neighbour beats; of equal neighbours the first (by width, then start) counts."""
     grid = np.full((f.w_max - f.w_min + 3, f.n + 2), np.inf)

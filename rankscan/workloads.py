@@ -28,6 +28,8 @@ from rankscan.sources.tables import cut, read_table, shared_path
 QUERIES: dict[str, Callable[[SparkSession, str], DataFrame]] = {}
 #: Every so-manieth series of the planted grid, its series length and widest window, in the queries that SQL repeats.
 GRID = {"every": 10, "n": 200, "w_max": 16}
+#: The whole study, in the queries named *_whole; SQL cannot hold the law of so wide windows.
+STUDY = {"every": 1, "n": 1000, "w_max": 100}
 
 
 def query(f: Callable) -> Callable:
@@ -443,10 +445,24 @@ def planted_grid_values(spark, d):
     return _grid(spark)[1]
 
 
+@query
+def planted_grid_values_whole(spark, d):
+    return _grid(spark, **STUDY)[1]
+
+
+def _outliers(spark, g):
+    truth, values = _grid(spark, **g)
+    return planted.add_outlier(values, truth, g["n"])
+
+
 @query
 def planted_outlier_values(spark, d):
-    truth, values = _grid(spark)
-    return planted.add_outlier(values, truth, GRID["n"])
+    return _outliers(spark, GRID)
+
+
+@query
+def planted_outlier_values_whole(spark, d):
+    return _outliers(spark, STUDY)
 
 
 @query
@@ -460,40 +476,38 @@ def _grid_ranked(spark):
     return cut(truth), cut(ranked)
 
 
-@query
-def recall_report(spark, d):
-    truth, ranked = _grid_ranked(spark)
-    return M.recall_at(ranked, truth, [1, 5, 10, 15, 20, 25, 50, 100]).withColumn("recall", F.round("recall", 9))
-
+def _scanned(series: DataFrame, n: int, w_max: int) -> DataFrame:
+    """The best among all windows of each series of at most n points, from workers."""
+    return S.best_windows(cut(P.segment(series, n, w_max)), w_max)
 
-@query
-def rank_summary_report(spark, d):
-    truth, ranked = _grid_ranked(spark)
-    return M.rank_summary(M.known_ranks(ranked, truth))
 
+def _study_ranked(spark):
+    truth, values = _grid(spark, **STUDY)
+    return cut(truth), cut(K.rank_events(_scanned(values, STUDY["n"], STUDY["w_max"]), per_series="best"))
 
-@query
-def false_positive_report(spark, d):
-    truth, ranked = _grid_ranked(spark)
-    return M.false_positives_in_top(ranked, truth)
 
+#: Reports from a ranking and the truth; each is a query over the grid that SQL repeats and one over the whole study.
+REPORTS = {
+    "recall_report": lambda ranked, truth: M.recall_at(ranked, truth, [1, 5, 10, 15, 20, 25, 50, 100]).withColumn("recall", F.round("recall", 9)),
+    "rank_summary_report": lambda ranked, truth: M.rank_summary(M.known_ranks(ranked, truth)),
+    "false_positive_report": M.false_positives_in_top,
+    "separation_report": M.separation,
+    "interval_join_truth": lambda ranked, truth: M.match_truth(ranked, truth).select("series_id", "event_no", "s", "w"),
+    "full_recall_report": lambda ranked, truth: M.percent_for_full_recall(ranked, truth).withColumn("percent", F.round("percent", 9)),
+}
 
-@query
-def separation_report(spark, d):
-    truth, ranked = _grid_ranked(spark)
-    return M.separation(ranked, truth)
 
+def _report(ranking: Callable, report: Callable) -> Callable:
+    def run(spark, d):
+        truth, ranked = ranking(spark)
+        return report(ranked, truth)
 
-@query
-def interval_join_truth(spark, d):
-    truth, ranked = _grid_ranked(spark)
-    return M.match_truth(ranked, truth).select("series_id", "event_no", "s", "w")
+    return run
 
 
-@query
-def full_recall_report(spark, d):
-    truth, ranked = _grid_ranked(spark)
-    return M.percent_for_full_recall(ranked, truth).withColumn("percent", F.round("percent", 9))
+for _name, _f in REPORTS.items():
+    _named(_name, _report(_grid_ranked, _f))
+    _named(f"{_name}_whole", _report(_study_ranked, _f))
 
 
 # ---- relational surface -----------------------------------------------------------------------------------------------------
