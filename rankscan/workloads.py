@@ -602,8 +602,9 @@ def detect_hourly_points(spark, d):
     return detect_events(C.event_points(spark, d), 720, 48, search="powell", restarts=50)
 
 
-def _packed_grid(spark, every=5, n=1000):
-    truth = planted.grid_truth(spark, n, every=every)
+def _packed_grid(spark, n=1000):
+    """All 2,000 series of the study, packed."""
+    truth = planted.grid_truth(spark, n)
     return truth, cut(P.segment(planted.grid_values(truth, n), n, 100))
 
 
@@ -614,13 +615,13 @@ def _powell(packed, r, **more):
 @query
 def detect_powell_grid(spark, d):
     """The synthetic study: all 2,000 series of 1,000 points, 30 restarts, best region of each."""
-    return K.rank_events(_powell(_packed_grid(spark, 1)[1], 30), per_series="best").drop("members")
+    return K.rank_events(_powell(_packed_grid(spark)[1], 30), per_series="best").drop("members")
 
 
 @query
 def synthetic_report(spark, d):
     """Events in the top ranks, false positives and the gap, for the method and for discords, without and with outliers."""
-    truth = planted.grid_truth(spark, 1000, every=5)
+    truth = planted.grid_truth(spark, 1000)
     plain = planted.grid_values(truth, 1000)
     known = truth.where("kind <> 'none'").select("series_id").distinct()
     out = []
@@ -636,31 +637,31 @@ def synthetic_report(spark, d):
 
 @query
 def cluster_regions_grid(spark, d):
-    return K.rank_events(_powell(_packed_grid(spark, 20)[1], 30)).select("series_id", "region_id", "s", "w", "log10_p", "hits", "hit_share", "global_rank")
+    return K.rank_events(_powell(_packed_grid(spark)[1], 30)).select("series_id", "region_id", "s", "w", "log10_p", "hits", "hit_share", "global_rank")
 
 
 @query
 def pivot_restart_curve(spark, d):
-    truth, packed = _packed_grid(spark, 5)
+    truth, packed = _packed_grid(spark)
     return M.restart_curve(lambda r: _powell(packed, r), truth, [5, 10, 20, 30, 50])
 
 
 @query
 def misses_by_bump_width(spark, d):
-    truth, packed = _packed_grid(spark, 5)
+    truth, packed = _packed_grid(spark)
     return M.misses_by_width(M.found_events(_powell(packed, 10), truth, -8.0))
 
 
 @query
 def theta_sweep(spark, d):
-    _, packed = _packed_grid(spark, 40)
+    _, packed = _packed_grid(spark)
     return M.theta_curve(_powell(packed, 30, output="candidates"), [0.05, 0.25, 0.5, 0.75, 0.95]).groupBy("theta").agg(F.sum("regions").alias("regions"), F.min("best_log10_p").alias("best"))
 
 
 @query
 def minimiser_gap(spark, d):
     """How far each minimiser stays from the true minimum, and what it costs."""
-    _, packed = _packed_grid(spark, 20)
+    _, packed = _packed_grid(spark)
     exact = cut(S.search_segments(packed, 100, search="exhaustive", output="candidates"))
     out = []
     for name, more in {"powell": {}, "coordinate": {}, "pattern": {}, "powell log": {"spread": "log"}}.items():
@@ -712,7 +713,7 @@ def low_chi2_report(spark, d):
 @query
 def trend_report(spark, d):
     """A bump on a ramp: regions with and without detrending, by score and by frequency."""
-    truth = planted.grid_truth(spark, 1000, singles=323, doubles=0, nulls=0, every=40)
+    truth = planted.grid_truth(spark, 1000, singles=323, doubles=0, nulls=0)
     ramp = planted.grid_values(truth, 1000).withColumn("value", F.col("value") + F.col("t") * 0.05)
     out = []
     for how in ("none", "linear"):

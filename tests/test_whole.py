@@ -34,6 +34,13 @@ def test_the_whole_study_has_every_series(spark, grids, name):
     assert grids == [(1000, 1)] and W.STUDY["w_max"] == 100
 
 
+@pytest.mark.parametrize("name", ["pivot_restart_curve", "misses_by_bump_width", "synthetic_report", "theta_sweep", "minimiser_gap", "cluster_regions_grid", "trend_report"])
+def test_experiments_take_every_series(spark, grids, name):
+    with pytest.raises(Stop):
+        W.QUERIES[name](spark, "")
+    assert grids == [(1000, 1)]
+
+
 def test_best_windows_by_workers_are_those_by_sql(spark):
     values = planted.grid_values(planted.grid_truth(spark, 90, every=80), 90).cache()
     got = K.rank_events(W._scanned(values, 90, 40), per_series="best").collect()
