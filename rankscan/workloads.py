@@ -314,6 +314,12 @@ def best_interval_events_hourly(spark, d):
     return _best(S.scan_sql(C.events_hourly(spark, d), [720], 6))
 
 
+@query
+def best_interval_events_hourly_wide(spark, d):
+    """Among all widths that detection uses on hours, not only those that SQL repeats."""
+    return _scanned(C.events_hourly(spark, d), 720, 48)
+
+
 @query
 def best_interval_critical_filter(spark, d):
     return S.critical_filter(C.vector_series(spark, d), 64, 8, 1e-3)
@@ -511,25 +517,28 @@ for _name, _f in REPORTS.items():
 
 
 # ---- relational surface -----------------------------------------------------------------------------------------------------
-def _supplier_best(spark, d):
-    best = _best(S.scan_sql(C.supplier_weekly(spark, d), [357], 6))
+def _with_tiles(spark, d, best):
     high = F.when(2 * F.col("q") > F.col("w") * 358, "high").otherwise("low")
     return best.withColumn("direction", high).join(C.supplier_tiles(spark, d), "series_id")
 
 
-@query
-def cube_events_by_tile(spark, d):
-    return _supplier_best(spark, d).cube("region", "direction").agg(F.count("*").alias("series"), F.min("log10_p").alias("best"), F.grouping_id().cast("bigint").alias("level"))
+def _supplier_best(spark, d):
+    return _with_tiles(spark, d, _best(S.scan_sql(C.supplier_weekly(spark, d), [357], 6)))
 
 
-@query
-def rollup_region_hits(spark, d):
-    return _supplier_best(spark, d).rollup("region", "nation").agg(F.count("*").alias("series"), F.sum("w").alias("width"))
+def _supplier_best_wide(spark, d):
+    return _with_tiles(spark, d, _scanned(C.supplier_weekly(spark, d), 357, 40))
 
 
-@query
-def pivot_direction_by_region(spark, d):
-    return _supplier_best(spark, d).groupBy("region").pivot("direction", ["high", "low"]).agg(F.count("direction")).na.fill(0, ["high", "low"])
+#: Tables of the suppliers' best windows; each is a query over the widths that SQL repeats and one over those of detection.
+TILES = {
+    "cube_events_by_tile": lambda best: best.cube("region", "direction").agg(F.count("*").alias("series"), F.min("log10_p").alias("best"), F.grouping_id().cast("bigint").alias("level")),
+    "rollup_region_hits": lambda best: best.rollup("region", "nation").agg(F.count("*").alias("series"), F.sum("w").alias("width")),
+    "pivot_direction_by_region": lambda best: best.groupBy("region").pivot("direction", ["high", "low"]).agg(F.count("direction")).na.fill(0, ["high", "low"]),
+}
+for _name, _f in TILES.items():
+    _named(_name, lambda spark, d, f=_f: f(_supplier_best(spark, d)))
+    _named(f"{_name}_wide", lambda spark, d, f=_f: f(_supplier_best_wide(spark, d)))
 
 
 @query

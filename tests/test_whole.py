@@ -2,10 +2,14 @@
 
 import pytest
 
+from pyspark.sql import functions as F
+
 from rankscan import workloads as W
 from rankscan.operators import ranking as K
 from rankscan.operators import scan as S
+from rankscan.sources import families as C
 from rankscan.sources import planted
+from tests.conftest import TINY
 
 REPORTS = ["recall_report", "rank_summary_report", "false_positive_report", "separation_report", "interval_join_truth", "full_recall_report"]
 
@@ -48,3 +52,15 @@ def test_best_windows_by_workers_are_those_by_sql(spark):
     assert len(want) == 25 and max(r["w"] for r in want) > 16
     cols = ["series_id", "s", "w", "q", "log10_p", "global_rank"]
     assert sorted(tuple(r[c] for c in cols) for r in got) == sorted(tuple(r[c] for c in cols) for r in want)
+
+
+def test_best_windows_may_be_as_wide_as_in_detection(spark):
+    best = W._supplier_best_wide(spark, TINY).cache()
+    want = K.best_per_series(S.scan_sql(C.supplier_weekly(spark, TINY), [357], 40))
+    cols = ["series_id", "s", "w", "q", "log10_p"]
+    assert sorted(map(tuple, best.select(*cols).collect())) == sorted(map(tuple, want.select(*cols).collect()))
+    assert best.agg(F.max("w")).first()[0] > 6
+    rolled = W.QUERIES["rollup_region_hits_wide"](spark, TINY).where("region is null").first()
+    assert (rolled["series"], rolled["width"]) == best.agg(F.count("*"), F.sum("w")).first()[:]
+    hours = W.QUERIES["best_interval_events_hourly_wide"](spark, TINY).agg(F.max("w")).first()[0]
+    assert hours > 6
