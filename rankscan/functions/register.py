@@ -14,6 +14,10 @@ from rankscan.functions import nulllaw as N
 from rankscan.functions import regions as R
 
 
+#: Widest window where none is given, as in ``detect_events``.
+W_MAX = 100
+
+
 def _law(n: int, w_max: int, held: dict = {}) -> N.Law:  # noqa: B006  one worker's laws, a few at most
     if (n, w_max) not in held:
         if len(held) > 8:
@@ -44,11 +48,11 @@ def interval_log10_p(q: pd.Series, w: pd.Series, n: pd.Series) -> pd.Series:
 
 
 @pandas_udf(ArrayType(DoubleType()))
-def best_interval(value: pd.Series, t: pd.Series) -> list:
-    """Aggregate: (s, w, log10_p) of a series' most significant window of at most an eighth of its length (at least 3)."""
+def best_interval(value: pd.Series, t: pd.Series, w_max: pd.Series = None) -> list:
+    """Aggregate: (s, w, log10_p) of a series' most significant window of at most ``w_max`` points (100, as in detection)."""
     order = np.argsort(t.to_numpy(), kind="stable")
     v, at = value.to_numpy()[order], t.to_numpy()[order]
-    w_max = max(min(3, len(v)), len(v) // 8)
+    w_max = min(len(v), W_MAX if w_max is None else int(w_max.iloc[0]))
     f = R.Surface(R.hashed_ranks(v, "", at), _law(len(v), w_max).tables("tail"), 1, w_max)
     best = min((float(p.min()), w, int(p.argmin()) + 1) for w in range(1, f.w_max + 1) for p in [f.row(w)[1]])
     return [float(best[2]), float(best[1]), best[0]]
@@ -65,24 +69,31 @@ def discord_score(value: pd.Series, t: pd.Series) -> float:
 
 @udtf(returnType="series_id string, s int, w int, log10_p double, hits int")
 class EventRegions:
-    """SELECT * FROM event_regions(TABLE(series) PARTITION BY (series_id) ORDER BY (t), w_max): one series is held at a time."""
+    """SELECT * FROM event_regions(TABLE(series) PARTITION BY (series_id) ORDER BY (t), w_max [, restarts]): one series is held
+    at a time. The plane is searched whole or by restarts as ``choose_search`` has it; given restarts are always used."""
 
     def __init__(self):
         self.rows: list[tuple[int, float]] = []
-        self.series, self.w_max = "", 0
+        self.series, self.w_max, self.restarts = "", 0, None
 
-    def eval(self, row, w_max: int):
-        self.series, self.w_max = row["series_id"], w_max
+    def eval(self, row, w_max: int, restarts: int = None):
+        self.series, self.w_max, self.restarts = row["series_id"], w_max, restarts
         self.rows.append((row["t"], row["value"]))
 
     def terminate(self) -> Iterator[tuple]:
         if not self.rows:
             return
+        from rankscan.operators.scan import local_minima
+        from rankscan.plans.planner import choose_search
+
         t, v = (np.array(x) for x in zip(*self.rows))
         w_max = min(self.w_max, len(v))
         f = R.Surface(R.hashed_ranks(v.astype(float), self.series, t), _law(len(v), w_max).tables("tail"), 1, w_max)
-        s0, w0, angles = R.starts(self.series, 0, 10, len(v), 1, w_max, 42)
-        s, w, p, _ = R.powell(f, s0, w0, angles)
+        if self.restarts is None and choose_search(len(v), w_max) == "exhaustive":
+            s, w, p = local_minima(f)
+        else:
+            s0, w0, angles = R.starts(self.series, 0, 30 if self.restarts is None else self.restarts, len(v), 1, w_max, 42)
+            s, w, p, _ = R.powell(f, s0, w0, angles)
         for members in R.cluster(s, w, p, 0.75):
             i = members[0]
             yield self.series, int(s[i]), int(w[i]), float(p[i]), len(members)

@@ -327,8 +327,8 @@ def best_interval_critical_filter(spark, d):
 
 @query
 def best_interval_udaf(spark, d):
-    """The best window of every vector by an aggregate function."""
-    return C.vector_series(spark, d).groupBy("series_id").agg(sql_functions.best_interval("value", "t").alias("b")).select("series_id", F.col("b")[0].cast("int").alias("s"), F.col("b")[1].cast("int").alias("w"), F.round(F.col("b")[2], 6).alias("log10_p"))
+    """The best window of every vector by an aggregate function, among the widths that SQL repeats."""
+    return C.vector_series(spark, d).groupBy("series_id").agg(sql_functions.best_interval("value", "t", F.lit(8)).alias("b")).select("series_id", F.col("b")[0].cast("int").alias("s"), F.col("b")[1].cast("int").alias("w"), F.round(F.col("b")[2], 6).alias("log10_p"))
 
 
 # ---- overlap, ranking ---------------------------------------------------------------------------------------------------
