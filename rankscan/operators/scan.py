@@ -43,13 +43,13 @@ def _ranks(row, detrend: str, ties: str, seed: int) -> np.ndarray:
 
 
 def search_segments(
-    segments: DataFrame, w_max: int, w_min: int = 1, mode: str = "tail", search: str = "auto", restarts: int = 30, theta: float = 0.75, law: str = "exact", samples: int = 100_000,
+    segments: DataFrame, w_max: int, w_min: int = 1, mode: str = "tail", search: str = "exhaustive", restarts: int = 30, theta: float = 0.75, law: str = "exact", samples: int = 100_000,
     detrend: str = "none", ties: str = "hashed", alpha: float | None = None, seed: int = 42, spread: str = "uniform", output: str = "regions", exhaustive_cells: int = 200_000,
 ) -> DataFrame:
     """Ranks, searches and clusters every segment in one pass without a shuffle.
 
-    ``search``: exhaustive, powell, coordinate, pattern or auto (exhaustive while n * w_max stays below
-    ``exhaustive_cells``). ``output``: regions, candidates (one row per restart) or surface (all windows). With the
+    ``search``: exhaustive, powell, coordinate, pattern or auto (exhaustive while n * w_max is at most
+    ``exhaustive_cells``, powell for larger segments: there, approximate, and hits count restarts instead of minima). ``output``: regions, candidates (one row per restart) or surface (all windows). With the
     exhaustive search the candidates are the surface's local minima. Regions whose score is above alpha stay in the worker.
     """
     spark = segments.sparkSession

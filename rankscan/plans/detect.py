@@ -10,12 +10,14 @@ from rankscan.operators.scan import search_segments
 
 
 def detect_events(
-    series: DataFrame, n_s: int = 1000, w_max: int = 100, detrend: str = "linear", law: str = "exact", search: str = "auto", restarts: int = 30, theta: float = 0.75, score: str = "tail",
+    series: DataFrame, n_s: int = 1000, w_max: int = 100, detrend: str = "linear", law: str = "exact", search: str = "exhaustive", restarts: int = 30, theta: float = 0.75, score: str = "tail",
     ties: str = "hashed", alpha: float | None = None, seed: int = 42, short: str = "own_n", per_series: str = "all", samples: int = 100_000, w_min: int = 1, rank: bool = True,
 ) -> DataFrame:
     """Packs segments (the one shuffle of the points), then detrends, ranks, searches and clusters in one Arrow pass;
     only regions are shuffled after that: merged per series and numbered over the collection.
 
+    The whole plane is searched unless told otherwise; ``auto`` and ``powell`` are approximate (see ``search_segments``).
+
     ``series``: (series_id, t, value). A series without a valid value yields nothing.
     """
     packed = segment(series.select("series_id", "t", "value"), n_s, w_max, short=short)

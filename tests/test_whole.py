@@ -1,12 +1,16 @@
 """Queries of the whole study beside those that SQL repeats."""
 
+from inspect import signature
+
 import pytest
 
 from pyspark.sql import functions as F
 
 from rankscan import workloads as W
+from rankscan.operators import prepare as P
 from rankscan.operators import ranking as K
 from rankscan.operators import scan as S
+from rankscan.plans.detect import detect_events
 from rankscan.sources import families as C
 from rankscan.sources import planted
 from tests.conftest import TINY
@@ -64,3 +68,12 @@ def test_best_windows_may_be_as_wide_as_in_detection(spark):
     assert (rolled["series"], rolled["width"]) == best.agg(F.count("*"), F.sum("w")).first()[:]
     hours = W.QUERIES["best_interval_events_hourly_wide"](spark, TINY).agg(F.max("w")).first()[0]
     assert hours > 6
+
+
+def test_long_and_short_series_are_searched_alike_by_default(spark):
+    values = planted.grid_values(planted.grid_truth(spark, 80, every=500), 80).cache()
+    short = values.where("t <= 40").withColumn("series_id", F.concat(F.lit("short"), "series_id"))
+    packed = P.segment(values.union(short), 80, 10)
+    key = lambda df: sorted((r["series_id"], r["s"], r["w"], r["hits"]) for r in df.collect())
+    assert key(S.search_segments(packed, 10, exhaustive_cells=600)) == key(S.search_segments(packed, 10, search="exhaustive"))
+    assert signature(detect_events).parameters["search"].default == "exhaustive"
