@@ -1,5 +1,7 @@
-"""Named queries over the given tables: every method, variant, baseline, measure and experiment at least once.
+"""Named queries over the given tables: methods, variants, baselines, measures and experiments.
 
+Without a query: ``hits_in_top``, ``scaling_curve``, ``sliding_counts``, ``sessions``, ``deduplicated``, and segment lengths of
+250, 500 and 1,000 on daily orders.
 Each takes (spark, sf_dir) and runs over whole tables. ``oracles.py`` has DuckDB SQL for those that SQL can express.
 """
 
