@@ -25,7 +25,7 @@ from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 from pyspark.sql import Window
 
-from .common import cut
+from .common import cut, lean
 
 BLOCK_ROWS = 16_384
 
@@ -172,6 +172,6 @@ def top_k(vectors: DataFrame, id_col: str = "vec_id", vector_col: str = "embeddi
     asked = rows.where(F.pmod("vec_id", F.lit(query_every)) == 0)
     asked = asked.select(F.explode(F.sequence(F.lit(0), F.lit(blocks - 1))).alias("block"), F.lit(1).alias("query"), "vec_id", "q")
     dealt = index.unionAll(asked).repartition(blocks, "block").sortWithinPartitions("block", "query", "vec_id")
-    found = cut(dealt.mapInArrow(_search(k), "query_id bigint, vec_id bigint, score bigint"))
+    found = cut(dealt.mapInArrow(lean(_search(k)), "query_id bigint, vec_id bigint, score bigint"))
     order = Window.partitionBy("query_id").orderBy(F.col("score").desc(), "vec_id")
     return found.withColumn("rank", F.row_number().over(order)).where(F.col("rank") <= k).select("query_id", F.col("rank").cast("int"), "vec_id", "score")

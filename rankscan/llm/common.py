@@ -2,17 +2,53 @@
 
 from __future__ import annotations
 
-import tempfile
+import ctypes
 import uuid
-from collections.abc import Iterator
+from collections.abc import Callable, Iterator
 from contextlib import contextmanager
 
+import pyarrow as pa
 from pyspark.sql import Column, DataFrame, SparkSession
 from pyspark.sql import functions as F
 
 UPPER = "ABCDEFGHIJKLMNOPQRSTUVWXYZ"
 #: Above so many rows a side is no longer broadcast.
 BROADCAST_ROWS = 1_000_000
+#: What this Python worker keeps between tasks, by the operator that it serves.
+_KEPT: dict[str, object] = {}
+
+
+def kept(owner: str, make: Callable[[], object]) -> object:
+    """The worker's state of ``owner``, made once; a worker holds the state of one operator at a time (see ``lean``)."""
+    if owner not in _KEPT:
+        _KEPT[owner] = make()
+    return _KEPT[owner]
+
+
+def _enter(owner: str | None) -> None:
+    for name in [x for x in _KEPT if x != owner]:
+        del _KEPT[name]
+
+
+def _leave() -> None:
+    """Memory that a task has freed goes back to the system, not into the pools of a worker that lives on."""
+    pa.default_memory_pool().release_unused()
+    if trim := getattr(ctypes.CDLL(None), "malloc_trim", None):
+        trim(0)
+
+
+def lean(run: Callable, owner: str | None = None) -> Callable:
+    """``run`` for mapInArrow in a worker that serves many operators in turn: drops what other operators kept before it
+    begins, and gives freed memory back when it ends."""
+
+    def task(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        _enter(owner)
+        try:
+            yield from run(batches)
+        finally:
+            _leave()
+
+    return task
 
 
 def table(spark: SparkSession, sf_dir: str, name: str) -> DataFrame:
@@ -20,11 +56,18 @@ def table(spark: SparkSession, sf_dir: str, name: str) -> DataFrame:
 
 
 def shared_dir(spark: SparkSession) -> str:
-    """The folder that the driver and all executors share; set here only where the session has none (tests)."""
+    """The folder that the driver and all executors share: ``spark.checkpoint.dir``, else the checkpoint folder that the
+    session already has. Where it has none, a single machine's session (``local[..]``, as in tests) takes its warehouse;
+    a cluster must name one."""
     found = spark.conf.get("spark.checkpoint.dir", None)
     if not found:
         held = spark.sparkContext._jsc.sc().getCheckpointDir()
-        found = held.get().rsplit("/", 1)[0] if held.isDefined() else f"file://{tempfile.gettempdir()}/rankscan-shared"
+        if held.isDefined():
+            found = held.get().rsplit("/", 1)[0]
+        elif spark.sparkContext.master.startswith("local["):
+            found = f"{spark.conf.get('spark.sql.warehouse.dir').rstrip('/')}/shared"
+        else:
+            raise ValueError("set spark.checkpoint.dir to a folder that the driver and all executors share")
     if not spark.sparkContext._jsc.sc().getCheckpointDir().isDefined():
         spark.sparkContext.setCheckpointDir(found)
     return found.rstrip("/")

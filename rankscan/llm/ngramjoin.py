@@ -28,7 +28,7 @@ import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from .common import BROADCAST_ROWS, cut, small_batches
+from .common import BROADCAST_ROWS, cut, lean, small_batches
 from .components import components
 from .textkernel import mix, shingle_set, texts
 
@@ -80,7 +80,7 @@ def shingle_counts(docs: DataFrame, text_col: str, k: int) -> np.ndarray:
             yield pa.RecordBatch.from_arrays([pa.array([c], pa.int32()), pa.array([zlib.compress(scaled.tobytes(), 1)], pa.binary())], ["chunk", "counts"])
 
     kind = "chunk int, counts binary"
-    parts = docs.select(text_col).mapInArrow(count, kind).repartition(8, "chunk").mapInArrow(add_up, kind)
+    parts = docs.select(text_col).mapInArrow(lean(count), kind).repartition(8, "chunk").mapInArrow(lean(add_up), kind)
     out = np.zeros(1 << BITS, np.uint8)
     for c, x in parts.collect():
         out[c : c + CHUNK] = np.frombuffer(zlib.decompress(bytes(x)), np.uint8)
@@ -283,7 +283,7 @@ def _not_within(members: DataFrame) -> DataFrame:
     return members.join(named.where("lo <> hi or lo = bucket").select("bucket"), "bucket")
 
 
-def jaccard_join(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text", k: int = 3, threshold: Fraction = Fraction(9, 10)) -> DataFrame:
+def jaccard_join(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text", k: int = 5, threshold: Fraction = Fraction(4, 5)) -> DataFrame:
     """Per row: id, n_shingles, component_id, n_links (rows it links with), text_key, leads (True for one row of each component)."""
     with small_batches(docs.sparkSession, BATCH_ROWS):
         return _joined(docs, id_col, text_col, k, Fraction(threshold))
@@ -311,7 +311,7 @@ def _joined(docs: DataFrame, id_col: str, text_col: str, k: int, t: Fraction) ->
             yield pa.RecordBatch.from_arrays([batch.column("doc_id"), batch.column("text_key"), pa.array(sizes, pa.int64()), *signed, _lists(heads), pa.array(bins, pa.binary())], ["doc_id", "text_key", "n", "s1", "s2", "head", "bins"])
 
     id_kind = docs.schema["doc_id"].dataType.simpleString()
-    slim = docs.select("doc_id", F.xxhash64("text").alias("text_key"), "text").mapInArrow(prefixes, f"doc_id {id_kind}, text_key bigint, n bigint, s1 bigint, s2 bigint, head array<bigint>, bins binary")
+    slim = docs.select("doc_id", F.xxhash64("text").alias("text_key"), "text").mapInArrow(lean(prefixes), f"doc_id {id_kind}, text_key bigint, n bigint, s1 bigint, s2 bigint, head array<bigint>, bins binary")
     rows = cut(slim.withColumn("rid", F.monotonically_increasing_id()))
     counts.destroy()  # nothing after the cut reads it
     classes = cut(rows.where("n > 0").groupBy("s1", "s2", "n").agg(F.min("rid").alias("rid"), F.count("*").alias("weight"), F.min("doc_id").alias("least_id")))
@@ -319,7 +319,7 @@ def _joined(docs: DataFrame, id_col: str, text_col: str, k: int, t: Fraction) ->
     posts = heads.select("rid", "n", F.posexplode("head").alias("at", "token"))
     held = posts.groupBy("token").agg(F.count("*").alias("c")).where("c > 1").select("token", F.ceil(F.col("c") / BLOCK_ROWS).cast("int").alias("blocks"))
     members = posts.join(held, "token").select("rid", "n", F.col("token").alias("bucket"), "at", "blocks")
-    sifted = _sorted(_dealt(members.join(rows.select("rid", "bins"), "rid"))).mapInArrow(_sift(t), "bucket bigint, rid bigint, at int")
+    sifted = _sorted(_dealt(members.join(rows.select("rid", "bins"), "rid"))).mapInArrow(lean(_sift(t)), "bucket bigint, rid bigint, at int")
     sifted = cut(sifted.distinct())
     mark = F.xxhash64("rid")
     sizes = sifted.groupBy("bucket").agg(F.count("*").alias("c"), F.bit_xor(mark).alias("x1"), F.sum(F.shiftright(mark, 20)).alias("x2"))
@@ -344,9 +344,9 @@ def _joined(docs: DataFrame, id_col: str, text_col: str, k: int, t: Fraction) ->
 
     wanted = live.select("rid", F.col("doc_id").alias("_id"), F.col("text_key").alias("_key"))
     wanted = F.broadcast(wanted) if live.count() <= BROADCAST_ROWS else wanted
-    full = docs.join(wanted, F.xxhash64("text").eqNullSafe(F.col("_key")) & F.col("doc_id").eqNullSafe(F.col("_id"))).select("rid", "text").mapInArrow(sets, "rid bigint, tokens binary")
+    full = docs.join(wanted, F.xxhash64("text").eqNullSafe(F.col("_key")) & F.col("doc_id").eqNullSafe(F.col("_id"))).select("rid", "text").mapInArrow(lean(sets), "rid bigint, tokens binary")
     tiles = _dealt(left).join(live.select("rid", "n", "weight", "buckets", "bins"), "rid").join(full, "rid")
-    found = cut(_sorted(tiles).mapInArrow(_verify(t), "rid bigint, peer bigint, links bigint"))
+    found = cut(_sorted(tiles).mapInArrow(lean(_verify(t)), "rid bigint, peer bigint, links bigint"))
 
     labels = components(found.select(F.col("rid").alias("a"), F.col("peer").alias("b")))
     named = labels.join(classes, labels["vertex"] == classes["rid"]).select("vertex", "label", "least_id", "weight")

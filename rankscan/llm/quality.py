@@ -22,7 +22,7 @@ import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from .common import held_out
+from .common import held_out, lean
 from .textkernel import LOWER, SPACE, Hashed, spans, texts
 
 _BYTES = np.arange(256)
@@ -103,7 +103,7 @@ def _measured(docs: DataFrame, id_col: str, text_col: str) -> DataFrame:
         for batch in batches:
             yield pa.RecordBatch.from_arrays([batch.column(0), pa.array([measures(buf) for buf in texts(batch.column(1))], pa.list_(pa.float64()))], [id_col, "x"])
 
-    return docs.select(id_col, text_col).mapInArrow(run, f"`{id_col}` {docs.schema[id_col].dataType.simpleString()}, x array<double>")
+    return docs.select(id_col, text_col).mapInArrow(lean(run), f"`{id_col}` {docs.schema[id_col].dataType.simpleString()}, x array<double>")
 
 
 def train(docs: DataFrame, labels: DataFrame, id_col: str = "doc_id", text_col: str = "text", label_col: str = "quality", positives: int = 6000, unlabelled: int = 12000) -> tuple:
@@ -133,4 +133,4 @@ def score(docs: DataFrame, model: tuple, id_col: str = "doc_id", text_col: str =
             yield pa.RecordBatch.from_arrays([batch.column(0), batch.column(1), pa.array(predict(x, held.value) if len(x) else [], pa.float64())], [id_col, "text_key", "score"])
 
     picked = docs.select(id_col, F.xxhash64(text_col).alias("text_key"), text_col)
-    return picked.mapInArrow(run, f"`{id_col}` {docs.schema[id_col].dataType.simpleString()}, text_key bigint, score double")
+    return picked.mapInArrow(lean(run), f"`{id_col}` {docs.schema[id_col].dataType.simpleString()}, text_key bigint, score double")

@@ -2,6 +2,8 @@
 
 from __future__ import annotations
 
+from fractions import Fraction
+
 import public_tokenizers
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
@@ -26,7 +28,7 @@ def op3_bit_sliced_top_k(spark: SparkSession, sf_dir: str) -> DataFrame:
 
 
 def op4_ngram_jaccard_join(spark: SparkSession, sf_dir: str) -> DataFrame:
-    out = ngramjoin.jaccard_join(table(spark, sf_dir, "documents"))
+    out = ngramjoin.jaccard_join(table(spark, sf_dir, "documents"), k=3, threshold=Fraction(9, 10))
     return out.select("doc_id", "n_shingles", "component_id", "n_links")
 
 

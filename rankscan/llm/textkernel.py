@@ -8,6 +8,8 @@ import pyarrow as pa
 _U = np.uint64
 _BASE = 0x9E3779B97F4A7C15
 _INVERSE = pow(_BASE, -1, 1 << 64)
+#: Powers for longer texts are made for each anew.
+KEEP_POWERS = 1 << 20
 _POWERS = [np.ones(1, _U), np.ones(1, _U)]
 
 LOWER = np.arange(256, dtype=np.uint8)
@@ -22,13 +24,17 @@ NON_WORD[48:58] = NON_WORD[65:91] = NON_WORD[97:123] = False
 
 
 def _powers(n: int) -> list[np.ndarray]:
+    """Powers of the base and of its inverse; those for texts of up to KEEP_POWERS bytes are kept."""
+    powers = list(_POWERS)
     if len(_POWERS[0]) < n:
-        size = max(n, 2 * len(_POWERS[0]), 1 << 16)
+        size = max(n, 1 << 16)
         for k, base in enumerate((_BASE, _INVERSE)):
             steps = np.full(size, base, _U)
             steps[0] = 1
-            _POWERS[k] = np.multiply.accumulate(steps)
-    return _POWERS
+            powers[k] = np.multiply.accumulate(steps)
+        if size <= KEEP_POWERS:
+            _POWERS[:] = powers
+    return powers
 
 
 def mix(x: np.ndarray) -> np.ndarray:

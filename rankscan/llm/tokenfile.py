@@ -5,9 +5,9 @@ Documents go by range of id to shards; a shard is one Arrow file whose record ba
 (doc_id, start, n_tokens). A memory map of a shard gives sequence i as a view. Task attempts write under names of
 their own and only the manifest counts, so a lost executor leaves no wrong file.
 
-Ids are uint16 where the vocabulary allows, else uint32. The tokenizer's word pattern parts a text before each space
-that follows and precedes no other white space and around lone line ends, so ids of such pieces, kept in a cache of
-bounded size, make up the text's ids; all other texts are encoded whole.
+Ids are uint16 where the vocabulary allows, else uint32. A byte-level tokenizer's word pattern parts a text at white
+space whatever stands around it, so ids of such pieces, kept in caches of bounded size, make up the text's ids (see
+``Encoder``).
 
 Defined cases: null and empty texts are the end id alone; rows without id come first; rows of one id go by their text's
 hash; no rows give no shard. Columns other than id and text are not read.
@@ -15,66 +15,156 @@ hash; no rows give no shard. Columns other than id and text are not read.
 
 from __future__ import annotations
 
+import json
+import os
 import re
+import struct
 import uuid
 import zlib
 from collections.abc import Iterator
 
 import numpy as np
 import pyarrow as pa
+import pyarrow.compute as pc
 import pyarrow.fs
 import pyarrow.ipc
+import regex
 from pyspark import TaskContext
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from .common import cut, shared_path
+from .common import cut, kept, lean, shared_path
 
 LENGTH, BATCH = 2048, 256
-CACHE = 400_000
-_ODD = re.compile(r"\s\s|[^\S \n]|\x00")
-_encoders: dict[str, Encoder] = {}
+#: Entries of each half of an encoder's cache; bytes of text that are encoded at a time.
+CACHE, STRETCH = 250_000, 8 << 20
+#: Unicode white space, as the library's patterns have it; fixed values.
+_WHITE = "\t-\r \x85\xa0\u1680\u2000-\u200a\u2028\u2029\u202f\u205f\u3000"
+_PIECE = re.compile(f" ?[^{_WHITE}]+|[{_WHITE}]+(?![^{_WHITE}])|[{_WHITE}]")
+_WHITE_RUN = f"[{_WHITE}] "
+#: The library's word pattern of byte-level models; fixed value.
+_WORD = regex.compile(r"'s|'t|'re|'ve|'m|'ll|'d| ?\p{L}+| ?\p{N}+| ?[^\s\p{L}\p{N}]+|\s+(?!\S)|\s+")
+#: Bytes stand for themselves where they are printable, else for the characters from 256 on.
+_PLAIN = {*range(33, 127), *range(161, 173), *range(174, 256)}
+_BYTE_CHARS = {b: 256 + i for i, b in enumerate(b for b in range(256) if b not in _PLAIN)}
+_BLANK = chr(_BYTE_CHARS[32])
 
 
 class Encoder:
-    """Ids of whole texts as arrays, equal to those of the library's ``encode``."""
+    """Ids of whole texts as arrays, equal to those of the library's ``encode``.
 
-    def __init__(self, path: str):
-        import os
+    Of byte-level models with the usual word pattern, the words that a text is parted into before any blank that follows
+    no white space are the same whatever stands around them. So a stretch of texts is parted there, only its distinct
+    pieces are looked up in a bounded cache, and their ids are gathered for all places at once. A new piece is parted into
+    words by the pattern where its characters' classes are beyond doubt (printable, up to U+024F), else by the library;
+    the library's model encodes each word. Other texts go through the pattern piece by piece; texts with added tokens,
+    and all texts of other models, are encoded whole.
+    """
 
+    def __init__(self, path: str):
         os.environ["TOKENIZERS_PARALLELISM"] = "false"
         from tokenizers import Tokenizer
 
         self.tokenizer = Tokenizer.from_file(path)
         self.dtype = np.dtype("<u2" if self.tokenizer.get_vocab_size() <= 1 << 16 else "<u4")
         self.added = [x.content for x in self.tokenizer.get_added_tokens_decoder().values()]
-        self.byte_level = "ByteLevel" in str(self.tokenizer.pre_tokenizer) and self.tokenizer.normalizer is None
-        self.cache: dict[str, bytes] = {}
-
-    def _encode(self, parts: list[str]) -> list[bytes]:
-        return [np.array(x.ids, self.dtype).tobytes() for x in self.tokenizer.encode_batch_fast(parts, add_special_tokens=False)]
+        says = json.loads(self.tokenizer.to_str())
+        cutter, usual = says["pre_tokenizer"] or {}, {"type": "ByteLevel", "add_prefix_space": False, "use_regex": True}
+        self.byte_level = all(cutter.get(k) == v for k, v in usual.items()) and not (says["normalizer"] or says["truncation"] or says["padding"])
+        self.byte_level &= says["model"]["type"] == "BPE" and not says["model"].get("dropout")
+        self.young: dict[str, bytes] = {}
+        self.old: dict[str, bytes] = {}
+
+    def _pack(self, ids: list[int]) -> bytes:
+        return struct.pack(f"<{len(ids)}{'H' if self.dtype.itemsize == 2 else 'I'}", *ids)
+
+    def _word(self, word: str) -> bytes:
+        # the model takes a character a byte; a blank is the one that printable ASCII does not keep
+        plain = word.isascii() and word.isprintable()
+        chars = word.replace(" ", _BLANK) if plain else word.encode().decode("latin-1").translate(_BYTE_CHARS)
+        return self._pack([t.id for t in self.tokenizer.model.tokenize(chars)])
+
+    def _words_of(self, piece: str) -> list[str]:
+        if piece.isprintable() and (piece.isascii() or max(piece) < "\u0250"):
+            return _WORD.findall(piece)
+        if len(split := _PIECE.findall(piece)) > 1:
+            return [w for x in split for w in self._words_of(x)]
+        at = [b for _, (_, b) in self.tokenizer.pre_tokenizer.pre_tokenize_str(piece)]
+        return [piece[a:b] for a, b in zip([0, *at], at)]
+
+    def pieces(self, pieces: list[str]) -> list[bytes]:
+        """Ids of each piece. The cache has two halves: when the younger is full it becomes the older, and what is still
+        in use comes back from there."""
+        if len(self.young) > CACHE:
+            self.young, self.old = {}, self.young
+        young, old = self.young, self.old
+        young.update((k, old[k]) for k in [k for k in pieces if k not in young and k in old])
+        parted = {}
+        for x in [k for k in pieces if k not in young]:
+            # letters after at most one blank are one word, as is known without the pattern
+            if x.isalpha() or (x[:1] == " " and x[1:].isalpha()):
+                young[x] = self._word(x)
+            else:
+                parted[x] = self._words_of(x)
+        for x, words in parted.items():
+            for w in words:
+                if w not in young:
+                    young[w] = old[w] if w in old else self._word(w)
+            young[x] = b"".join(map(young.__getitem__, words))
+        return list(map(young.__getitem__, pieces))
+
+    def _whole(self, texts: list[str]) -> list[bytes]:
+        return [self._pack(x.ids) for x in self.tokenizer.encode_batch_fast(texts, add_special_tokens=False)]
+
+    def _odd(self, text: str) -> bytes:
+        split = _PIECE.findall(text)
+        unique = list(set(split))
+        return b"".join(map(dict(zip(unique, self.pieces(unique))).__getitem__, split))
+
+    def _plain(self, texts: pa.Array) -> tuple[np.ndarray, np.ndarray]:
+        """Ids of all texts, and where each text's end."""
+        lists = pc.split_pattern(texts, " ")
+        ends = lists.offsets.to_numpy()[1:] - lists.offsets[0].as_py()
+        first = ends - lists.value_lengths().to_numpy()
+        coded = lists.flatten().dictionary_encode()
+        at, heads = coded.indices.to_numpy().astype(np.int64), lists.flatten().take(pa.array(first)).dictionary_encode()
+        at[first] = len(coded.dictionary) + heads.indices.to_numpy()
+        ids = self.pieces([" " + x for x in coded.dictionary.to_pylist()]) + self.pieces(heads.dictionary.to_pylist())
+        size = np.fromiter(map(len, ids), np.int64, len(ids)) // self.dtype.itemsize
+        start, flat = np.cumsum(size) - size, np.frombuffer(b"".join(ids), self.dtype)
+        stop = np.cumsum(size[at])
+        return flat[np.repeat(start[at] - (stop - size[at]), size[at]) + np.arange(stop[-1])], stop[ends - 1]
+
+    def column(self, texts: pa.Array) -> list[bytes]:
+        """Ids of each row; null counts as empty."""
+        texts = pc.fill_null(texts, "")
+        out: list[bytes] = [b""] * len(texts)
+        whole = pa.array(np.full(len(texts), not self.byte_level))
+        for x in self.added:
+            whole = pc.or_(whole, pc.match_substring(texts, x))
+        odd = pc.and_not(pc.match_substring_regex(texts, _WHITE_RUN), whole)
+        plain = pc.and_not(pc.invert(whole), odd)
+        at = np.flatnonzero(plain.to_numpy(zero_copy_only=False))
+        sizes = np.cumsum(pc.binary_length(texts).to_numpy()[at])
+        for a in np.flatnonzero(np.append(True, sizes[1:] // STRETCH != sizes[:-1] // STRETCH))[: len(at)].tolist():
+            b = int(np.searchsorted(sizes // STRETCH, sizes[a] // STRETCH, "right"))
+            ids, ends = self._plain(texts.take(pa.array(at[a:b])))
+            for i, x in zip(at[a:b].tolist(), np.split(ids, ends[:-1])):
+                out[i] = x.tobytes()
+        for i in np.flatnonzero(odd.to_numpy(zero_copy_only=False)).tolist():
+            out[i] = self._odd(texts[i].as_py())
+        rest = np.flatnonzero(whole.to_numpy(zero_copy_only=False)).tolist()
+        for i, x in zip(rest, self._whole([texts[i].as_py() for i in rest])):
+            out[i] = x
+        return out
 
     def __call__(self, texts: list[str]) -> list[bytes]:
-        pieces: list[list[str] | None] = []
-        for x in texts:
-            whole = not self.byte_level or _ODD.search(x) or any(a in x for a in self.added)
-            pieces.append(None if whole else x.replace(" ", "\x00 ").replace("\n", "\x00\n\x00").split("\x00"))
-        if len(self.cache) > CACHE:
-            self.cache.clear()
-        cache, fresh = self.cache, set()
-        for p in pieces:
-            if p is not None:
-                fresh.update(p)
-        missing = [x for x in fresh if x not in cache]
-        cache.update(zip(missing, self._encode(missing)))
-        whole = iter(self._encode([x for x, p in zip(texts, pieces) if p is None]))
-        return [next(whole) if p is None else b"".join(map(cache.__getitem__, p)) for p in pieces]
+        return self.column(pa.array(texts, pa.string()))
 
 
 def encoder(path: str) -> Encoder:
-    if path not in _encoders:
-        _encoders[path] = Encoder(path)
-    return _encoders[path]
+    """The worker's encoder, kept while it serves this operator and tokenizer."""
+    return kept(f"tokenfile {path}", lambda: Encoder(path))
 
 
 def _open(uri: str):
@@ -151,7 +241,6 @@ def write(docs: DataFrame, tokenizer: str, id_col: str = "doc_id", text_col: str
     """Writes the shards and returns the manifest: shard, path, index, n_docs, n_tokens, base (ids of all shards before)."""
     spark = docs.sparkSession
     out = out or shared_path(spark, "tokens")
-    id_kind = docs.schema[id_col].dataType.simpleString()
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         encode, writer, index, docs_seen = encoder(tokenizer), None, None, 0
@@ -164,9 +253,9 @@ def write(docs: DataFrame, tokenizer: str, id_col: str = "doc_id", text_col: str
                 index_file = (where := _open(f"{name}.index.arrow"))[0].open_output_stream(where[1])
                 kinds = pa.schema([("doc_id", batch.schema.field(0).type), ("start", pa.int64()), ("n_tokens", pa.int64())])
                 index = pa.ipc.new_file(index_file, kinds)
-            for a in range(0, batch.num_rows, 500):
-                part = batch.slice(a, 500)
-                ids = [x + end for x in encode([x or "" for x in part.column(1).to_pylist()])]
+            for a in range(0, batch.num_rows, 2000):
+                part = batch.slice(a, 2000)
+                ids = [x + end for x in encode.column(part.column(1))]
                 sizes = np.array([len(x) // encode.dtype.itemsize for x in ids], np.int64)
                 starts = writer.tokens + np.cumsum(sizes) - sizes
                 writer.add(ids)
@@ -180,7 +269,7 @@ def write(docs: DataFrame, tokenizer: str, id_col: str = "doc_id", text_col: str
 
     keys = [F.col(id_col).asc_nulls_first(), F.xxhash64(text_col)]
     dealt = docs.select(id_col, text_col).repartitionByRange(*keys).sortWithinPartitions(*keys)
-    shards = sorted(cut(dealt.mapInArrow(run, "shard bigint, path string, index string, n_docs bigint, n_tokens bigint")).collect())
+    shards = sorted(cut(dealt.mapInArrow(lean(run, f"tokenfile {tokenizer}"), "shard bigint, path string, index string, n_docs bigint, n_tokens bigint")).collect())
     rows, base = [], 0
     for r in shards:
         rows.append((*r, base))
@@ -211,7 +300,7 @@ def read(manifest: DataFrame, id_kind: str = "bigint", id_col: str = "doc_id") -
                         start = pa.array(part.column(1).to_numpy() + row["base"])
                         yield pa.RecordBatch.from_arrays([part.column(0), start, part.column(2), pa.array(sums, pa.int64())], [id_col, "start", "n_tokens", "ids_crc32"])
 
-    return manifest.mapInArrow(run, f"`{id_col}` {id_kind}, start bigint, n_tokens bigint, ids_crc32 bigint")
+    return manifest.mapInArrow(lean(run), f"`{id_col}` {id_kind}, start bigint, n_tokens bigint, ids_crc32 bigint")
 
 
 def encode_and_check(docs: DataFrame, tokenizer: str, end_id: int = 2, **more) -> DataFrame:
@@ -230,4 +319,4 @@ def sequences(spark: SparkSession, manifest: DataFrame) -> DataFrame:
                     ids, mask = shard[i]
                     yield pa.RecordBatch.from_arrays([pa.array([row["shard"]]), pa.array([i], pa.int64()), pa.array([ids.astype(np.int64)], pa.list_(pa.int64())), pa.array([mask.true_count], pa.int64())], ["shard", "sequence", "ids", "n_real"])
 
-    return manifest.mapInArrow(run, "shard bigint, sequence bigint, ids array<bigint>, n_real bigint")
+    return manifest.mapInArrow(lean(run), "shard bigint, sequence bigint, ids array<bigint>, n_real bigint")

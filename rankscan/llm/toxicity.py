@@ -21,7 +21,7 @@ import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from .common import held_out
+from .common import held_out, lean
 from .textkernel import LOWER, NON_WORD, Hashed, spans, texts
 
 #: Features are hashed into 2 ** BITS places; words also count by their beginnings of so many bytes.
@@ -131,7 +131,7 @@ def train(docs: DataFrame, labels: DataFrame, id_col: str = "doc_id", text_col:
         at = np.flatnonzero(full)
         yield pa.RecordBatch.from_arrays([pa.array([at.astype(np.int32).tobytes()]), pa.array([full[at].tobytes()]), pa.array([float(bias)])], ["at", "weights", "bias"])
 
-    one = rows.toDF("y", "h", "text").repartition(1).mapInArrow(fit, "at binary, weights binary, bias double").first()
+    one = rows.toDF("y", "h", "text").repartition(1).mapInArrow(lean(fit), "at binary, weights binary, bias double").first()
     full = np.zeros(1 << BITS, np.float32)
     if one is None:
         return full, -np.inf
@@ -156,4 +156,4 @@ def score(docs: DataFrame, model: tuple[np.ndarray, float], id_col: str = "doc_i
 
     kind = docs.schema[id_col].dataType.simpleString()
     picked = docs.select(id_col, F.xxhash64(text_col).alias("text_key"), text_col)
-    return picked.mapInArrow(run, f"`{id_col}` {kind}, text_key bigint, score double, sentences array<struct<start: bigint, end: bigint, score: double>>")
+    return picked.mapInArrow(lean(run), f"`{id_col}` {kind}, text_key bigint, score double, sentences array<struct<start: bigint, end: bigint, score: double>>")

@@ -24,7 +24,7 @@ import pyarrow as pa
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
-from .common import cut
+from .common import cut, lean
 
 CHUNK = 256
 ROLES = ["system", "user", "assistant"]
@@ -165,7 +165,7 @@ def decode(lines: DataFrame, model: tuple[np.ndarray, np.ndarray, np.ndarray], c
         return pdf[["conv_id", "chunk"]].assign(before=[-1, *path[:-1]], last=path)
 
     some = lines.join(long_ones, F.col("conv_id").eqNullSafe(F.col("c")), "left_semi").select("conv_id", "chunk", "turn", "tie", "line_no", "symbol")
-    maps = some.repartition("conv_id", "chunk").sortWithinPartitions(*order).select("conv_id", "chunk", "symbol").mapInArrow(matrices, f"conv_id {kind}, chunk bigint, m array<double>")
+    maps = some.repartition("conv_id", "chunk").sortWithinPartitions(*order).select("conv_id", "chunk", "symbol").mapInArrow(lean(matrices), f"conv_id {kind}, chunk bigint, m array<double>")
     bounds = cut(maps.groupBy("conv_id").applyInPandas(ends, f"conv_id {kind}, chunk bigint, before int, last int"))
     bounds = bounds.select(F.col("conv_id").alias("_c"), F.col("chunk").alias("_k"), "before", "last")
 
@@ -182,7 +182,7 @@ def decode(lines: DataFrame, model: tuple[np.ndarray, np.ndarray, np.ndarray], c
 
     both = lines.join(bounds, F.col("conv_id").eqNullSafe(F.col("_c")) & (F.col("chunk") == F.col("_k")), "left")
     dealt = both.select("conv_id", "chunk", "turn", "tie", "line_no", "line", "symbol", "true_state", "before", "last").repartition("conv_id", "chunk").sortWithinPartitions(*order)
-    return dealt.mapInArrow(best, f"conv_id {kind}, chunk bigint, turn {turn_kind}, line_no int, line string, state int, true_state int")
+    return dealt.mapInArrow(lean(best), f"conv_id {kind}, chunk bigint, turn {turn_kind}, line_no int, line string, state int, true_state int")
 
 
 def strip_marker(line: Column) -> Column:

@@ -22,7 +22,7 @@ import pyarrow as pa
 from pyspark.sql import Column, DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from .common import ascii_lower, cut
+from .common import ascii_lower, cut, lean
 
 RULES_A_PART = 100_000
 #: The rules of the query, as (verdict, host and path); fixed values.
@@ -121,5 +121,5 @@ def judge(urls: DataFrame, rules: DataFrame, id_col: str = "page_id", url_col: s
     both = page.unionAll(held).withColumn("part", F.col("range") * salts + F.col("salt")).drop("range", "salt")
     dealt = both.repartition(salts * (len(bounds) + 1), "part").sortWithinPartitions("part", "key", "url_row", F.length("path"), "path")
     kind = urls.schema[id_col].dataType.simpleString()
-    out = dealt.mapInArrow(_sweep, f"id {kind}, host string, path string, rule string, verdict string")
+    out = dealt.mapInArrow(lean(_sweep), f"id {kind}, host string, path string, rule string, verdict string")
     return out.select(F.col("id").alias(id_col), "host", "path", "rule", F.coalesce("verdict", F.lit(default)).alias("verdict"))

@@ -1,5 +1,6 @@
 import random
 from collections import Counter
+from fractions import Fraction
 
 import pytest
 
@@ -7,14 +8,14 @@ from rankscan.llm import ngramjoin as J
 from rankscan.llm.components import components
 
 
-def shingles(text):
+def shingles(text, k):
     low = "".join(chr(ord(c) + 32) if "A" <= c <= "Z" else c for c in text or "")
     w = [x for x in __import__("re").split("[\x20\x09-\x0d]+", low) if x]
-    return frozenset(tuple(w[i : i + 3]) for i in range(max(1, len(w) - 2))) if w else frozenset()
+    return frozenset(tuple(w[i : i + k]) for i in range(max(1, len(w) - k + 1))) if w else frozenset()
 
 
-def brute(docs):
-    sets = [shingles(t) for _, t, *_ in docs]
+def brute(docs, k=3, t=Fraction(9, 10)):
+    sets = [shingles(t, k) for _, t, *_ in docs]
     root = list(range(len(docs)))
 
     def find(x):
@@ -26,7 +27,7 @@ def brute(docs):
     for i in range(len(docs)):
         for j in range(i):
             both = len(sets[i] & sets[j])
-            if sets[i] and sets[j] and 100 * both >= 90 * (len(sets[i]) + len(sets[j]) - both):
+            if sets[i] and sets[j] and both >= t * (len(sets[i]) + len(sets[j]) - both):
                 links[i] += 1
                 links[j] += 1
                 root[find(i)] = find(j)
@@ -50,9 +51,9 @@ def corpus(seed, n=60):
     return docs
 
 
-def rows(spark, docs):
+def rows(spark, docs, k=3, t=Fraction(9, 10)):
     d = spark.createDataFrame([(a, b, "x", 1) for a, b in docs], "doc_id bigint, text string, token string, n int")
-    return sorted(map(tuple, J.jaccard_join(d).select("doc_id", "n_shingles", "component_id", "n_links").collect()), key=repr)
+    return sorted(map(tuple, J.jaccard_join(d, k=k, threshold=t).select("doc_id", "n_shingles", "component_id", "n_links").collect()), key=repr)
 
 
 EDGES = [(100, None), (101, ""), (102, " \n "), (103, "one"), (104, "ONE"), (105, "one two"), (106, "one two three"), (107, "Él a b"), (108, "él a b"), (5, "one"), (5, "one"), (None, "one two"), (None, None), (110, "a\xa0b c d e"), (111, "big " * 50_000)]
@@ -64,6 +65,13 @@ def test_matches_brute_force(spark, seed):
     assert rows(spark, docs) == brute(docs)
 
 
+def test_five_words_and_four_fifths_are_the_rule_unless_told_otherwise(spark):
+    docs = corpus(4)
+    d = spark.createDataFrame(docs, "doc_id bigint, text string")
+    got = sorted(map(tuple, J.jaccard_join(d).select("doc_id", "n_shingles", "component_id", "n_links").collect()), key=repr)
+    assert got == brute(docs, 5, Fraction(4, 5)) != brute(docs)
+
+
 def test_small_blocks_lose_no_link(spark, monkeypatch):
     monkeypatch.setattr(J, "BLOCK_ROWS", 5)
     docs = corpus(3, 80)
