@@ -11,6 +11,8 @@ from functools import lru_cache
 import numpy as np
 
 MODES = ("tail", "mass", "upper", "lower", "two_sided")
+#: Scores that an exact law gives alike to sums equally far from the mean.
+SYMMETRIC = ("tail", "mass", "two_sided")
 
 
 def least_sum(w: int) -> int:
@@ -54,16 +56,19 @@ def law_by_product(n: int, w: int) -> list[int]:
 
 def law_by_conditioning(n: int, w_max: int) -> list[np.ndarray]:
     """Masses for w = 0..w_max by growing the pool one number at a time; every term is positive, so nothing cancels."""
-    if log10_binom(n, min(w_max, n // 2)) > 300:
-        raise ValueError("masses of this n and w_max are below what a double holds")
-    law = [np.ones(1)] + [np.zeros(0)] * w_max
+    # the least mass is 1 / C(n, w): beyond doubles the wider type's exponents hold it
+    least = -log10_binom(n, min(w_max, n // 2))
+    kind = np.float64 if least > -300 else np.longdouble
+    if least < np.log10(np.finfo(kind).tiny):
+        raise ValueError("masses of this n and w_max are below what the machine's floats hold")
+    law = [np.ones(1, kind)] + [np.zeros(0, kind)] * w_max
     for pool in range(1, n + 1):
-        fresh = [np.ones(1)]
+        fresh = [np.ones(1, kind)]
         for w in range(1, w_max + 1):
             if w > pool:
-                fresh.append(np.zeros(0))
+                fresh.append(np.zeros(0, kind))
                 continue
-            out = np.zeros(w * (pool - w) + 1)
+            out = np.zeros(w * (pool - w) + 1, kind)
             if w < pool:
                 out[: len(law[w])] += law[w] * ((pool - w) / pool)
             shift = pool - w  # the new number joins w - 1 others
@@ -86,7 +91,7 @@ def sampled_counts(n: int, w_max: int, draws: int, rng: np.random.Generator) ->
 
 def _log10(x: np.ndarray) -> np.ndarray:
     with np.errstate(divide="ignore"):
-        return np.log10(x)
+        return np.log10(x).astype(float)
 
 
 class Law:
@@ -95,7 +100,8 @@ class Law:
     def __init__(self, n: int, w_max: int, masses: list[np.ndarray], samples: int | None = None):
         self.n, self.w_max, self.samples = n, min(w_max, n), samples
         # an exact law is symmetric; so are its tails, to the last bit, if the rounding is made so too
-        self.mass = [np.asarray(m, float) if samples else (np.asarray(m, float) + np.asarray(m, float)[::-1]) / 2 for m in masses]
+        masses = [np.asarray(m) if np.asarray(m).dtype == np.longdouble else np.asarray(m, float) for m in masses]
+        self.mass = masses if samples else [(m + m[::-1]) / 2 for m in masses]
         self.lower = [np.minimum(np.cumsum(m), 1.0) for m in self.mass]
         self.upper = [np.minimum(np.cumsum(m[::-1])[::-1], 1.0) for m in self.mass]
 
@@ -123,6 +129,34 @@ class Law:
         return (int(low[-1]) + least_sum(w) if len(low) else None), (int(up[0]) + least_sum(w) if len(up) else None)
 
 
+class LawTables:
+    """Scores of all windows up to w_max for one n in one array. Where scores are symmetric about the mean sum (an exact
+    law's masses and tails are) only the lower half is held, and sums above the mean are looked up by their mirror image."""
+
+    def __init__(self, n: int, w_max: int, flat: np.ndarray, half: bool, samples: int | None = None):
+        self.n, self.w_max, self.flat, self.half, self.samples = n, min(w_max, n), flat, half, samples
+        w = np.arange(self.w_max + 1)
+        self.last = w * (n - w)  # place of the greatest sum
+        self.at = np.concatenate([[0], np.cumsum(self.last // 2 + 1 if half else self.last + 1)])
+        self.shift = self.at[:-1] - w * (w + 1) // 2
+
+    @classmethod
+    def of(cls, n: int, tables: list[np.ndarray], half: bool = False, samples: int | None = None) -> LawTables:
+        held = [x[: (len(x) + 1) // 2 if half else len(x)] for x in tables]
+        return cls(n, len(tables) - 1, np.concatenate(held), half, samples)
+
+    @classmethod
+    def build(cls, n: int, w_max: int, mode: str = "tail", law: str = "exact", samples: int = 100_000, seed: int = 42) -> LawTables:
+        one = Law.exact(n, w_max) if law == "exact" else Law.sampled(n, w_max, samples, seed)
+        return cls.of(n, one.tables(mode), law == "exact" and mode in SYMMETRIC, one.samples)
+
+    def scores(self, w, q: np.ndarray) -> np.ndarray:
+        """Scores of rank sums q of windows of widths w."""
+        if self.half:
+            q = np.minimum(q, w * (self.n + 1) - q)
+        return self.flat[self.shift[w] + q]
+
+
 def min_width(n: int, alpha: float) -> int | None:
     """The least window whose most extreme sum has a mass of at most alpha."""
     return next((w for w in range(1, n // 2 + 1) if -log10_binom(n, w) <= math.log10(alpha)), None)

@@ -7,6 +7,8 @@ import zlib
 
 import numpy as np
 
+from rankscan.functions.nulllaw import LawTables
+
 
 def overlaps(s1, w1, s2, w2, theta: float):
     """The signed length of the intersection is at least theta of the longer interval."""
@@ -38,6 +40,17 @@ def cluster(s, w, log10_p, theta: float) -> list[list[int]]:
     return out
 
 
+def best_cluster(s, w, log10_p, theta: float) -> list[int]:
+    """The first of ``cluster``'s clusters. It has the first say on every candidate, so it needs none of the others."""
+    order = np.lexsort((w, s, log10_p))
+    order = order[overlaps(s[order[0]], w[order[0]], s[order], w[order], theta)]
+    out = [int(order[0])]
+    for i in order[1:].tolist():
+        if np.all(overlaps(s[i], w[i], s[out], w[out], theta)):
+            out.append(i)
+    return out
+
+
 def hashed_ranks(values: np.ndarray, series_id: str, t: np.ndarray, seed: int = 42, ties: str = "hashed") -> np.ndarray:
     """Ranks 1..n; ties go by md5 of series, time and seed, by time ("ordinal"), or share their mean ("average")."""
     n = len(values)
@@ -62,17 +75,17 @@ def prefix_sums(ranks: np.ndarray) -> np.ndarray:
 
 
 class Surface:
-    """Scores of one segment's windows, looked up from rank sums; s counts from 1."""
+    """Scores of one segment's windows, looked up from rank sums; s counts from 1. ``tables`` are shared by all segments
+    of a length."""
 
-    def __init__(self, ranks: np.ndarray, tables: list[np.ndarray], w_min: int, w_max: int):
-        self.n, self.w_min, self.w_max = len(ranks), w_min, min(w_max, len(ranks), len(tables) - 1)
-        self.sums, self.tables = prefix_sums(ranks), tables
-        self.flat = np.concatenate(tables[: self.w_max + 1])
-        self.at = np.concatenate([[0], np.cumsum([len(x) for x in tables[: self.w_max + 1]])])
+    def __init__(self, ranks: np.ndarray, tables: LawTables | list[np.ndarray], w_min: int, w_max: int):
+        self.tables = LawTables.of(len(ranks), tables) if isinstance(tables, list) else tables
+        self.n, self.w_min, self.w_max = len(ranks), w_min, min(w_max, len(ranks), self.tables.w_max)
+        self.sums = prefix_sums(ranks)
 
     def row(self, w: int) -> tuple[np.ndarray, np.ndarray]:
         q = self.sums[w:] - self.sums[:-w]
-        return q, self.tables[w][q - w * (w + 1) // 2]
+        return q, self.tables.scores(w, q)
 
     def q(self, s: np.ndarray, w: np.ndarray) -> np.ndarray:
         return self.sums[s + w - 1] - self.sums[s - 1]
@@ -81,77 +94,109 @@ class Surface:
         """Scores at lattice points; points off the triangle are +inf."""
         ok = (w >= self.w_min) & (w <= self.w_max) & (s >= 1) & (s + w - 1 <= self.n)
         s, w = np.where(ok, s, 1), np.where(ok, w, self.w_min)
-        return np.where(ok, self.flat[self.at[w] + self.q(s, w) - w * (w + 1) // 2], np.inf)
-
-
-def _line(f, x: np.ndarray, best: np.ndarray, d: np.ndarray, reach: int) -> tuple[np.ndarray, np.ndarray, int]:
-    """Moves every point to the least value found along its direction: doubling steps both ways, then halving ones."""
-    evals, move = 0, np.zeros(len(x))
-    steps = [2**j for j in range(reach.bit_length())]
-    for step in [*steps, *reversed(steps[:-1])]:
-        base = move.copy() if step in steps[:-1] and step != steps[0] else move
-        for sign in (1, -1):
-            trial = base + sign * step
-            p = x + np.rint(trial[:, None] * d).astype(np.int64)
-            v = f(p[:, 0], p[:, 1])
-            evals += 1
-            better = v < best
-            move, best = np.where(better, trial, move), np.where(better, v, best)
+        return np.where(ok, self.tables.scores(w, self.q(s, w)), np.inf)
+
+
+#: Neighbouring distances of a line's first points grow by this factor, so that gaps stay below a quarter of the way.
+_SPREAD = 1.35
+_AROUND = np.array([(a, b) for a in (-1, 0, 1) for b in (-1, 0, 1) if a or b])
+
+
+def distances(reach: int) -> np.ndarray:
+    """Distances tried on both sides of a line's origin: all near ones, then ever sparser up to ``reach``."""
+    out = [1]
+    while out[-1] < reach:
+        out.append(max(out[-1] + 1, int(out[-1] * _SPREAD)))
+    return np.concatenate([-np.array(out[::-1]), out])
+
+
+def _at(f: Surface, x: np.ndarray, d: np.ndarray, moves: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
+    """The lattice points at ``moves`` (a row per origin) along each direction, and their scores."""
+    p = x[:, None, :] + np.rint(moves[:, :, None] * d[:, None, :]).astype(np.int64)
+    return p, f(p[..., 0], p[..., 1])
+
+
+def _line(f: Surface, x: np.ndarray, best: np.ndarray, d: np.ndarray, far: np.ndarray) -> tuple[np.ndarray, np.ndarray, int]:
+    """Moves every point to the least value found along its direction: all of ``far`` at once, then the gap about the
+    least of them is halved down to neighbours."""
+    i = np.arange(len(x))
+    _, v = _at(f, x, d, np.tile(far, (len(x), 1)))
+    k, evals = v.argmin(1), len(far)
+    better = v[i, k] < best
+    move, best = np.where(better, far[k], 0).astype(float), np.where(better, v[i, k], best)
+    step = 2.0 ** np.floor(np.log2(np.maximum((_SPREAD - 1) * np.abs(move), 1)))
+    while (step >= 1).any():
+        moves = np.stack([move - step, move + step], 1)
+        _, v = _at(f, x, d, moves)
+        k = v.argmin(1)
+        better = (v[i, k] < best) & (step >= 1)
+        move, best = np.where(better, moves[i, k], move), np.where(better, v[i, k], best)
+        step, evals = step / 2, evals + 2
     return x + np.rint(move[:, None] * d).astype(np.int64), best, evals
 
 
-def powell(f: Surface, s0: np.ndarray, w0: np.ndarray, angles: np.ndarray, sweeps: int = 50, gain: float = 1e-9) -> tuple[np.ndarray, np.ndarray, np.ndarray, np.ndarray]:
-    """Direction-set minimisation of all restarts together on the lattice; returns s, w, score and evaluations."""
+def powell(f: Surface, s0: np.ndarray, w0: np.ndarray, angles: np.ndarray, sweeps: int = 30, gain: float = 1e-9) -> tuple[np.ndarray, np.ndarray, np.ndarray, np.ndarray]:
+    """Direction-set minimisation of all restarts together on the lattice; returns s, w, score and evaluations.
+
+    A line reaches an eighth of the segment, so that restarts end in the minima about them and not all in the deepest one.
+    A restart whose sweep gained nothing goes on along the axes once; it ends when that gains nothing either.
+    """
     x = np.stack([s0, w0], 1).astype(np.int64)
-    best = f(x[:, 0], x[:, 1])
+    best, evals = f(x[:, 0], x[:, 1]), np.ones(len(x), np.int64)
+    far = distances(max(2, f.n // 8))
     c, s = np.cos(angles), np.sin(angles)
-    dirs = [np.stack([c, s], 1), np.stack([-s, c], 1)]
-    active, evals = np.ones(len(x), bool), np.zeros(len(x), np.int64)
+    first, second = np.stack([c, s], 1), np.stack([-s, c], 1)
+    live, idle = np.arange(len(x)), np.zeros(len(x), bool)
     for _ in range(sweeps):
-        start, first = x.copy(), best.copy()
-        drops = []
+        start, before = x[live], best[live]
+        at, low, dirs, drops = start, before, [first[live], second[live]], []
         for d in dirs:
-            before = best
-            x, best, n = _line(f, x, best, d, f.n // 2)
-            evals[active] += n
-            drops.append(before - best)
+            held = low
+            at, low, n = _line(f, at, low, d, far)
+            evals[live] += n
+            drops.append(held - low)
         # the direction of the sweep takes the place of the one that gained most, if the sweep went anywhere
-        whole = (x - start).astype(float)
+        whole = (at - start).astype(float)
         norm = np.abs(whole).max(1)
         moved = norm > 0
-        unit = np.where(moved[:, None], whole / np.maximum(norm, 1)[:, None], dirs[0])
-        x, best, n = _line(f, x, best, unit, f.n // 2)
-        evals[active] += n
-        which = np.argmax(np.stack(drops), 0)
-        for k in (0, 1):
-            dirs[k] = np.where((moved & (which == k))[:, None], unit, dirs[k])
+        unit = np.where(moved[:, None], whole / np.maximum(norm, 1)[:, None], [1.0, -1.0])
+        at, low, n = _line(f, at, low, unit, far)
+        most = np.argmax(np.stack(drops), 0)
+        dirs = [np.where((moved & (most == k))[:, None], unit, d) for k, d in enumerate(dirs)]
         # neighbours, so that plateaus of rounding do not end a search
-        around = np.array([(a, b) for a in (-1, 0, 1) for b in (-1, 0, 1) if a or b])
-        for a, b in around:
-            v = f(x[:, 0] + a, x[:, 1] + b)
-            better = v < best
-            x, best = np.where(better[:, None], x + (a, b), x), np.where(better, v, best)
-        evals[active] += len(around)
-        active = first - best > gain
-        if not active.any():
+        near = at[:, None, :] + _AROUND
+        v = f(near[..., 0], near[..., 1])
+        k, i = v.argmin(1), np.arange(len(at))
+        better = v[i, k] < low
+        at, low = np.where(better[:, None], near[i, k], at), np.where(better, v[i, k], low)
+        evals[live] += n + len(_AROUND)
+        stuck = before - low <= gain
+        flat = stuck | (np.abs(dirs[0][:, 0] * dirs[1][:, 1] - dirs[0][:, 1] * dirs[1][:, 0]) < 0.05)
+        x[live], best[live] = at, low
+        first[live] = np.where(flat[:, None], [1.0, 0.0], dirs[0])
+        second[live] = np.where(flat[:, None], [0.0, 1.0], dirs[1])
+        done = stuck & idle[live]
+        idle[live] = stuck
+        live = live[~done]
+        if not len(live):
             break
-        flat = np.abs(dirs[0][:, 0] * dirs[1][:, 1] - dirs[0][:, 1] * dirs[1][:, 0]) < 0.05
-        dirs[0] = np.where(flat[:, None], [1.0, 0.0], dirs[0])
-        dirs[1] = np.where(flat[:, None], [0.0, 1.0], dirs[1])
     return x[:, 0], x[:, 1], best, evals
 
 
 def coordinate(f: Surface, s0: np.ndarray, w0: np.ndarray, angles: np.ndarray, sweeps: int = 50, gain: float = 1e-9):
     """Line minimisation along the two axes in turn."""
     x = np.stack([s0, w0], 1).astype(np.int64)
-    best, evals = f(x[:, 0], x[:, 1]), np.zeros(len(x), np.int64)
-    axes = [np.tile(d, (len(x), 1)) for d in ([1.0, 0.0], [0.0, 1.0])]
+    best, evals = f(x[:, 0], x[:, 1]), np.ones(len(x), np.int64)
+    far, live = distances(max(2, f.n // 8)), np.arange(len(x))
     for _ in range(sweeps):
-        first = best
-        for d in axes:
-            x, best, n = _line(f, x, best, d, f.n // 2)
-            evals += n
-        if not (first - best > gain).any():
+        at, low = x[live], best[live]
+        before = low
+        for d in ([1.0, 0.0], [0.0, 1.0]):
+            at, low, n = _line(f, at, low, np.tile(d, (len(at), 1)), far)
+            evals[live] += n
+        x[live], best[live] = at, low
+        live = live[before - low > gain]
+        if not len(live):
             break
     return x[:, 0], x[:, 1], best, evals
 

@@ -3,6 +3,7 @@
 from __future__ import annotations
 
 from collections.abc import Iterator
+from functools import lru_cache
 
 import numpy as np
 import pandas as pd
@@ -18,12 +19,10 @@ from rankscan.functions import regions as R
 W_MAX = 100
 
 
-def _law(n: int, w_max: int, held: dict = {}) -> N.Law:  # noqa: B006  one worker's laws, a few at most
-    if (n, w_max) not in held:
-        if len(held) > 8:
-            held.clear()
-        held[n, w_max] = N.Law.exact(n, w_max)
-    return held[n, w_max]
+@lru_cache(maxsize=8)
+def _law(n: int, w_max: int) -> N.LawTables:
+    """One worker's tables, a few at most."""
+    return N.LawTables.build(n, w_max)
 
 
 @pandas_udf(ArrayType(LongType()))
@@ -42,8 +41,7 @@ def interval_log10_p(q: pd.Series, w: pd.Series, n: pd.Series) -> pd.Series:
     """Log10 of the smaller tail of a rank sum."""
     out = np.empty(len(q))
     for (size, width), at in pd.DataFrame({"n": n, "w": w}).groupby(["n", "w"]).indices.items():
-        table = _law(int(size), int(width)).table(int(width), "tail")
-        out[at] = table[q.to_numpy()[at].astype(int) - N.least_sum(int(width))]
+        out[at] = _law(int(size), int(width)).scores(int(width), q.to_numpy()[at].astype(int))
     return pd.Series(out)
 
 
@@ -53,7 +51,7 @@ def best_interval(value: pd.Series, t: pd.Series, w_max: pd.Series = None) -> li
     order = np.argsort(t.to_numpy(), kind="stable")
     v, at = value.to_numpy()[order], t.to_numpy()[order]
     w_max = min(len(v), W_MAX if w_max is None else int(w_max.iloc[0]))
-    f = R.Surface(R.hashed_ranks(v, "", at), _law(len(v), w_max).tables("tail"), 1, w_max)
+    f = R.Surface(R.hashed_ranks(v, "", at), _law(len(v), w_max), 1, w_max)
     best = min((float(p.min()), w, int(p.argmin()) + 1) for w in range(1, f.w_max + 1) for p in [f.row(w)[1]])
     return [float(best[2]), float(best[1]), best[0]]
 
@@ -88,7 +86,7 @@ class EventRegions:
 
         t, v = (np.array(x) for x in zip(*self.rows))
         w_max = min(self.w_max, len(v))
-        f = R.Surface(R.hashed_ranks(v.astype(float), self.series, t), _law(len(v), w_max).tables("tail"), 1, w_max)
+        f = R.Surface(R.hashed_ranks(v.astype(float), self.series, t), _law(len(v), w_max), 1, w_max)
         if self.restarts is None and choose_search(len(v), w_max) == "exhaustive":
             s, w, p = local_minima(f)
         else:

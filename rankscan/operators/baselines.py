@@ -2,6 +2,7 @@
 
 from __future__ import annotations
 
+import zlib
 from collections import defaultdict
 from collections.abc import Iterator
 
@@ -13,7 +14,8 @@ from pyspark.sql import Window
 
 from rankscan import schema
 from rankscan.functions import regions as R
-from rankscan.operators.scan import law_tables, lengths_of
+from rankscan.functions.nulllaw import LawTables
+from rankscan.operators.laws import LawFiles
 from rankscan.operators.ranking import best_per_series, rank_rows
 
 
@@ -129,9 +131,9 @@ def randomization_test(segments: DataFrame, shuffles: int, w_max: int, mode: str
 
     Shuffles are dealt to tasks in shares, seeded by segment and share.
     """
-    held = segments.sparkSession.sparkContext.broadcast(law_tables(lengths_of(segments), w_max, mode))
+    laws = LawFiles(segments.sparkSession, w_max, mode)
 
-    def best(ranks: np.ndarray, tables: list[np.ndarray]) -> float:
+    def best(ranks: np.ndarray, tables: LawTables) -> float:
         f = R.Surface(ranks, tables, 1, w_max)
         return min(float(f.row(w)[1].min()) for w in range(f.w_min, f.w_max + 1))
 
@@ -139,11 +141,10 @@ def randomization_test(segments: DataFrame, shuffles: int, w_max: int, mode: str
         for pdf in batches:
             rows = []
             for r in pdf.itertuples(index=False):
-                tables = held.value[r.n][0]
+                tables = laws.get(r.n)
                 ranks = R.hashed_ranks(np.asarray(r.values, float), r.series_id, np.asarray(r.t))
                 real = best(ranks, tables)
-                start = R.starts(r.series_id, r.seg_id, 1, r.n, 1, 1, seed)[0][0]
-                rng = np.random.default_rng([seed, int(start), r.share])
+                rng = np.random.default_rng([seed, zlib.crc32(f"{r.series_id}|{r.seg_id}".encode()), r.share])
                 n = min(share, shuffles - r.share * share)
                 rows.append((r.series_id, r.seg_id, real, n, sum(best(rng.permutation(ranks), tables) <= real for _ in range(n))))
             yield pd.DataFrame(rows, columns=["series_id", "seg_id", "log10_p", "n", "hits"])

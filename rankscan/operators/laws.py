@@ -2,7 +2,9 @@
 
 from __future__ import annotations
 
+import io
 import math
+import uuid
 from collections.abc import Iterator
 from functools import reduce
 
@@ -14,7 +16,7 @@ from pyspark.sql import Window
 
 from rankscan import schema
 from rankscan.functions import nulllaw as N
-from rankscan.sources.tables import shared_path
+from rankscan.sources.tables import shared_dir, shared_path
 
 _FITS = 10**38
 
@@ -117,6 +119,75 @@ def decision_flips(law_a: DataFrame, law_b: DataFrame, alpha: float) -> DataFram
     return a.join(b, ["n", "w", "phi"], "full").where(F.coalesce("in_a", F.lit(True)) != F.coalesce("in_b", F.lit(True)))
 
 
+#: Tables held by this worker (or driver), the latest last, and the most bytes of them that it keeps besides the one in use.
+_HELD: dict[str, N.LawTables] = {}
+HELD_BYTES = 128 << 20
+
+
+class LawFiles:
+    """Score tables in the shared folder, a file per segment length, read by the workers that meet that length.
+
+    A table is made once and for all series, sessions and queries that share the folder: by ``prepare`` in tasks of its
+    own for lengths known beforehand, else by the first worker that needs it. Nothing is built on, or passes, the driver.
+    """
+
+    def __init__(self, spark: SparkSession, w_max: int, mode: str = "tail", law: str = "exact", samples: int = 100_000, seed: int = 42):
+        self.how = {"w_max": w_max, "mode": mode, "law": law, "samples": samples, "seed": seed}
+        drawn = f"-{samples}-{seed}" if law != "exact" else ""
+        self.base = f"{shared_dir(spark)}/law-tables/{law}{drawn}-{mode}-{w_max}"
+
+    def uri(self, n: int) -> str:
+        return f"{self.base}-{n}.npy"
+
+    def _read(self, n: int) -> N.LawTables | None:
+        import pyarrow.fs
+
+        fs, path = pyarrow.fs.FileSystem.from_uri(self.uri(n))
+        try:
+            with fs.open_input_file(path) as file:
+                flat = np.load(io.BytesIO(file.read()))
+        except FileNotFoundError:
+            return None
+        exact = self.how["law"] == "exact"
+        return N.LawTables(n, self.how["w_max"], flat, exact and self.how["mode"] in N.SYMMETRIC, None if exact else self.how["samples"])
+
+    def _write(self, n: int) -> N.LawTables:
+        import pyarrow.fs
+
+        made = N.LawTables.build(n, **self.how)
+        fs, path = pyarrow.fs.FileSystem.from_uri(self.uri(n))
+        fs.create_dir(path.rpartition("/")[0], recursive=True)
+        part, data = f"{path}.{uuid.uuid4().hex}", io.BytesIO()
+        np.save(data, made.flat)
+        with fs.open_output_stream(part) as file:
+            file.write(data.getvalue())
+        fs.move(part, path)  # whoever is last leaves the same bytes
+        return made
+
+    def get(self, n: int) -> N.LawTables:
+        n, uri = int(n), self.uri(int(n))
+        if uri in _HELD:
+            _HELD[uri] = _HELD.pop(uri)
+        else:
+            _HELD[uri] = self._read(n) or self._write(n)
+            while len(_HELD) > 1 and sum(x.flat.nbytes for x in _HELD.values()) > HELD_BYTES:
+                del _HELD[next(iter(_HELD))]
+        return _HELD[uri]
+
+    def prepare(self, spark: SparkSession, lengths: list[int]) -> LawFiles:
+        """Makes the tables that are not there yet, a task each."""
+        files = self
+
+        def make(batches: Iterator[pd.DataFrame]) -> Iterator[pd.DataFrame]:
+            for pdf in batches:
+                yield pdf.assign(made=[files._read(n) is None and files._write(n) is not None for n in pdf["n"].tolist()])
+
+        if lengths:
+            asked = spark.createDataFrame([(int(n),) for n in sorted(set(lengths))], "n int").repartition(len(set(lengths)), "n")
+            asked.mapInPandas(make, "n int, made boolean").collect()
+        return self
+
+
 class LawStore:
     """Laws on disk, partitioned by n and method; a law is computed only if the store has none for its n and width."""
 

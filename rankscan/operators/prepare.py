@@ -96,7 +96,8 @@ def segment_starts(n_s: int, w_max: int, overlap: int | None = None) -> Column:
 
 
 def segment(series: DataFrame, n_s: int, w_max: int, overlap: int | None = None, short: str = "own_n") -> DataFrame:
-    """Packed segments; a point goes to the one or two segments that hold it by arithmetic, then one shuffle packs them.
+    """Packed segments; a point goes to the one or two segments that hold it by arithmetic, then one shuffle by (series,
+    segment) packs them, so that a long series' segments are spread over all tasks.
 
     Series shorter than n_s make one segment of their own length, or none with ``short="drop"``.
     """
@@ -109,7 +110,10 @@ def segment(series: DataFrame, n_s: int, w_max: int, overlap: int | None = None,
     held = F.expr(f"array_union(sequence(greatest(cast(ceil((t - {n_s}) / {stride}) as bigint), 0), greatest(least((t - 1) div {stride}, top), greatest(cast(ceil((t - {n_s}) / {stride}) as bigint), 0))), array(top))")
     rows = rows.withColumn("seg", F.explode(held)).withColumn("seg_start", F.greatest(F.lit(1), F.least(1 + F.col("seg") * stride, F.col("length") - n_s + 1)).cast("bigint"))
     rows = rows.where((F.col("seg") <= F.col("top")) & (F.col("t") >= F.col("seg_start")) & (F.col("t") < F.col("seg_start") + n_s))
-    packed = rows.groupBy("series_id", F.col("seg").cast("int").alias("seg_id"), "seg_start").agg(F.array_sort(F.collect_list(F.struct("t", "value"))).alias("p"))
+    # dealt by segment, into as many parts as the session shuffles into whatever their bytes: a part's work is its segments
+    parts = int(series.sparkSession.conf.get("spark.sql.shuffle.partitions"))
+    rows = rows.select("series_id", F.col("seg").cast("int").alias("seg_id"), "seg_start", "t", "value").repartition(parts, "series_id", "seg_id")
+    packed = rows.groupBy("series_id", "seg_id", "seg_start").agg(F.array_sort(F.collect_list(F.struct("t", "value"))).alias("p"))
     return packed.select("series_id", "seg_id", "seg_start", F.size("p").alias("n"), F.col("p.t").alias("t"), F.col("p.value").alias("values"))
 
 

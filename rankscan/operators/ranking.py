@@ -2,6 +2,8 @@
 
 from __future__ import annotations
 
+from collections.abc import Iterator
+
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 from pyspark.sql import Window
@@ -74,23 +76,65 @@ def asof_join(left: DataFrame, right: DataFrame, key: str, left_t: str, right_t:
 
 
 def merge_segments(regions: DataFrame, theta: float = 0.75) -> DataFrame:
-    """Clusters each series' regions once more, now on whole-series starts, so that an event in two overlapping segments
-    counts once. A series' regions, not its points, meet in one task."""
-    import pandas as pd
-
-    from rankscan.functions.regions import cluster
+    """Clusters, on whole-series starts, the regions that reach into another segment of their series, so that an event in
+    two overlapping segments counts once; all others, and series of one segment, pass as they are.
 
+    A region can only meet one of another segment where the segments overlap. Such regions fall into islands (runs of
+    regions that touch), and an island, whose size segments' overlap bounds, is one task's group: a long series' regions
+    are never held together.
+    """
     columns = [f.name for f in regions.schema]
+    along = Window.partitionBy("series_id").orderBy("seg_start")
+    segments = regions.groupBy("series_id", "seg_start").agg(F.max("n").alias("_n"))
+    segments = segments.select("series_id", "seg_start", F.lead("seg_start").over(along).alias("_next"), F.max(F.col("seg_start") + F.col("_n") - 1).over(along.rowsBetween(Window.unboundedPreceding, -1)).alias("_before"))
+    seamed = segments.where("_next is not null or _before is not null")
+    seamed = seamed.withColumnsRenamed({"series_id": "_series", "seg_start": "_start"})
+    shared = F.coalesce(F.col("s") + F.col("w") - 1 >= F.col("_next"), F.lit(False)) | F.coalesce(F.col("s") <= F.col("_before"), F.lit(False))
+    placed = regions.join(seamed, (F.col("series_id") == F.col("_series")) & (F.col("seg_start") == F.col("_start")), "left").withColumn("_shared", shared)
+    by_start = Window.partitionBy("series_id").orderBy("s", "w")
+    reach = F.max(F.col("s") + F.col("w") - 1).over(by_start.rowsBetween(Window.unboundedPreceding, -1))
+    opens = F.coalesce((F.col("s") > reach).cast("int"), F.lit(1))
+    islands = placed.where("_shared").select(*columns, opens.alias("_opens")).withColumn("_island", F.sum("_opens").over(by_start.rowsBetween(Window.unboundedPreceding, 0))).drop("_opens")
+
+    dealt = islands.repartition("series_id", "_island").sortWithinPartitions("series_id", "_island", "log10_p", "s", "w", "seg_id", "region_id")
+    return placed.where("not _shared").select(*columns).unionAll(dealt.mapInArrow(_merge_islands(theta), regions.schema))
+
+
+def _merge_islands(theta: float):
+    """Rows sorted by series and island to rows of their clusters; only an island that goes on in the next batch is held."""
+    import numpy as np
+    import pyarrow as pa
+
+    from rankscan.functions.regions import cluster
 
-    def run(pdf: pd.DataFrame) -> pd.DataFrame:
-        pdf = pdf.sort_values(["log10_p", "s", "w"]).reset_index(drop=True)
-        rows = []
-        for k, members in enumerate(cluster(pdf["s"].to_numpy(), pdf["w"].to_numpy(), pdf["log10_p"].to_numpy(), theta)):
-            best = pdf.loc[members[0]].copy()
-            best["region_id"], best["hits"] = k, int(pdf.loc[members, "hits"].sum())
-            best["hit_share"] = float(pdf.loc[members, "hit_share"].max())
-            best["members"] = [m for i in members for m in pdf.loc[i, "members"]]
-            rows.append(best)
-        return pd.DataFrame(rows, columns=columns)
-
-    return regions.groupBy("series_id").applyInPandas(run, regions.schema)
+    def merged(rows: pa.Table, edges: list[int]) -> pa.RecordBatch:
+        s, w, p, hits, share = (rows[c].to_numpy() for c in ("s", "w", "log10_p", "hits", "hit_share"))
+        groups = []
+        for a, b in zip(edges, [*edges[1:], len(rows)]):
+            groups += [[a]] if b - a == 1 else [[a + i for i in g] for g in cluster(s[a:b], w[a:b], p[a:b], theta)]
+        lead, sizes = [g[0] for g in groups], [len(g) for g in groups]
+        flat = np.concatenate(groups)
+        first = np.cumsum(sizes) - sizes
+        members = rows["members"].combine_chunks().take(pa.array(flat))
+        ends = np.cumsum(members.value_lengths().to_numpy())[first + sizes - 1]
+        out = rows.drop_columns("_island").take(pa.array(lead)).combine_chunks().to_batches()[0]
+        new = {"hits": pa.array(np.add.reduceat(hits[flat], first), pa.int32()), "hit_share": pa.array(np.maximum.reduceat(share[flat], first))}
+        new["members"] = pa.ListArray.from_arrays(pa.array(np.append(0, ends), pa.int32()), members.flatten())
+        return pa.RecordBatch.from_arrays([new[c].cast(out.schema.field(c).type) if c in new else out[c] for c in out.schema.names], schema=out.schema)
+
+    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        held = None
+        for batch in batches:
+            if not batch.num_rows:
+                continue
+            rows = pa.Table.from_batches([batch])
+            rows = rows if held is None else pa.concat_tables([held, rows])
+            series, island = rows["series_id"].to_numpy(), rows["_island"].to_numpy()
+            edges = np.flatnonzero(np.append(True, (series[1:] != series[:-1]) | (island[1:] != island[:-1]))).tolist()
+            held = rows.slice(edges[-1])
+            if len(edges) > 1:
+                yield merged(rows.slice(0, edges[-1]), edges[:-1])
+        if held is not None:
+            yield merged(held, [0])
+
+    return run

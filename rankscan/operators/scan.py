@@ -6,123 +6,152 @@ from collections.abc import Iterator
 
 import numpy as np
 import pandas as pd
+import pyarrow as pa
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 from pyspark.sql import Window
+from pyspark.sql.pandas.types import to_arrow_schema
+from pyspark.sql.types import StructType
 
 from rankscan import schema
 from rankscan.functions import regions as R
 from rankscan.functions.nulllaw import Law, least_sum, min_width
+from rankscan.operators.laws import LawFiles
 from rankscan.operators.prepare import rank_long
 from rankscan.plans.planner import choose_search
 
 
-def law_tables(lengths: list[int], w_max: int, mode: str, law: str = "exact", samples: int = 100_000, seed: int = 42) -> dict[int, tuple[list[np.ndarray], int | None]]:
-    """Score tables for each segment length; their size depends on lengths and w_max, not on the data."""
-    out = {}
-    for n in lengths:
-        one = Law.exact(n, w_max) if law == "exact" else Law.sampled(n, w_max, samples, seed)
-        out[n] = one.tables(mode), one.samples
-    return out
+def _residuals(t: np.ndarray, v: np.ndarray) -> np.ndarray:
+    if len(v) < 3:
+        return v - v.mean()
+    x = t - t.mean()
+    return v - v.mean() - x * ((x * v).sum() / (x * x).sum())
 
 
-def lengths_of(segments: DataFrame) -> list[int]:
-    return sorted(r[0] for r in segments.select("n").distinct().collect())
+def ranks_of(series_id: str, t: np.ndarray, v: np.ndarray, detrend: str = "none", ties: str = "hashed", seed: int = 42) -> np.ndarray:
+    """A segment's values as whole ranks, after its line is taken off if ``detrend`` is linear."""
+    if detrend == "linear":
+        v = np.round(_residuals(t, v), 9)
+    return np.rint(R.hashed_ranks(v, series_id, t, seed, ties)).astype(np.int64)
 
 
-def _residuals(t: np.ndarray, v: np.ndarray) -> np.ndarray:
-    return v - np.polyval(np.polyfit(t - t[0], v, 1), t - t[0]) if len(v) > 2 else v - v.mean()
+def packed_rows(batches: Iterator[pa.RecordBatch]) -> Iterator[tuple[str, int, int, int, np.ndarray, np.ndarray]]:
+    """(series_id, seg_id, seg_start, n, t, values) of each packed segment, arrays without copying."""
+    for batch in batches:
+        t, v = batch.column("t"), batch.column("values")
+        times, values = t.flatten().to_numpy(), v.flatten().to_numpy()
+        ends = np.cumsum(v.value_lengths().to_numpy())
+        for i, (series, seg, start, n) in enumerate(zip(*(batch.column(c).to_pylist() for c in ("series_id", "seg_id", "seg_start", "n")))):
+            yield series, seg, start, n, times[ends[i] - n : ends[i]], values[ends[i] - n : ends[i]]
 
 
-def _ranks(row, detrend: str, ties: str, seed: int) -> np.ndarray:
-    t, v = np.asarray(row.t), np.asarray(row.values, float)
-    if detrend == "linear":
-        v = np.round(_residuals(t, v), 9)
-    r = R.hashed_ranks(v, row.series_id, t, seed, ties)
-    return np.rint(r).astype(np.int64)
+class _Rows:
+    """Gathers columns and gives them out in batches."""
+
+    def __init__(self, schema: pa.Schema, most: int = 50_000):
+        self.schema, self.most, self.size = schema, most, 0
+        self.columns: list[list] = [[] for _ in schema]
+
+    def add(self, size: int, *columns) -> None:
+        for held, x in zip(self.columns, columns):
+            held.extend(x.tolist() if isinstance(x, np.ndarray) else x if isinstance(x, list) else [x] * size)
+        self.size += size
+
+    def full(self, least: int | None = None) -> Iterator[pa.RecordBatch]:
+        if self.size >= (self.most if least is None else least):
+            yield pa.RecordBatch.from_arrays([pa.array(x, f.type) for x, f in zip(self.columns, self.schema)], schema=self.schema)
+            self.columns, self.size = [[] for _ in self.schema], 0
 
 
 def search_segments(
     segments: DataFrame, w_max: int, w_min: int = 1, mode: str = "tail", search: str = "exhaustive", restarts: int = 30, theta: float = 0.75, law: str = "exact", samples: int = 100_000,
-    detrend: str = "none", ties: str = "hashed", alpha: float | None = None, seed: int = 42, spread: str = "uniform", output: str = "regions", exhaustive_cells: int = 200_000,
+    detrend: str = "none", ties: str = "hashed", alpha: float | None = None, seed: int = 42, spread: str = "uniform", output: str = "regions", exhaustive_cells: int = 200_000, n_s: int | None = None,
 ) -> DataFrame:
     """Ranks, searches and clusters every segment in one pass without a shuffle.
 
     ``search``: exhaustive, powell, coordinate, pattern or auto (exhaustive while n * w_max is at most
-    ``exhaustive_cells``, powell for larger segments: there, approximate, and hits count restarts instead of minima). ``output``: regions, candidates (one row per restart) or surface (all windows). With the
-    exhaustive search the candidates are the surface's local minima. Regions whose score is above alpha stay in the worker.
+    ``exhaustive_cells``, powell for larger segments: there, approximate, and hits count restarts instead of minima).
+    ``output``: regions, best (each segment's most significant region alone), candidates (one row per restart) or surface
+    (all windows). With the exhaustive search the candidates are the surface's local minima. Regions whose score is above
+    alpha stay in the worker. Laws come from files (``LawFiles``); that of ``n_s`` is made beforehand.
     """
     spark = segments.sparkSession
-    held = spark.sparkContext.broadcast(law_tables(lengths_of(segments), w_max, mode, law, samples, seed))
+    laws = LawFiles(spark, w_max, mode, law, samples, seed).prepare(spark, [n_s] if n_s else [])
+    kind = {"regions": schema.REGIONS, "best": schema.REGIONS, "candidates": schema.CANDIDATES, "surface": schema.SURFACE}[output]
+    arrow_kind = to_arrow_schema(StructType.fromDDL(kind))
 
-    def candidates(f: R.Surface, row, method: str):
+    def candidates(f: R.Surface, series: str, seg: int):
+        method = choose_search(f.n, f.w_max, exhaustive_cells) if search == "auto" else search
         if method == "exhaustive":
             s, w, p = local_minima(f)
             return s, w, s, w, p, np.full(len(s), f.n * f.w_max), np.arange(len(s))
-        s0, w0, angles = R.starts(row.series_id, row.seg_id, restarts, f.n, f.w_min, f.w_max, seed, spread)
+        s0, w0, angles = R.starts(series, seg, restarts, f.n, f.w_min, f.w_max, seed, spread)
         s, w, p, evals = R.MINIMISERS[method](f, s0, w0, angles)
         return s0, w0, s, w, p, evals, np.arange(restarts)
 
-    def run(batches: Iterator[pd.DataFrame]) -> Iterator[pd.DataFrame]:
-        for pdf in batches:
-            out = []
-            for row in pdf.itertuples(index=False):
-                tables, sampled = held.value[row.n]
-                if row.n < w_min or w_min >= len(tables):
-                    continue
-                f = R.Surface(_ranks(row, detrend, ties, seed), tables, w_min, w_max)
-                if output == "surface":
-                    for w in range(f.w_min, f.w_max + 1):
-                        q, p = f.row(w)
-                        out.append(pd.DataFrame({"series_id": row.series_id, "seg_id": row.seg_id, "s": np.arange(1, len(q) + 1), "w": w, "q": q, "log10_p": p}))
-                    continue
-                method = choose_search(f.n, f.w_max, exhaustive_cells) if search == "auto" else search
-                s0, w0, s, w, p, evals, which = candidates(f, row, method)
-                if output == "candidates":
-                    out.append(pd.DataFrame({"series_id": row.series_id, "seg_id": row.seg_id, "restart": which, "s0": s0, "w0": w0, "s": s, "w": w, "q": f.q(s, w), "log10_p": p, "evals": evals, "converged": np.isfinite(p)}))
-                    continue
-                if alpha is not None:
-                    keep = p <= np.log10(alpha)
-                    s, w, p, which = s[keep], w[keep], p[keep], which[keep]
-                if not len(s):
-                    continue
-                rows = []
-                for k, members in enumerate(R.cluster(s, w, p, theta)):
-                    best = members[0]
-                    q = int(f.q(s[best : best + 1], w[best : best + 1])[0])
-                    rows.append((
-                        row.series_id, row.seg_id, k, int(row.seg_start + s[best] - 1), int(w[best]), q, row.n, "high" if 2 * q > w[best] * (row.n + 1) else "low", float(p[best]),
-                        bool(sampled and p[best] <= -np.log10(sampled) + 1e-12), len(members), len(members) / len(which), [(int(row.seg_start + s[i] - 1), int(w[i]), float(p[i]), int(which[i])) for i in members],
-                    ))
-                out.append(pd.DataFrame(rows, columns=["series_id", "seg_id", "region_id", "s", "w", "q", "n", "direction", "log10_p", "censored", "hits", "hit_share", "members"]))
-            if out:
-                yield pd.concat(out, ignore_index=True)
-
-    kind = {"regions": schema.REGIONS, "candidates": schema.CANDIDATES, "surface": schema.SURFACE}[output]
-    return segments.mapInPandas(run, kind)
-
-
-def best_windows(segments: DataFrame, w_max: int, mode: str = "tail") -> DataFrame:
+    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        rows = _Rows(arrow_kind)
+        for series, seg, start, n, t, v in packed_rows(batches):
+            if n < w_min:
+                continue
+            tables = laws.get(n)
+            f = R.Surface(ranks_of(series, t, v, detrend, ties, seed), tables, w_min, w_max)
+            if output == "surface":
+                for w in range(f.w_min, f.w_max + 1):
+                    q, p = f.row(w)
+                    rows.add(len(q), series, seg, np.arange(1, len(q) + 1), w, q, p)
+                yield from rows.full()
+                continue
+            s0, w0, s, w, p, evals, which = candidates(f, series, seg)
+            if output == "candidates":
+                rows.add(len(s), series, seg, which, s0, w0, s, w, f.q(s, w), p, evals, np.isfinite(p))
+                yield from rows.full()
+                continue
+            tried = len(which)
+            if alpha is not None:
+                keep = p <= np.log10(alpha)
+                s, w, p, which = s[keep], w[keep], p[keep], which[keep]
+            if not len(s):
+                continue
+            groups = [R.best_cluster(s, w, p, theta)] if output == "best" else R.cluster(s, w, p, theta)
+            lead = np.array([g[0] for g in groups])
+            q, best, hits = f.q(s[lead], w[lead]), p[lead], np.array([len(g) for g in groups])
+            at = start + s - 1
+            told = list(zip(at.tolist(), w.tolist(), p.tolist(), which.tolist()))
+            censored = best <= -np.log10(tables.samples) + 1e-12 if tables.samples else np.zeros(len(lead), bool)
+            high = np.where(2 * q > w[lead] * (n + 1), "high", "low")
+            members = [[dict(zip(("s", "w", "log10_p", "restart"), told[i])) for i in g] for g in groups]
+            rows.add(len(groups), series, seg, np.arange(len(groups)), at[lead], w[lead], q, n, high, best, censored, hits, hits / tried, members, start)
+            yield from rows.full(5000)
+        yield from rows.full(1)
+
+    return segments.mapInArrow(run, kind)
+
+
+def best_windows(segments: DataFrame, w_max: int, mode: str = "tail", n_s: int | None = None) -> DataFrame:
     """Each segment's best window of all, by scores of six decimals as ``scan_sql`` has them; of equal ones the earliest,
     then the shortest."""
-    held = segments.sparkSession.sparkContext.broadcast(law_tables(lengths_of(segments), w_max, mode))
-
-    def run(batches: Iterator[pd.DataFrame]) -> Iterator[pd.DataFrame]:
-        for pdf in batches:
-            rows = []
-            for row in pdf.itertuples(index=False):
-                f = R.Surface(_ranks(row, "none", "hashed", 42), held.value[row.n][0], 1, w_max)
-                each = []
-                for w in range(1, f.w_max + 1):
-                    q, p = f.row(w)
-                    p = np.round(p, 6)
-                    i = int(p.argmin())
-                    each.append((float(p[i]), int(row.seg_start) + i, w, int(q[i])))
-                p, s, w, q = min(each)
-                rows.append((row.series_id, s, w, q, p))
-            yield pd.DataFrame(rows, columns=["series_id", "s", "w", "q", "log10_p"])
-
-    return segments.mapInPandas(run, "series_id string, s int, w int, q bigint, log10_p double")
+    spark = segments.sparkSession
+    laws = LawFiles(spark, w_max, mode).prepare(spark, [n_s] if n_s else [])
+    kind = "series_id string, s int, w int, q bigint, log10_p double"
+    arrow_kind = to_arrow_schema(StructType.fromDDL(kind))
+
+    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        rows = _Rows(arrow_kind)
+        for series, _, start, n, t, v in packed_rows(batches):
+            f = R.Surface(ranks_of(series, t, v), laws.get(n), 1, w_max)
+            each = []
+            for w in range(1, f.w_max + 1):
+                q, p = f.row(w)
+                p = np.round(p, 6)
+                i = int(p.argmin())
+                each.append((float(p[i]), start + i, w, int(q[i])))
+            p, s, w, q = min(each)
+            rows.add(1, series, s, w, q, p)
+            yield from rows.full()
+        yield from rows.full(1)
+
+    return segments.mapInArrow(run, kind)
 
 
 def local_minima(f: R.Surface) -> tuple[np.ndarray, np.ndarray, np.ndarray]:

@@ -7,6 +7,7 @@ from pyspark.sql import DataFrame
 from rankscan.operators.prepare import segment
 from rankscan.operators.ranking import merge_segments, rank_events
 from rankscan.operators.scan import search_segments
+from rankscan.sources.tables import cut
 
 
 def detect_events(
@@ -14,13 +15,17 @@ def detect_events(
     ties: str = "hashed", alpha: float | None = None, seed: int = 42, short: str = "own_n", per_series: str = "all", samples: int = 100_000, w_min: int = 1, rank: bool = True,
 ) -> DataFrame:
     """Packs segments (the one shuffle of the points), then detrends, ranks, searches and clusters in one Arrow pass;
-    only regions are shuffled after that: merged per series and numbered over the collection.
+    only regions are shuffled after that: merged where segments overlap and numbered over the collection. With
+    ``per_series="best"`` a segment gives one row, and hits are those in the segment that holds the best region.
 
     The whole plane is searched unless told otherwise; ``auto`` and ``powell`` are approximate (see ``search_segments``).
 
     ``series``: (series_id, t, value). A series without a valid value yields nothing.
     """
     packed = segment(series.select("series_id", "t", "value"), n_s, w_max, short=short)
-    found = search_segments(packed, w_max, w_min, score, search, restarts, theta, law, samples, detrend, ties, alpha, seed)
-    merged = merge_segments(found, theta)
+    output = "best" if per_series == "best" and rank else "regions"
+    found = search_segments(packed, w_max, w_min, score, search, restarts, theta, law, samples, detrend, ties, alpha, seed, output=output, n_s=n_s)
+    if output == "best":
+        return rank_events(found, "best")
+    merged = merge_segments(cut(found), theta)
     return rank_events(merged, per_series) if rank else merged

@@ -18,11 +18,17 @@ def read_table(spark: SparkSession, sf_dir: str, name: str, *columns: str) -> Da
 
 
 def shared_dir(spark: SparkSession) -> str:
-    """The folder shared by driver and executors; set here only where the session has none."""
+    """The folder shared by driver and executors: ``spark.checkpoint.dir``, else the checkpoint folder that the session
+    has. Only a session on a single machine (``local[..]``, as in tests) may go without and takes a temporary one."""
     found = spark.conf.get("spark.checkpoint.dir", None)
     context = spark.sparkContext._jsc.sc()
     if not found:
-        found = context.getCheckpointDir().get().rsplit("/", 1)[0] if context.getCheckpointDir().isDefined() else f"file://{tempfile.gettempdir()}/rankscan-shared"
+        if context.getCheckpointDir().isDefined():
+            found = context.getCheckpointDir().get().rsplit("/", 1)[0]
+        elif spark.sparkContext.master.startswith("local["):
+            found = f"file://{tempfile.gettempdir()}/rankscan-shared"
+        else:
+            raise ValueError("set spark.checkpoint.dir to a folder that the driver and all executors share")
     if not context.getCheckpointDir().isDefined():
         spark.sparkContext.setCheckpointDir(found)
     return found.rstrip("/")

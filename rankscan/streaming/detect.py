@@ -11,7 +11,7 @@ from pyspark.sql import functions as F
 from pyspark.sql.streaming.state import GroupState, GroupStateTimeout
 
 from rankscan.functions import regions as R
-from rankscan.functions.nulllaw import Law
+from rankscan.operators.laws import LawFiles
 
 
 def _timed(points: DataFrame, late: str) -> DataFrame:
@@ -48,8 +48,7 @@ def detect_stream(series: DataFrame, n_s: int, w_max: int, restarts: int = 30, t
 
     The state of a series is its last n_s values at most; every n_s - w_max new values complete a segment, as in a batch.
     """
-    tables = Law.exact(n_s, w_max).tables("tail")
-    held = series.sparkSession.sparkContext.broadcast(tables)
+    laws = LawFiles(series.sparkSession, w_max).prepare(series.sparkSession, [n_s])
     stride = n_s - w_max
 
     def run(key: tuple, batches: Iterator[pd.DataFrame], state: GroupState) -> Iterator[pd.DataFrame]:
@@ -60,7 +59,7 @@ def detect_stream(series: DataFrame, n_s: int, w_max: int, restarts: int = 30, t
         out = []
         while len(values) >= n_s:
             t = np.array(times[:n_s])
-            f = R.Surface(R.hashed_ranks(np.array(values[:n_s]), key[0], t), held.value, 1, w_max)
+            f = R.Surface(R.hashed_ranks(np.array(values[:n_s]), key[0], t), laws.get(n_s), 1, w_max)
             s0, w0, angles = R.starts(key[0], int(t[0] - 1) // stride, restarts, n_s, 1, f.w_max, seed)
             s, w, p, _ = R.powell(f, s0, w0, angles)
             for members in R.cluster(s, w, p, theta):

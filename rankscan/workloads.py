@@ -486,7 +486,7 @@ def _grid_ranked(spark):
 
 def _scanned(series: DataFrame, n: int, w_max: int) -> DataFrame:
     """The best among all windows of each series of at most n points, from workers."""
-    return S.best_windows(cut(P.segment(series, n, w_max)), w_max)
+    return S.best_windows(P.segment(series, n, w_max), w_max, n_s=n)
 
 
 def _study_ranked(spark):
@@ -620,13 +620,13 @@ def _packed_grid(spark, n=1000):
 
 
 def _powell(packed, r, **more):
-    return S.search_segments(packed, 100, search="powell", restarts=r, **more)
+    return S.search_segments(packed, 100, search="powell", restarts=r, n_s=1000, **more)
 
 
 @query
 def detect_powell_grid(spark, d):
     """The synthetic study: all 2,000 series of 1,000 points, 30 restarts, best region of each."""
-    return K.rank_events(_powell(_packed_grid(spark)[1], 30), per_series="best").drop("members")
+    return K.rank_events(_powell(_packed_grid(spark)[1], 30, output="best"), per_series="best").drop("members")
 
 
 @query
