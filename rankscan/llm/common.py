@@ -3,6 +3,7 @@
 from __future__ import annotations
 
 import ctypes
+import tempfile
 import uuid
 from collections.abc import Callable, Iterator
 from contextlib import contextmanager
@@ -57,15 +58,15 @@ def table(spark: SparkSession, sf_dir: str, name: str) -> DataFrame:
 
 def shared_dir(spark: SparkSession) -> str:
     """The folder that the driver and all executors share: ``spark.checkpoint.dir``, else the checkpoint folder that the
-    session already has. Where it has none, a single machine's session (``local[..]``, as in tests) takes its warehouse;
-    a cluster must name one."""
+    session already has. Only a session on a single machine (``local[..]``, as in tests) may go without and takes a
+    temporary one."""
     found = spark.conf.get("spark.checkpoint.dir", None)
     if not found:
         held = spark.sparkContext._jsc.sc().getCheckpointDir()
         if held.isDefined():
             found = held.get().rsplit("/", 1)[0]
         elif spark.sparkContext.master.startswith("local["):
-            found = f"{spark.conf.get('spark.sql.warehouse.dir').rstrip('/')}/shared"
+            found = f"file://{tempfile.gettempdir()}/rankscan-shared"
         else:
             raise ValueError("set spark.checkpoint.dir to a folder that the driver and all executors share")
     if not spark.sparkContext._jsc.sc().getCheckpointDir().isDefined():
