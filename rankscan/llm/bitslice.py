@@ -10,8 +10,10 @@ Exact scores come from the slices of the sum and a constant of the query.
 Rows are dealt to blocks by position, never by value. Each block is one task's stream: index rows first, then the
 queries, which are repeated once a block. A task holds one block's slices.
 
-Defined cases: null vectors, and vectors with a null or non-finite component or of another length than ``width``, take no
-part; a query leaves out all rows of its own id; repeated rows are candidates of their own; fewer than k candidates are
+Defined cases: null vectors, and vectors with a null or non-finite component, with a component of 2^45 or more, or of
+another length than ``width`` (by default the commonest, of equally common ones the greatest), take no part; scores
+beyond a long are held at its ends; a query leaves out all rows of its own id; repeated rows are candidates of their own,
+and each of several query rows of one id is answered for itself; fewer than k candidates are
 all returned; rows without id are neither queries nor candidates. Columns other than id and vector are not read.
 """
 
@@ -30,8 +32,12 @@ from .common import cut, lean
 BLOCK_ROWS = 16_384
 
 
+#: Quantised components of this size or more are not whole numbers of a double any more.
+MOST = 1 << 53
+
+
 def quantised(vector: Column, scale: int = 256) -> Column:
-    return F.transform(vector, lambda x: F.floor(F.lit(scale) * x.cast("double")).cast("int"))
+    return F.transform(vector, lambda x: F.floor(F.lit(scale) * x.cast("double")).cast("long"))
 
 
 class SliceIndex:
@@ -55,7 +61,7 @@ class SliceIndex:
     def total(self, weights: np.ndarray) -> tuple[list[np.ndarray], int]:
         """Bit slices of each row's weighted sum, and what to add to get the inner product."""
         columns: list[list[np.ndarray]] = []
-        constant = int((weights * self.low).sum())
+        constant = sum(a * b for a, b in zip(weights.tolist(), self.low.tolist()))
         for d, w in enumerate(weights.tolist()):
             if not w or not self.bits[d]:
                 continue
@@ -112,10 +118,12 @@ class SliceIndex:
                     break
         rows = self._rows(sure)
         rows = np.concatenate([rows, self._rows(edge)[: k - len(rows)]])
-        score = np.full(len(rows), constant, np.int64)
+        wide = len(total) > 61 or abs(constant) >= 1 << 61  # whole numbers of any size, held at the ends of a long
+        score = np.full(len(rows), constant, object if wide else np.int64)
         for b, x in enumerate(total):
-            score += ((x[rows >> 6] >> (rows & 63).astype(np.uint64)) & np.uint64(1)).astype(np.int64) << b
-        return self.ids[rows], score
+            bit = ((x[rows >> 6] >> (rows & 63).astype(np.uint64)) & np.uint64(1)).astype(np.int64)
+            score += bit.astype(object) * (1 << b) if wide else bit << b
+        return self.ids[rows], np.clip(score, -(1 << 63), (1 << 63) - 1).astype(np.int64)
 
     @staticmethod
     def _rows(bitmap: np.ndarray) -> np.ndarray:
@@ -133,9 +141,9 @@ def _search(k: int):
                 values.clear()
 
         for batch in batches:
-            block, query, rows = (batch.column(x).to_numpy() for x in ("block", "query", "vec_id"))
+            block, query, rows, asked = (batch.column(x).to_numpy() for x in ("block", "query", "vec_id", "row"))
             flat = batch.column("q").flatten().to_numpy().reshape(len(rows), -1) if len(rows) else np.zeros((0, 0))
-            out: list[list[np.ndarray]] = [[], [], []]
+            out: list[list[np.ndarray]] = [[], [], [], []]
             cuts = np.flatnonzero(np.append(True, (block[1:] != block[:-1]) | (query[1:] != query[:-1]))) if len(rows) else np.zeros(0, int)
             for a, b in zip(cuts.tolist(), [*cuts[1:].tolist(), len(rows)]):
                 if block[a] != now:
@@ -152,10 +160,10 @@ def _search(k: int):
                 for i in range(a, b):
                     for index in indexes:
                         found, score = index.top(int(rows[i]), flat[i].astype(np.int64), k)
-                        for to, x in zip(out, (np.full(len(found), rows[i]), found, score)):
+                        for to, x in zip(out, (np.full(len(found), asked[i]), np.full(len(found), rows[i]), found, score)):
                             to.append(x)
             if out[0]:
-                yield pa.RecordBatch.from_arrays([pa.array(np.concatenate(x), pa.int64()) for x in out], ["query_id", "vec_id", "score"])
+                yield pa.RecordBatch.from_arrays([pa.array(np.concatenate(x), pa.int64()) for x in out], ["row", "query_id", "vec_id", "score"])
 
     return run
 
@@ -164,14 +172,17 @@ def top_k(vectors: DataFrame, id_col: str = "vec_id", vector_col: str = "embeddi
     """Per query (ids divisible by ``query_every``): query_id, rank, vec_id, score of its k best rows."""
     all_rows = vectors.select(F.col(id_col).cast("long").alias("vec_id"), F.col(vector_col).alias("v")).where("vec_id is not null and v is not null")
     if width is None:
-        width = (all_rows.where(F.size("v") > 0).agg(F.min_by(F.size("v"), "vec_id")).first() or [0])[0] or 0
-    bad = F.exists("v", lambda x: x.isNull() | F.isnan(x) | (F.abs(x) == float("inf")))
-    rows = all_rows.where((F.size("v") == width) & ~F.coalesce(bad, F.lit(True))).select("vec_id", quantised(F.col("v")).alias("q"))
+        sizes = all_rows.where(F.size("v") > 0).groupBy(F.size("v").alias("width")).agg(F.count("*").alias("n"))
+        width = (sizes.agg(F.max_by("width", F.struct("n", "width"))).first() or [0])[0] or 0
+    bad = F.exists("v", lambda x: x.isNull() | F.isnan(x) | (F.abs(x.cast("double")) * 256 >= MOST))
+    good = all_rows.where((F.size("v") == width) & ~F.coalesce(bad, F.lit(True)))
+    rows = cut(good.select(F.monotonically_increasing_id().alias("row"), "vec_id", quantised(F.col("v")).alias("q")))
     blocks = max(1, -(-rows.count() // block_rows))
-    index = rows.select(F.pmod(F.monotonically_increasing_id(), F.lit(blocks)).cast("int").alias("block"), F.lit(0).alias("query"), "vec_id", "q")
+    index = rows.select(F.pmod(F.xxhash64("row"), F.lit(blocks)).cast("int").alias("block"), F.lit(0).alias("query"), "row", "vec_id", "q")
     asked = rows.where(F.pmod("vec_id", F.lit(query_every)) == 0)
-    asked = asked.select(F.explode(F.sequence(F.lit(0), F.lit(blocks - 1))).alias("block"), F.lit(1).alias("query"), "vec_id", "q")
-    dealt = index.unionAll(asked).repartition(blocks, "block").sortWithinPartitions("block", "query", "vec_id")
-    found = cut(dealt.mapInArrow(lean(_search(k)), "query_id bigint, vec_id bigint, score bigint"))
-    order = Window.partitionBy("query_id").orderBy(F.col("score").desc(), "vec_id")
+    asked = asked.select(F.explode(F.sequence(F.lit(0), F.lit(blocks - 1))).alias("block"), F.lit(1).alias("query"), "row", "vec_id", "q")
+    # a block is a partition of its own: hashing block numbers would put several into one task and leave others idle
+    dealt = index.unionAll(asked).repartitionById(blocks, F.col("block")).sortWithinPartitions("block", "query", "vec_id", "row")
+    found = cut(dealt.mapInArrow(lean(_search(k)), "row bigint, query_id bigint, vec_id bigint, score bigint"))
+    order = Window.partitionBy("row").orderBy(F.col("score").desc(), "vec_id")
     return found.withColumn("rank", F.row_number().over(order)).where(F.col("rank") <= k).select("query_id", F.col("rank").cast("int"), "vec_id", "score")
