@@ -9,7 +9,7 @@ from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
 from . import bitslice, decontaminate, mixture, ngramjoin, oracles, quality, tokenfile, toxicity, transcripts, urlrules, warcaudit
-from .common import held_out, table
+from .common import cut, held_out, table
 
 TOKENIZER = public_tokenizers.path("byte_bpe_50k.json")
 
@@ -48,13 +48,14 @@ def op7_url_rules(spark: SparkSession, sf_dir: str) -> DataFrame:
 
 def op8_chat_format(spark: SparkSession, sf_dir: str) -> DataFrame:
     lines = transcripts.transcript_lines(table(spark, sf_dir, "conversations"))
-    return transcripts.render(transcripts.decode(lines, transcripts.train(lines)))
+    known = lines.where(~held_out(F.col("conv_id")))
+    return transcripts.render(transcripts.decode(lines, transcripts.train(known)))
 
 
 def op9_warc_fixity(spark: SparkSession, sf_dir: str) -> DataFrame:
     pages = table(spark, sf_dir, "pages")
-    leaves = warcaudit.records(pages)
-    differ = warcaudit.audit(leaves, warcaudit.records(warcaudit.corrupted(pages))).withColumn("corrupt", F.lit(True))
+    leaves, replica = (cut(warcaudit.records(x)) for x in (pages, warcaudit.corrupted(pages)))
+    differ = warcaudit.audit(leaves, replica).withColumn("corrupt", F.lit(True))
     out = leaves.join(differ, ["file", "pos"], "left")
     return out.select("page_id", "file", "pos", "offset", "length", "digest", "copies", F.coalesce("corrupt", F.lit(False)).alias("corrupt"))
 

@@ -1,8 +1,8 @@
 """Chat formatting: a hidden Markov model recovers speakers from raw transcripts, then turns are rendered canonically.
 
 A transcript is lines of text. Hidden states are (role, begins a turn or goes on); what is seen of a line is its speaker
-marker, if any, and a few features. Emissions are counted over all labelled lines; how speakers follow each other is a
-fixed table. Viterbi's best path gives the roles, and runs of lines become turns in one format.
+marker, if any, and a few features. Emissions, and how speakers begin and follow each other, are counted over all
+labelled lines given. Viterbi's best path gives the roles, and runs of lines become turns in one format.
 
 A conversation is decoded in chunks of CHUNK turns. Where it has several, each chunk first yields its max-plus matrix
 (best path score from any state before it to any state at its end); these compose, so the states at the chunks' ends
@@ -23,6 +23,8 @@ import pandas as pd
 import pyarrow as pa
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
+from pyspark.sql import Window
+from pyspark.sql.pandas.types import to_arrow_type
 
 from .common import cut, lean
 
@@ -36,9 +38,6 @@ STYLES = [
     {"system": "<|system|>", "user": "<|user|>", "assistant": "<|assistant|>"},
     {"system": "Note: ", "user": "Q: ", "assistant": "A: "},
 ]
-#: How likely a turn of a role (row) is followed by one of another (column), in the order of ROLES; fixed values.
-FOLLOWS = np.array([[0.02, 0.95, 0.03], [0.01, 0.04, 0.95], [0.01, 0.95, 0.04]])
-FIRST = np.array([0.15, 0.80, 0.05])
 MARKS, SYMBOLS = 4, 4 * 2 * 2 * 4
 
 
@@ -75,20 +74,47 @@ def transcript_lines(turns: DataFrame, unmarked: int = 20) -> DataFrame:
     return lines.withColumn("symbol", symbol(F.col("line"))).withColumn("true_state", state)
 
 
+def chunked(lines: DataFrame, chunk_turns: int = CHUNK) -> DataFrame:
+    """Adds the chunk of a line: its turn's number over ``chunk_turns``, -1 for turns without a number."""
+    number = F.expr("try_cast(turn AS double)")
+    return lines.withColumn("chunk", F.coalesce(F.floor(number / chunk_turns), F.lit(-1)).cast("long"))
+
+
+def role_steps(lines: DataFrame) -> tuple[np.ndarray, np.ndarray]:
+    """How many conversations begin with each role, and how often a turn of a role is followed by one of another: within
+    chunks by a window, over chunks' borders by a row per chunk, so that no conversation is held by one task."""
+    turns = chunked(lines).where("line_no = 0 and true_state is not null").select("conv_id", "chunk", "turn", "tie", F.floor(F.col("true_state") / 2).cast("int").alias("role"))
+    inside = Window.partitionBy("conv_id", "chunk").orderBy("turn", "tie")
+    place = F.struct("turn", "tie")
+    ends = turns.groupBy("conv_id", "chunk").agg(F.min_by("role", place).alias("role"), F.max_by("role", place).alias("last"))
+    along = Window.partitionBy("conv_id").orderBy("chunk")
+    pairs = turns.select(F.lag("role").over(inside).alias("a"), F.col("role").alias("b")).where("a is not null")
+    pairs = pairs.unionAll(ends.select(F.coalesce(F.lag("last").over(along), F.lit(-1)).alias("a"), F.col("role").alias("b")))
+    first, steps = np.full(3, 0.5), np.full((3, 3), 0.5)
+    for a, b, n in pairs.groupBy("a", "b").agg(F.count("*").alias("n")).collect():  # at most twelve rows
+        if a < 0:
+            first[b] += n
+        else:
+            steps[a, b] += n
+    return first / first.sum(), steps / steps.sum(1, keepdims=True)
+
+
 def train(lines: DataFrame) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
-    """Log probabilities of the first state, of steps between states, and of symbols by state, from counts over all lines."""
+    """Log probabilities of the first state, of steps between states, and of symbols by state, from counts over all
+    labelled lines given."""
     counts = np.ones((6, SYMBOLS)) * 0.1
     for r in lines.where("true_state is not null").groupBy("true_state", "symbol").agg(F.count("*").alias("n")).collect():
         counts[r[0], r[1]] += r[2]
     total = counts.sum(1)
+    starts, follows = role_steps(lines)
     step = np.zeros((6, 6))
     for a in range(3):
         goes_on = total[2 * a + 1] / (total[2 * a] + total[2 * a + 1])
         step[[2 * a, 2 * a + 1], 2 * a + 1] = goes_on
         for b in range(3):
-            step[[2 * a, 2 * a + 1], 2 * b] = (1 - goes_on) * FOLLOWS[a, b]
+            step[[2 * a, 2 * a + 1], 2 * b] = (1 - goes_on) * follows[a, b]
     first = np.zeros(6)
-    first[::2] = FIRST
+    first[::2] = starts
     with np.errstate(divide="ignore"):
         return np.log(first), np.log(step), np.log(counts / total[:, None])
 
@@ -130,10 +156,10 @@ def _viterbi(step: np.ndarray, emit: np.ndarray, start: np.ndarray, last: int |
 
 
 def decode(lines: DataFrame, model: tuple[np.ndarray, np.ndarray, np.ndarray], chunk_turns: int = CHUNK) -> DataFrame:
-    """Per line: conv_id, chunk, turn, line_no, line, state, true_state."""
+    """Per line: conv_id, chunk, turn, tie, line_no, line, state, true_state."""
     held = lines.sparkSession.sparkContext.broadcast(model)
     order = ["conv_id", "chunk", "turn", "tie", "line_no"]
-    lines = lines.withColumn("chunk", F.coalesce(F.floor(F.col("turn") / chunk_turns), F.lit(-1)).cast("long"))
+    lines = chunked(lines, chunk_turns)
     kind = lines.schema["conv_id"].dataType.simpleString()
     turn_kind = lines.schema["turn"].dataType.simpleString()
     chunks = lines.groupBy("conv_id").agg(F.min("chunk").alias("first"), F.max("chunk").alias("last"))
@@ -147,7 +173,7 @@ def decode(lines: DataFrame, model: tuple[np.ndarray, np.ndarray, np.ndarray], c
             outset = _paths(step, seen, first[None])
             yield pa.RecordBatch.from_arrays([pa.array([conv], batch_kind), pa.array([chunk], pa.int64()), pa.array([np.vstack([inside, outset]).ravel()], pa.list_(pa.float64()))], ["conv_id", "chunk", "m"])
 
-    batch_kind = {"bigint": pa.int64(), "int": pa.int32(), "string": pa.string()}[kind]
+    batch_kind, turn_batch_kind = (to_arrow_type(lines.schema[c].dataType) for c in ("conv_id", "turn"))
 
     def ends(pdf: pd.DataFrame) -> pd.DataFrame:
         """States before and at the end of each chunk of one long conversation, along its best path."""
@@ -171,18 +197,19 @@ def decode(lines: DataFrame, model: tuple[np.ndarray, np.ndarray, np.ndarray], c
 
     def best(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         first, step, emit = held.value
-        names = ["conv_id", "chunk", "turn", "line_no", "line", "state", "true_state"]
+        kinds = [("conv_id", batch_kind), ("chunk", pa.int64()), ("turn", turn_batch_kind), ("tie", pa.int64()), ("line_no", pa.int32()), ("line", pa.string()), ("state", pa.int32()), ("true_state", pa.int32())]
+        names = [n for n, _ in kinds]
         for _, rows in _runs(batches):
             seen = emit[:, [r["symbol"] for r in rows]].T
             before, last = rows[0]["before"], rows[0]["last"]
             path = _viterbi(step, seen, first if before is None or before < 0 else step[before], last)
             for r, s in zip(rows, path):
                 r["state"] = s
-            yield pa.RecordBatch.from_pylist([{n: r[n] for n in names} for r in rows], schema=pa.schema([("conv_id", batch_kind), ("chunk", pa.int64()), ("turn", {"bigint": pa.int64(), "int": pa.int32()}[turn_kind]), ("line_no", pa.int32()), ("line", pa.string()), ("state", pa.int32()), ("true_state", pa.int32())]))
+            yield pa.RecordBatch.from_pylist([{n: r[n] for n in names} for r in rows], schema=pa.schema(kinds))
 
     both = lines.join(bounds, F.col("conv_id").eqNullSafe(F.col("_c")) & (F.col("chunk") == F.col("_k")), "left")
     dealt = both.select("conv_id", "chunk", "turn", "tie", "line_no", "line", "symbol", "true_state", "before", "last").repartition("conv_id", "chunk").sortWithinPartitions(*order)
-    return dealt.mapInArrow(lean(best), f"conv_id {kind}, chunk bigint, turn {turn_kind}, line_no int, line string, state int, true_state int")
+    return dealt.mapInArrow(lean(best), f"conv_id {kind}, chunk bigint, turn {turn_kind}, tie bigint, line_no int, line string, state int, true_state int")
 
 
 def strip_marker(line: Column) -> Column:
@@ -194,19 +221,22 @@ def strip_marker(line: Column) -> Column:
 
 
 def render(decoded: DataFrame) -> DataFrame:
-    """Canonical turns: conv_id, chunk, seq (in the chunk), role, content, rendered.
+    """Canonical turns: conv_id, seq (from 1), role, content, rendered.
 
-    Lines of a chunk are numbered in order by (turn, line_no); a line whose state begins a turn opens the next one, and
-    a chunk's first line opens one in any case. Groups are those of one chunk, at most CHUNK stored turns.
+    Lines are in order by (turn, tie, line_no); a line whose state begins a turn opens the next one. Turns are numbered
+    within chunks and, by a row per chunk, over them, so a turn may go on over a chunk's border.
     """
-    from pyspark.sql import Window
-
-    order = Window.partitionBy("conv_id", "chunk").orderBy("turn", "line_no")
-    opened = decoded.withColumn("at", F.row_number().over(order)).withColumn("opens", (F.pmod("state", F.lit(2)) == 0).cast("int"))
-    numbered = opened.withColumn("seq", F.sum(F.when(F.col("at") == 1, 1).otherwise(F.col("opens"))).over(order.rowsBetween(Window.unboundedPreceding, 0)))
+    order = Window.partitionBy("conv_id", "chunk").orderBy("turn", "tie", "line_no")
+    opened = decoded.withColumn("opens", (F.pmod("state", F.lit(2)) == 0).cast("int"))
+    chunks = opened.groupBy("conv_id", "chunk").agg(F.sum("opens").alias("opened"))
+    earlier = Window.partitionBy("conv_id").orderBy("chunk").rowsBetween(Window.unboundedPreceding, -1)
+    base = chunks.select(F.col("conv_id").alias("_c"), F.col("chunk").alias("_k"), F.coalesce(F.sum("opened").over(earlier), F.lit(0)).alias("base"))
+    numbered = opened.withColumn("at", F.row_number().over(order)).withColumn("local", F.sum("opens").over(order.rowsBetween(Window.unboundedPreceding, 0)))
+    numbered = numbered.join(base, F.col("conv_id").eqNullSafe(F.col("_c")) & (F.col("chunk") == F.col("_k")))
     role = F.element_at(F.lit(ROLES), F.floor(F.col("state") / 2).cast("int") + 1)
-    turns = numbered.withColumn("clean", strip_marker(F.col("line"))).groupBy("conv_id", "chunk", "seq").agg(
-        F.min_by(role, "at").alias("role"), F.array_join(F.transform(F.array_sort(F.collect_list(F.struct("at", "clean"))), lambda x: x["clean"]), "\n").alias("content")
+    lines = numbered.select("conv_id", (F.col("base") + F.col("local")).alias("seq"), F.struct("chunk", "at").alias("place"), role.alias("role"), strip_marker(F.col("line")).alias("clean"))
+    turns = lines.groupBy("conv_id", "seq").agg(
+        F.min_by("role", "place").alias("role"), F.array_join(F.transform(F.array_sort(F.collect_list(F.struct("place", "clean"))), lambda x: x["clean"]), "\n").alias("content")
     )
     text = F.concat(F.lit("<|start|>"), F.col("role"), F.lit("\n"), F.col("content"), F.lit("<|end|>\n"))
-    return turns.select("conv_id", "chunk", F.col("seq").cast("int"), "role", "content", text.alias("rendered"))
+    return turns.select("conv_id", "seq", "role", "content", text.alias("rendered"))

@@ -1,8 +1,8 @@
 """WARC fixity audit with Merkle trees.
 
 Records are hashed, ordered by offset within their file, and sixteen neighbours at a time are hashed together level by
-level: ranges of offsets in a file, whole files, ranges of files, up to one root. Two replicas whose roots agree agree
-everywhere; otherwise the audit compares children only of nodes that differ and so reaches the corrupt records. Nodes
+level: ranges of offsets in a file, whole files, ranges of files, up to one root. A node's digest covers its file and range
+of offsets, so replicas whose roots agree hold the same records at the same places; otherwise the audit compares children only of nodes that differ and so reaches the corrupt records. Nodes
 are rows (level, node), children of a node are those with its number as ``node div 16``; a level's shuffle groups at most
 sixteen rows, whatever the archive's size. A file holds a bounded range of page ids and identical records of an id are
 stored once, so no file grows with the archive.
@@ -54,7 +54,10 @@ def tree(leaves: DataFrame) -> DataFrame:
     while True:
         level += 1
         up = now.groupBy("file", F.floor(F.col("node") / FAN).alias("node")).agg(F.min("first").alias("first"), F.max("last").alias("last"), F.array_sort(F.collect_list(F.struct("node", "digest"))).alias("below"))
-        up = up.select("file", "node", "first", "last", F.sha2(F.array_join(F.transform("below", lambda x: x["digest"]), ""), 256).alias("digest"))
+        # a node's digest binds where it is: file, range of offsets, and each child's number with its digest
+        place = F.concat_ws("|", F.coalesce(F.col("file").cast("string"), F.lit("files")), "node", "first", "last")
+        held = F.array_join(F.transform("below", lambda x: F.concat(x["node"].cast("string"), F.lit(":"), x["digest"])), ",")
+        up = up.select("file", "node", "first", "last", F.sha2(F.concat(place, F.lit("|"), held), 256).alias("digest"))
         up = cut(up)
         levels.append(up.select(F.lit(level).alias("level"), F.lit(of_files).alias("of_files"), "file", "node", "first", "last", "digest"))
         n, most = up.agg(F.count("*"), F.max("node")).first()
