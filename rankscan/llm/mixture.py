@@ -24,7 +24,7 @@ from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 from pyspark.sql import Window
 
-from .common import cut
+from .common import cut, maybe_broadcast
 
 #: The grid of exponents has 2 ** GRID_BITS steps; each pass settles FAN_BITS of them.
 GRID_BITS, FAN_BITS = 20, 5
@@ -82,7 +82,8 @@ def mix(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text", source_
     slim = cut(_slim(docs, id_col, text_col, source_col))
     weights = mixing_weights(slim, entropy_share, max_repeat, budget)
     weights = cut(weights)
-    copies = slim.join(weights, "source").withColumn("epoch", F.explode(F.sequence(F.lit(0), F.col("passes"))))
+    # a row per source: sent to all tasks, so that rows of a hot source stay where they are
+    copies = slim.join(maybe_broadcast(weights, weights.count()), "source").withColumn("epoch", F.explode(F.sequence(F.lit(0), F.col("passes"))))
     key = F.md5(F.concat_ws("|", F.lit(str(seed)), F.col("epoch").cast("string"), F.coalesce(F.col("doc_id").cast("string"), F.lit("null"))))
     copies = copies.withColumn("order_key", key).withColumn("range", F.pmod(F.conv(F.substring("order_key", 1, 8), 16, 10).cast("long"), F.lit(1 << 32)) * ranges / (1 << 32))
     copies = copies.withColumn("range", F.floor("range").cast("int"))
@@ -98,15 +99,17 @@ def mix(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text", source_
     return kept.select(F.col("doc_id").alias(id_col), "text_key", "source", "epoch", block.alias("block"), "n_tokens")
 
 
-def mixed_documents(docs: DataFrame, mixed: DataFrame, id_col: str = "doc_id", text_col: str = "text", broadcast_rows: int = 1_000_000) -> DataFrame:
-    """The documents as often as the mix has them, with their own columns."""
-    times = cut(mixed.groupBy(F.col(id_col).alias("_id"), F.col("text_key").alias("_key")).agg(F.count("*").cast("int").alias("_copies")))
-    few = times.count()
-    # one of the rows equal in id and text brings the copies of them all
-    same = cut(docs.groupBy(F.col(id_col).alias("_i"), F.xxhash64(text_col).alias("_k")).agg(F.count("*").alias("_rows")).where("_rows > 1"))
+def mixed_documents(docs: DataFrame, mixed: DataFrame, id_col: str = "doc_id", text_col: str = "text", source_col: str = "source", broadcast_rows: int = 1_000_000) -> DataFrame:
+    """The documents as often as the mix has them, with their own columns. Rows equal in id, text and source are told
+    apart by nothing that the mix reads: one of them brings the copies of them all."""
+    own = {"_i": F.col(id_col), "_k": F.xxhash64(text_col), "_s": F.coalesce(F.col(source_col).cast("string"), F.lit(""))}
+    times = mixed.groupBy(F.col(id_col).alias("_id"), F.col("text_key").alias("_key"), F.col("source").alias("_source")).agg(F.count("*").cast("int").alias("_copies"))
+    times = cut(times)
+    docs, columns = docs.withColumns(own), docs.columns
+    same = cut(docs.groupBy(*own).agg(F.count("*").alias("_rows")).where("_rows > 1").select(*[F.col(c).alias(f"{c}2") for c in own]))
     if not same.isEmpty():
-        equal = docs[id_col].eqNullSafe(same["_i"]) & (F.xxhash64(docs[text_col]) == same["_k"])
-        docs = docs.join(same, equal, "left_anti").unionAll(docs.join(same, equal, "left_semi").dropDuplicates([id_col, text_col]))
-    side = F.broadcast(times) if few <= broadcast_rows else times
-    joined = docs.join(side, F.col(id_col).eqNullSafe(F.col("_id")) & (F.xxhash64(text_col) == F.col("_key")))
-    return joined.withColumn("_copy", F.explode(F.sequence(F.lit(1), F.col("_copies")))).drop("_copy", "_copies", "_id", "_key")
+        equal = F.col("_i").eqNullSafe(F.col("_i2")) & (F.col("_k") == F.col("_k2")) & (F.col("_s") == F.col("_s2"))
+        docs = docs.join(same, equal, "left_anti").unionAll(docs.join(same, equal, "left_semi").dropDuplicates(["_i", "_k", "_s"]))
+    side = maybe_broadcast(times, times.count(), broadcast_rows)
+    joined = docs.join(side, F.col("_i").eqNullSafe(F.col("_id")) & (F.col("_k") == F.col("_key")) & (F.col("_s") == F.col("_source")))
+    return joined.withColumn("_copy", F.explode(F.sequence(F.lit(1), F.col("_copies")))).select(*columns)
