@@ -57,7 +57,7 @@ STAGES = [
     ("source_mixture", mixing_stage),
     ("token_files", token_stage),
 ]
-#: SQL has no learned scores and no tokenizer; tests/llm holds the pipeline against its operators' brute-force versions.
+#: SQL has no learned scores and no tokenizer; tests/llm holds each stage against a brute-force version.
 ORACLE_SQL = None
 
 
