@@ -57,7 +57,8 @@ STAGES = [
     ("source_mixture", mixing_stage),
     ("token_files", token_stage),
 ]
-#: SQL has no learned scores and no tokenizer; tests/llm holds each stage against a brute-force version.
+#: SQL has no learned scores and no tokenizer; tests/llm holds the near-duplicate and decontamination stages against
+#: brute-force versions and the other stages' operators against theirs.
 ORACLE_SQL = None
 
 
