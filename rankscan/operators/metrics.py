@@ -49,7 +49,9 @@ def percent_for_full_recall(ranked: DataFrame, truth: DataFrame) -> DataFrame:
 
 
 def hits_in_top(ranked: DataFrame, truth: DataFrame, k: int) -> int:
-    return known_ranks(ranked, truth).where(F.col("global_rank") <= k).count()
+    """Series with a known event among the best k."""
+    known = truth.where("kind <> 'none'").select("series_id")
+    return ranked.where(F.col("global_rank") <= k).join(known, "series_id", "left_semi").count()
 
 
 def false_positives_in_top(ranked: DataFrame, truth: DataFrame, k: int | None = None) -> DataFrame:
@@ -81,6 +83,17 @@ def restart_curve(search: Callable[[int], DataFrame], truth: DataFrame, restarts
     return reduce(DataFrame.unionByName, curves).groupBy("restarts").pivot("kind", ["single", "double"]).agg(F.first("percent"))
 
 
+def ranked_finds(regions: DataFrame, truth: DataFrame) -> DataFrame:
+    """Every event by its best region, and the best other region of each series, ranked together: series_id, known,
+    log10_p, global_rank."""
+    pairs = match_truth(regions, truth).select("series_id", "seg_id", "region_id", "event_no", "log10_p")
+    events = pairs.groupBy("series_id", "event_no").agg(F.min("log10_p").alias("log10_p")).select("series_id", F.lit(True).alias("known"), "log10_p", F.col("event_no").alias("s"), F.lit(1).alias("w"))
+    rest = regions.join(pairs.select("series_id", "seg_id", "region_id").distinct(), ["series_id", "seg_id", "region_id"], "left_anti")
+    none = truth.where("kind = 'none'").select("series_id").distinct()
+    others = rest.join(none, "series_id", "left_semi").groupBy("series_id").agg(F.min("log10_p").alias("log10_p"))
+    return rank_events(events.unionByName(others.select("series_id", F.lit(False).alias("known"), "log10_p", F.lit(0).cast(events.schema["s"].dataType).alias("s"), F.lit(1).alias("w")))).drop("s", "w")
+
+
 def misses_by_width(found: DataFrame) -> DataFrame:
     return found.groupBy("bump_theta").agg(F.count("*").alias("events"), F.sum((~F.col("found")).cast("int")).alias("missed"))
 

@@ -1,7 +1,6 @@
 """Named queries over the given tables: methods, variants, baselines, measures and experiments.
 
-Without a query: ``hits_in_top``, ``scaling_curve``, ``sliding_counts``, ``sessions``, ``deduplicated``, and segment lengths of
-250, 500 and 1,000 on daily orders.
+Without a query: ``sliding_counts``, ``sessions`` and ``deduplicated``.
 Each takes (spark, sf_dir) and runs over whole tables. ``oracles.py`` has DuckDB SQL for those that SQL can express.
 """
 
@@ -646,6 +645,46 @@ def synthetic_report(spark, d):
     return L.union(out)
 
 
+@query
+def events_ranked_report(spark, d):
+    """All 423 events of the study ranked together with the best region of each series without one."""
+    truth, packed = _packed_grid(spark)
+    finds = cut(M.ranked_finds(cut(_powell(packed, 30)), truth))
+    total = truth.where("kind <> 'none'").agg(F.count("*").alias("events"))
+    top = finds.crossJoin(F.broadcast(total)).where("global_rank <= events")  # one row
+    shares = top.agg(F.first("events").alias("events"), F.sum(F.col("known").cast("int")).alias("in_top"), F.sum((~F.col("known")).cast("int")).alias("false_positives"))
+    ends = finds.agg(F.sum((F.col("known") & (F.col("log10_p") <= -8)).cast("int")).alias("events_below_alpha"), F.min(F.when(~F.col("known"), F.col("log10_p"))).alias("best_other"))
+    return shares.crossJoin(ends)  # one row each
+
+
+@query
+def scaling_report(spark, d):
+    """Seconds of the restarted search over growing shares of the study's series: linear if each costs the same."""
+    _, packed = _packed_grid(spark)
+    rows = M.scaling_curve(lambda part: _powell(part, 30, output="best"), packed, [0.25, 0.5, 1.0])
+    return spark.createDataFrame(rows).select("share", "seconds", "seconds_per_series", "series_per_second")
+
+
+@query
+def segment_length_report(spark, d):
+    """Best regions of daily orders by segments of 250, 500 and 1,000 days."""
+    series, out = C.orders_daily(spark, d), []
+    for n_s in (250, 500, 1000):
+        found = detect_events(series, n_s, 50, per_series="best")
+        out.append(found.select(F.lit(n_s).alias("n_s"), "series_id", "s", "w", "log10_p", "global_rank"))
+    return L.union(out)
+
+
+@query
+def hits_in_top_report(spark, d):
+    """Planted suppliers among the best k, by rank sums and by discords."""
+    series, truth = _survey(spark, d)
+    ours = cut(detect_events(series, 300, 40, per_series="best"))
+    discord = cut(B.rank_discords(B.discords(P.segment(P.detrend_linear(series), 300, 40), 20)))
+    k = truth.count()
+    return spark.createDataFrame([(name, k, M.hits_in_top(x, truth, k)) for name, x in (("rank sums", ours), ("discord", discord))], "method string, k int, hits int")
+
+
 @query
 def cluster_regions_grid(spark, d):
     return K.rank_events(_powell(_packed_grid(spark)[1], 30)).select("series_id", "region_id", "s", "w", "log10_p", "hits", "hit_share", "global_rank")
