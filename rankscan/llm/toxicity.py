@@ -57,9 +57,10 @@ def bag(buf: np.ndarray) -> tuple[np.ndarray, np.ndarray, np.ndarray, np.ndarray
     return first, last, key >> BITS, key & ((1 << BITS) - 1)
 
 
-def fit_noisy_or(bags: Callable[[], Iterator[tuple[np.ndarray, np.ndarray]]], toxic: np.ndarray, prior: float, features: int = 6000, steps: int = 250, decay: float = 2e-4) -> tuple[np.ndarray, float]:
+def fit_noisy_or(bags: Callable[[], Iterator[tuple[np.ndarray, np.ndarray]]], toxic: np.ndarray, prior: float, features: int = 600, steps: int = 250, decay: float = 2e-3) -> tuple[np.ndarray, float]:
     """Weights of the hashed places and the bias; ``bags()`` gives each document's (sentence, place) arrays, and is gone
-    through twice so that only the chosen features are ever held."""
+    through twice so that only the chosen features are ever held. Few features and this decay had the least log loss in
+    cross-validation within the rows learned from; with thousands of features the fit learned its rows by heart."""
     counts = np.zeros((2, 1 << BITS), np.float32)
     for (_, place), y in zip(bags(), toxic):
         counts[int(y)][np.unique(place)] += 1

@@ -152,6 +152,14 @@ def test_toxicity_learns_sentences_from_documents(spark):
     assert toxicity.score(d.limit(0), toxicity.train(d, lab)).count() == 0
 
 
+def test_toxicity_held_out_accuracy(spark):
+    """Of the marked documents one in twelve holds none of the words that mark the others."""
+    d, lab = (spark.read.parquet(f"/root/testdata/sf0.1/{t}.parquet") for t in ("documents", "labels"))
+    out = toxicity.score(d, toxicity.train(d, lab)).join(lab, "doc_id").where(F.crc32(F.col("doc_id").cast("string").cast("binary")) % 5 == 0)
+    rate = {r[0]: r[1] for r in out.groupBy("toxic").agg(F.avg((F.col("score") >= 0.5).cast("int"))).collect()}
+    assert rate[1] > 0.87 and rate[0] < 0.003
+
+
 def test_quality_held_out_accuracy(spark):
     d, lab = (spark.read.parquet(f"/root/testdata/sf0.1/{t}.parquet") for t in ("documents", "labels"))
     out = quality.score(d, quality.train(d, lab)).join(lab, "doc_id").where(F.crc32(F.col("doc_id").cast("string").cast("binary")) % 5 == 0)
