@@ -165,6 +165,12 @@ near AS (SELECT a.series_id, a.i, min(list_sum([{d} FOR p IN list_zip(a.v, b.v)]
 top AS (SELECT series_id, i, d FROM (SELECT *, row_number() OVER (PARTITION BY series_id ORDER BY round(d, 9) DESC, i) AS k FROM near) WHERE k = 1)""".format(d="(p[1] - p[2]) * (p[1] - p[2])")
 for _name in ("discord_vectors_n8", "discord_sax_vectors"):
     _put(_name, VECTORS, _NEAREST, last="SELECT series_id, i::integer AS pos, round(sqrt(d), 6) AS distance FROM top")
+_SHAPES = """y AS (SELECT series_id, i, list_transform(v, lambda p: (p - m) / (CASE WHEN d > 0 THEN d ELSE 1 END)) AS v FROM (
+  SELECT series_id, i, v, list_avg(v) AS m, list_stddev_pop(v) AS d FROM x) WHERE len(v) = 8),"""
+_put(
+    "discord_znorm_vectors", VECTORS, _NEAREST.replace("near AS", f"{_SHAPES}\nnear AS").replace("FROM x a JOIN x b", "FROM y a JOIN y b"),
+    last="SELECT series_id, i::integer AS pos, round(sqrt(d), 5) AS distance FROM top",
+)
 _put("discord_distances_sql", VECTORS, _NEAREST, last="SELECT series_id, i::integer AS pos, round(sqrt(d), 6) AS distance FROM near")
 _put("discord_udaf_vectors", VECTORS, _NEAREST, last="SELECT series_id, round(sqrt(d), 6) AS distance FROM top")
 _put("discord_ranked", VECTORS, _NEAREST, "o AS (SELECT series_id, i::integer AS pos, round(sqrt(d), 6) AS distance FROM top)", last="SELECT *, row_number() OVER (ORDER BY distance DESC, series_id) AS global_rank FROM o")
@@ -191,9 +197,9 @@ def _uniform(text: str) -> str:
     return f"((('0x' || substr(md5({text}), 1, 8))::bigint + 0.5) / 4294967296.0)"
 
 
-def _truth(n: int, every: int) -> str:
+def _truth(n: int) -> str:
     peak = _uniform("'42|peak|' || k || '|' || event_no")
-    return f"""tr0 AS (SELECT k, CASE WHEN k < 323 THEN 'single' WHEN k < 373 THEN 'double' ELSE 'none' END AS kind FROM range(0, 2000, {every}) x(k)),
+    return f"""tr0 AS (SELECT k, CASE WHEN k < 323 THEN 'single' WHEN k < 373 THEN 'double' ELSE 'none' END AS kind FROM range(2000) x(k)),
 tr1 AS (SELECT k, kind, unnest(CASE WHEN kind = 'double' THEN [0, 1] ELSE [0] END) AS event_no FROM tr0),
 tr2 AS (SELECT *, CASE WHEN kind = 'single' THEN k ELSE (k * 7 + event_no * 53) % 323 END AS j, {peak}::double AS u FROM tr1),
 tr3 AS (SELECT *, (1.5 + 0.5 * (j % 19))::double AS bt, (20 + 5 * (j // 19))::double AS h, CASE WHEN kind <> 'double' THEN floor(0.2::double * {n} + u * 0.6::double * {n}) WHEN event_no = 0 THEN floor(0.2::double * {n} + u * 0.1::double * {n}) ELSE floor(0.7::double * {n} + u * 0.1::double * {n}) END::bigint AS p FROM tr2),
@@ -201,27 +207,28 @@ truth AS (SELECT 'g' || k AS series_id, k, kind, event_no, CASE WHEN kind <> 'no
   CASE WHEN kind <> 'none' THEN h END AS height, CASE WHEN kind <> 'none' THEN bt END AS bump_theta FROM tr3)"""
 
 
-def _grid(n: int, every: int) -> str:
+def _grid(n: int) -> str:
     u1, u2 = (_uniform(f"'42|' || k || '|' || t || '|{i}'") for i in (1, 2))
-    return f"""{_truth(n, every)},
+    return f"""{_truth(n)},
 pts AS (SELECT k, t, sqrt(-2 * ln({u1}::double)) * cos(2 * 3.141592653589793::double * {u2}::double) * 5 AS noise FROM (SELECT DISTINCT k FROM truth), range(1, {n + 1}) x(t)),
 s AS (SELECT 'g' || pts.k AS series_id, t, round(coalesce(sum(height * exp(-(t - t_peak) * (t - t_peak) / (2 * bump_theta * bump_theta))), 0) + any_value(noise), 6) AS value FROM pts JOIN truth ON truth.k = pts.k GROUP BY pts.k, t)"""
 
 
-SQL["planted_grid_truth"] = _with(_truth(1000, 1), last="SELECT * EXCLUDE (k) REPLACE (event_no::integer AS event_no) FROM truth")
-_put("planted_grid_values", _grid(200, 10), last=ALL)
+SQL["planted_grid_truth"] = _with(_truth(1000), last="SELECT * EXCLUDE (k) REPLACE (event_no::integer AS event_no) FROM truth")
 _OUT = _uniform("'42|outlier|' || k")
-_put(
-    "planted_outlier_values", _grid(200, 10), f"o AS (SELECT series_id, k, max(coalesce(height, 60)) AS h, (1 + floor({_OUT}::double * 200))::bigint AS t_out FROM truth GROUP BY 1, 2)",
-    last="SELECT series_id, t, CASE WHEN t = t_out THEN -5 * h ELSE value END AS value FROM s JOIN o USING (series_id)",
-)
+for _end, _n in (("", 200), ("_whole", 1000)):
+    _put(f"planted_grid_values{_end}", _grid(_n), last=ALL)
+    _put(
+        f"planted_outlier_values{_end}", _grid(_n), f"o AS (SELECT series_id, k, max(coalesce(height, 60)) AS h, (1 + floor({_OUT}::double * {_n}))::bigint AS t_out FROM truth GROUP BY 1, 2)",
+        last="SELECT series_id, t, CASE WHEN t = t_out THEN -5 * h ELSE value END AS value FROM s JOIN o USING (series_id)",
+    )
 _pick, _peak = (_uniform(f"'42|{x}|' || series_id") for x in ("pick", "peak"))
 _put(
     "planted_on_suppliers_truth", WEEKLY, "e AS (SELECT series_id, max(t) AS n FROM s GROUP BY 1)", f"p AS (SELECT series_id, floor(0.2::double * n + {_peak}::double * 0.6::double * n)::bigint AS p FROM e WHERE floor({_pick}::double * 10) = 0)",
     last="SELECT series_id, 'single' AS kind, 0 AS event_no, p AS t_peak, p - 6 AS t_lo, p + 6 AS t_hi, 8.0::double AS height, 3.0::double AS bump_theta FROM p",
 )
 
-_G_RANKED = ", \n".join([_grid(200, 10), _surface(200, 16), BEST_RANKED, "known AS (SELECT DISTINCT series_id, kind FROM truth WHERE kind <> 'none')", "kr AS (SELECT kind, global_rank, log10_p FROM ranked JOIN known USING (series_id))"])
+_G_RANKED = ", \n".join([_grid(200), _surface(200, 16), BEST_RANKED, "known AS (SELECT DISTINCT series_id, kind FROM truth WHERE kind <> 'none')", "kr AS (SELECT kind, global_rank, log10_p FROM ranked JOIN known USING (series_id))"])
 _put("recall_report", _G_RANKED, last="SELECT p::double AS percent, round(avg((global_rank <= p * (SELECT count(*) FROM ranked) / 100)::integer), 9) AS recall FROM kr, (VALUES (1), (5), (10), (15), (20), (25), (50), (100)) x(p) GROUP BY p")
 _put(
     "rank_summary_report", _G_RANKED, "z AS (SELECT *, row_number() OVER (PARTITION BY kind ORDER BY global_rank) AS i, count(*) OVER (PARTITION BY kind) AS n FROM kr)",
