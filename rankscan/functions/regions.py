@@ -25,7 +25,7 @@ def overlaps_by_terms(s1: int, w1: int, s2: int, w2: int, theta: float) -> bool:
 
 def cluster(s, w, log10_p, theta: float) -> list[list[int]]:
     """Greedy complete linkage: the best first; a candidate joins the first cluster of which it overlaps every member."""
-    order = np.lexsort((w, s, log10_p))
+    order = np.lexsort((w, s, np.round(log10_p, 9)))
     out: list[list[int]] = []
     lead_s, lead_w = np.zeros(len(order), np.int64), np.zeros(len(order), np.int64)
     for i in order.tolist():
@@ -42,7 +42,7 @@ def cluster(s, w, log10_p, theta: float) -> list[list[int]]:
 
 def best_cluster(s, w, log10_p, theta: float) -> list[int]:
     """The first of ``cluster``'s clusters. It has the first say on every candidate, so it needs none of the others."""
-    order = np.lexsort((w, s, log10_p))
+    order = np.lexsort((w, s, np.round(log10_p, 9)))
     order = order[overlaps(s[order[0]], w[order[0]], s[order], w[order], theta)]
     out = [int(order[0])]
     for i in order[1:].tolist():

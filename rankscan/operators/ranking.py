@@ -20,9 +20,14 @@ def overlaps_by_terms(s1: Column, w1: Column, s2: Column, w2: Column, theta: flo
     return (both >= theta * w1) & (both >= theta * w2)
 
 
+def _score(column: str) -> Column:
+    """Windows of other widths may have one and the same tail, of which floats differ in the last digits: those are ties."""
+    return F.round(column, 9) if column == "log10_p" else F.col(column)
+
+
 def best_per_series(regions: DataFrame, by: str = "log10_p", least: bool = True) -> DataFrame:
     """Each series' best row: one partially aggregated shuffle. Ties go to the earliest, then the shortest."""
-    key = F.struct(F.col(by) if least else -F.col(by), *[c for c in ("s", "w", "seg_id", "pos") if c in regions.columns])
+    key = F.struct(_score(by) if least else -F.col(by), *[c for c in ("s", "w", "seg_id", "pos") if c in regions.columns])
     best = regions.groupBy("series_id").agg(F.min_by(F.struct(*regions.columns), key).alias("b"))
     return best.select("b.*")
 
@@ -43,7 +48,7 @@ def rank_rows(rows: DataFrame, *order: Column, name: str = "global_rank", partit
 def rank_events(regions: DataFrame, per_series: str = "all", order: tuple[str, ...] = ("log10_p",)) -> DataFrame:
     """``per_series``: all regions, or the best of each series. Order "hits" counts the most frequent first."""
     rows = best_per_series(regions) if per_series == "best" else regions
-    keys = [F.desc(c) if c in ("hits", "hit_share") else F.asc(c) for c in order]
+    keys = [F.desc(c) if c in ("hits", "hit_share") else _score(c).asc() for c in order]
     return rank_rows(rows, *keys, F.asc("series_id"), F.asc("s"), F.asc("w"))
 
 

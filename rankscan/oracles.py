@@ -155,6 +155,35 @@ _PAIRS = "p AS (SELECT a.p_partkey AS k, a.p_partkey % 50 AS s1, a.p_size::bigin
 _MEET = "least(s1 + w1, s2 + w2) - greatest(s1, s2) >= {x} * greatest(w1, w2)"
 _put("overlap_pairs", _PAIRS, last=f"SELECT k, s1, w1, s2, w2, {_MEET.format(x=0.05)} AS theta_5, {_MEET.format(x=0.5)} AS theta_50, {_MEET.format(x=0.75)} AS theta_75 FROM p")
 _put("overlap_literal_vs_short", _PAIRS, last="SELECT count(*) AS pairs, count(*) AS same_0, count(*) AS same_1, count(*) AS same_2, count(*) AS same_3 FROM p")
+_TOLD = "SELECT series_id, s::bigint AS s, w, q, n, CASE WHEN 2 * q > w * (n + 1) THEN 'high' ELSE 'low' END AS direction, round(log10_p, 6) AS log10_p, row_number() OVER (ORDER BY log10_p, series_id, s, w) AS global_rank FROM best"
+for _name in ("best_regions_vectors", "best_regions_vectors_powell"):
+    _put(_name, V_SURF, BEST.replace("SELECT *, row_number()", "SELECT *, 64 AS n, row_number()"), last=_TOLD)
+_put("best_regions_udtf", V_SURF, BEST, last="SELECT series_id, s, w, log10_p FROM best")
+
+
+def _segments(n_s: int, w_max: int) -> str:
+    """Ranked points of the overlapping segments of every series."""
+    stride = n_s - w_max
+    return f"""seg AS (SELECT series_id, k, greatest(least(1 + k * {stride}, length - {n_s - 1}), 1) AS seg_start
+  FROM (SELECT series_id, length, unnest(range(0, greatest(ceil((length - {n_s}) / {stride}), 0)::bigint + 1)) AS k FROM (SELECT series_id, max(t) AS length FROM s GROUP BY 1))),
+pt AS (SELECT s.series_id, k, t, row_number() OVER (g ORDER BY value, md5(s.series_id || '|' || t::varchar || '|42'), t) AS r, count(*) OVER g AS n
+  FROM s JOIN seg ON seg.series_id = s.series_id AND t BETWEEN seg_start AND seg_start + {n_s - 1} WHERE value IS NOT NULL WINDOW g AS (PARTITION BY s.series_id, k))"""
+
+
+def _laws(n: int, w_max: int) -> str:
+    """The laws of every length up to n: those the recursion passes."""
+    return f"""dp(i, w, phi, ways) AS (SELECT 0, 0, 0, 1::hugeint UNION ALL
+  SELECT i + 1, w + k, phi + k * (i + 1), sum(ways)::hugeint FROM dp, (VALUES (0), (1)) x(k) WHERE i < {n} AND w + k <= {w_max} GROUP BY ALL),
+laws AS (SELECT i AS n, w, phi, round(log10(least(sum(ways) OVER (v ORDER BY phi), sum(ways) OVER (v ORDER BY phi DESC)) / sum(ways) OVER v), 9) AS log10_p FROM dp WHERE w > 0 WINDOW v AS (PARTITION BY i, w))"""
+
+
+_put(
+    "best_regions_users", USERS, _segments(60, 10), _laws(60, 10),
+    "win AS (SELECT series_id, k, n, t - w + 1 AS s, w::integer AS w, (c - lag(c, w::integer, 0) OVER (PARTITION BY series_id, k, w ORDER BY t))::bigint AS q, row_number() OVER (PARTITION BY series_id, k, w ORDER BY t) AS i FROM (SELECT *, sum(r) OVER (PARTITION BY series_id, k ORDER BY t) AS c FROM pt), range(1, 11) x(w))",
+    "scored AS (SELECT win.series_id, k, win.n::integer AS n, s, win.w, q, log10_p FROM win JOIN laws ON laws.n = win.n AND laws.w = win.w AND phi = q WHERE i >= win.w)",
+    "best AS (SELECT * EXCLUDE (j) FROM (SELECT *, row_number() OVER (PARTITION BY series_id ORDER BY log10_p, s, w, k) AS j FROM scored) WHERE j = 1)",
+    last=_TOLD,
+)
 _put("rank_all_regions", V_SURF, MINIMA, last="SELECT *, row_number() OVER (ORDER BY log10_p, series_id, s, w) AS global_rank FROM minima")
 _put("rank_best_per_series", V_SURF, BEST_RANKED, last="SELECT * FROM ranked")
 _put("top_percent_series", V_SURF, BEST_RANKED, last="SELECT * FROM ranked WHERE global_rank <= (SELECT count(*) * 5.0 / 100 FROM ranked)")

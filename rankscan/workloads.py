@@ -597,6 +597,35 @@ def detect_users_unequal(spark, d):
     return detect_events(C.user_values(spark, d), 60, 10, detrend="none", per_series="best")
 
 
+def _told(best: DataFrame) -> DataFrame:
+    """What SQL can repeat of each series' best region; hits and members are held to twins in the tests."""
+    return best.select("series_id", "s", "w", "q", "n", "direction", F.round("log10_p", 6).alias("log10_p"), "global_rank")
+
+
+@query
+def best_regions_users(spark, d):
+    """The whole chain over series of unequal length: overlapping segments, the law of each length, best region, rank."""
+    return _told(detect_users_unequal(spark, d))
+
+
+@query
+def best_regions_vectors(spark, d):
+    """The whole chain with the exhaustive search over every vector."""
+    return _told(detect_events(C.vector_series(spark, d), 64, 8, detrend="none", per_series="best"))
+
+
+@query
+def best_regions_vectors_powell(spark, d):
+    """The whole chain with the restarted search, from 200 starts in each vector's plane of 512 cells."""
+    return _told(detect_events(C.vector_series(spark, d), 64, 8, detrend="none", search="powell", restarts=200, per_series="best"))
+
+
+@query
+def best_regions_udtf(spark, d):
+    """The best region of each vector among those that the table function gives."""
+    return K.best_per_series(udtf_event_regions(spark, d)).select("series_id", "s", "w", F.round("log10_p", 6).alias("log10_p"))
+
+
 @query
 def detect_long_series(spark, d):
     return detect_events(C.ship_daily(spark, d).unionByName(C.orders_daily(spark, d)), 1000, 100, alpha=1e-4)

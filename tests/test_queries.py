@@ -12,6 +12,7 @@ from tests.conftest import TINY
 NAMES = [
     "bin_orders_daily", "bin_event_points", "user_value_index", "detrend_moving_median", "segment_ship_daily", "rank_average_ties", "law_product_n30_w8", "law_udtf_n30_w8", "mc_error_vs_exact",
     "best_interval_vectors", "best_interval_critical_filter", "overlap_pairs", "discord_sax_vectors", "fixed_window_w7_ship", "planted_grid_truth", "asof_region_order",
+    "best_regions_users", "best_regions_vectors", "best_regions_vectors_powell", "best_regions_udtf",
 ]
 
 
