@@ -67,15 +67,15 @@ def discord_score(value: pd.Series, t: pd.Series) -> float:
 
 @udtf(returnType="series_id string, s int, w int, log10_p double, hits int")
 class EventRegions:
-    """SELECT * FROM event_regions(TABLE(series) PARTITION BY (series_id) ORDER BY (t), w_max [, restarts]): one series is held
-    at a time. The plane is searched whole or by restarts as ``choose_search`` has it; given restarts are always used."""
+    """SELECT * FROM event_regions(TABLE(series) PARTITION BY (series_id) ORDER BY (t), w_max [, restarts [, digits]]): one series is
+    held at a time; scores equal to ``digits`` decimals are ties. The plane is searched whole or by restarts as ``choose_search`` has it; given restarts are always used."""
 
     def __init__(self):
         self.rows: list[tuple[int, float]] = []
-        self.series, self.w_max, self.restarts = "", 0, None
+        self.series, self.w_max, self.restarts, self.digits = "", 0, None, 9
 
-    def eval(self, row, w_max: int, restarts: int = None):
-        self.series, self.w_max, self.restarts = row["series_id"], w_max, restarts
+    def eval(self, row, w_max: int, restarts: int = None, digits: int = 9):
+        self.series, self.w_max, self.restarts, self.digits = row["series_id"], w_max, restarts, digits
         self.rows.append((row["t"], row["value"]))
 
     def terminate(self) -> Iterator[tuple]:
@@ -88,11 +88,11 @@ class EventRegions:
         w_max = min(self.w_max, len(v))
         f = R.Surface(R.hashed_ranks(v.astype(float), self.series, t), _law(len(v), w_max), 1, w_max)
         if self.restarts is None and choose_search(len(v), w_max) == "exhaustive":
-            s, w, p = local_minima(f)
+            s, w, p = local_minima(f, self.digits)
         else:
             s0, w0, angles = R.starts(self.series, 0, 30 if self.restarts is None else self.restarts, len(v), 1, w_max, 42)
-            s, w, p, _ = R.powell(f, s0, w0, angles)
-        for members in R.cluster(s, w, p, 0.75):
+            s, w, p, _ = R.with_best(f, *R.powell(f, s0, w0, angles), self.digits)
+        for members in R.cluster(s, w, p, 0.75, self.digits):
             i = members[0]
             yield self.series, int(s[i]), int(w[i]), float(p[i]), len(members)
 

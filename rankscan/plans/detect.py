@@ -13,19 +13,21 @@ from rankscan.sources.tables import cut
 def detect_events(
     series: DataFrame, n_s: int = 1000, w_max: int = 100, detrend: str = "linear", law: str = "exact", search: str = "exhaustive", restarts: int = 30, theta: float = 0.75, score: str = "tail",
     ties: str = "hashed", alpha: float | None = None, seed: int = 42, short: str = "own_n", per_series: str = "all", samples: int = 100_000, w_min: int = 1, rank: bool = True,
+    digits: int = 9,
 ) -> DataFrame:
     """Packs segments (the one shuffle of the points), then detrends, ranks, searches and clusters in one Arrow pass;
     only regions are shuffled after that: merged where segments overlap and numbered over the collection. With
     ``per_series="best"`` a segment gives one row, and hits are those in the segment that holds the best region.
 
     The whole plane is searched unless told otherwise; ``auto`` and ``powell`` are approximate (see ``search_segments``).
+    Scores equal to ``digits`` decimals are ties throughout, which go to the earliest.
 
     ``series``: (series_id, t, value). A series without a valid value yields nothing.
     """
     packed = segment(series.select("series_id", "t", "value"), n_s, w_max, short=short)
     output = "best" if per_series == "best" and rank else "regions"
-    found = search_segments(packed, w_max, w_min, score, search, restarts, theta, law, samples, detrend, ties, alpha, seed, output=output, n_s=n_s)
+    found = search_segments(packed, w_max, w_min, score, search, restarts, theta, law, samples, detrend, ties, alpha, seed, output=output, n_s=n_s, digits=digits)
     if output == "best":
-        return rank_events(found, "best")
-    merged = merge_segments(cut(found), theta)
-    return rank_events(merged, per_series) if rank else merged
+        return rank_events(found, "best", digits=digits)
+    merged = merge_segments(cut(found), theta, digits)
+    return rank_events(merged, per_series, digits=digits) if rank else merged

@@ -61,7 +61,7 @@ def detect_stream(series: DataFrame, n_s: int, w_max: int, restarts: int = 30, t
             t = np.array(times[:n_s])
             f = R.Surface(R.hashed_ranks(np.array(values[:n_s]), key[0], t), laws.get(n_s), 1, w_max)
             s0, w0, angles = R.starts(key[0], int(t[0] - 1) // stride, restarts, n_s, 1, f.w_max, seed)
-            s, w, p, _ = R.powell(f, s0, w0, angles)
+            s, w, p, _ = R.with_best(f, *R.powell(f, s0, w0, angles))
             for members in R.cluster(s, w, p, theta):
                 i = members[0]
                 out.append((key[0], int(t[0]), int(t[0] + s[i] - 1), int(w[i]), float(p[i]), len(members)))
