@@ -33,15 +33,20 @@ from pyspark import TaskContext
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from .common import cut, kept, lean, shared_path
+from .common import cut, kept, lean, shared_path, small_batches
 
 LENGTH, BATCH = 2048, 256
+#: Documents of an Arrow batch.
+PART = 2000
 #: Entries of each half of an encoder's cache; bytes of text that are encoded at a time.
 CACHE, STRETCH = 250_000, 8 << 20
+#: Pieces that the library encodes as one row, and such rows at a time.
+ROW, ROWS = 500, 20
 #: Unicode white space, as the library's patterns have it; fixed values.
 _WHITE = "\t-\r \x85\xa0\u1680\u2000-\u200a\u2028\u2029\u202f\u205f\u3000"
 _PIECE = re.compile(f" ?[^{_WHITE}]+|[{_WHITE}]+(?![^{_WHITE}])|[{_WHITE}]")
 _WHITE_RUN = f"[{_WHITE}] "
+_WHITE_CHARS = frozenset(c for c in map(chr, range(0x3001)) if re.match(f"[{_WHITE}]", c))
 #: The library's word pattern of byte-level models; fixed value.
 _WORD = regex.compile(r"'s|'t|'re|'ve|'m|'ll|'d| ?\p{L}+| ?\p{N}+| ?[^\s\p{L}\p{N}]+|\s+(?!\S)|\s+")
 #: Bytes stand for themselves where they are printable, else for the characters from 256 on.
@@ -55,9 +60,10 @@ class Encoder:
 
     Of byte-level models with the usual word pattern, the words that a text is parted into before any blank that follows
     no white space are the same whatever stands around them. So a stretch of texts is parted there, only its distinct
-    pieces are looked up in a bounded cache, and their ids are gathered for all places at once. A new piece is parted into
-    words by the pattern where its characters' classes are beyond doubt (printable, up to U+024F), else by the library;
-    the library's model encodes each word. Other texts go through the pattern piece by piece; texts with added tokens,
+    pieces are looked up in a bounded cache, and their ids are gathered for all places at once. New pieces that begin with
+    a blank and do not end in white space are encoded by the library in rows of many, and parted again by the bytes that
+    each id stands for. Any other piece is parted into words by the pattern where its characters' classes are beyond doubt
+    (printable, up to U+024F), else by the library; the library's model encodes each word. Other texts go through the pattern piece by piece; texts with added tokens,
     and all texts of other models, are encoded whole.
     """
 
@@ -72,6 +78,10 @@ class Encoder:
         cutter, usual = says["pre_tokenizer"] or {}, {"type": "ByteLevel", "add_prefix_space": False, "use_regex": True}
         self.byte_level = all(cutter.get(k) == v for k, v in usual.items()) and not (says["normalizer"] or says["truncation"] or says["padding"])
         self.byte_level &= says["model"]["type"] == "BPE" and not says["model"].get("dropout")
+        self.rows = self.byte_level and not any(" " in x for x in self.added)
+        self.bytes_of = np.zeros(self.tokenizer.get_vocab_size(), np.int32)
+        for token, i in self.tokenizer.get_vocab().items():
+            self.bytes_of[i] = len(token)
         self.young: dict[str, bytes] = {}
         self.old: dict[str, bytes] = {}
 
@@ -98,9 +108,17 @@ class Encoder:
         if len(self.young) > CACHE:
             self.young, self.old = {}, self.young
         young, old = self.young, self.old
-        young.update((k, old[k]) for k in [k for k in pieces if k not in young and k in old])
-        parted = {}
-        for x in [k for k in pieces if k not in young]:
+        new = []
+        for x in pieces:
+            if x not in young:
+                if (ids := old.get(x)) is None:
+                    new.append(x)
+                else:
+                    young[x] = ids
+        parted, in_rows = {}, [x for x in new if x[:1] == " " and x[-1] not in _WHITE_CHARS] if self.rows else []
+        for a in range(0, len(in_rows), ROWS * ROW):
+            self._in_rows(in_rows[a : a + ROWS * ROW])
+        for x in [x for x in new if x not in young] if len(in_rows) < len(new) or in_rows and in_rows[-1] not in young else []:
             # letters after at most one blank are one word, as is known without the pattern
             if x.isalpha() or (x[:1] == " " and x[1:].isalpha()):
                 young[x] = self._word(x)
@@ -113,6 +131,17 @@ class Encoder:
             young[x] = b"".join(map(young.__getitem__, words))
         return list(map(young.__getitem__, pieces))
 
+    def _in_rows(self, pieces: list[str]) -> None:
+        """Ids of pieces of which each begins with a blank and ends in no white space, so that they stay apart in a row."""
+        rows = ["".join(pieces[a : a + ROW]) for a in range(0, len(pieces), ROW)]
+        ids = np.concatenate([np.array(x.ids, self.dtype) for x in self.tokenizer.encode_batch_fast(rows, add_special_tokens=False)])
+        ends, told = np.cumsum(pc.binary_length(pa.array(pieces, pa.string())).to_numpy()), np.cumsum(self.bytes_of[ids])
+        stop = np.searchsorted(told, ends)
+        if stop[-1] != len(ids) - 1 or (told[stop] != ends).any():
+            return  # a model that does not give back every byte: pieces go word by word
+        data, stop = ids.tobytes(), ((stop + 1) * self.dtype.itemsize).tolist()
+        self.young.update((x, data[a:b]) for x, a, b in zip(pieces, [0, *stop], stop))
+
     def _whole(self, texts: list[str]) -> list[bytes]:
         return [self._pack(x.ids) for x in self.tokenizer.encode_batch_fast(texts, add_special_tokens=False)]
 
@@ -127,13 +156,22 @@ class Encoder:
         ends = lists.offsets.to_numpy()[1:] - lists.offsets[0].as_py()
         first = ends - lists.value_lengths().to_numpy()
         coded = lists.flatten().dictionary_encode()
-        at, heads = coded.indices.to_numpy().astype(np.int64), lists.flatten().take(pa.array(first)).dictionary_encode()
+        at, heads = coded.indices.to_numpy().copy(), lists.flatten().take(pa.array(first)).dictionary_encode()
         at[first] = len(coded.dictionary) + heads.indices.to_numpy()
-        ids = self.pieces([" " + x for x in coded.dictionary.to_pylist()]) + self.pieces(heads.dictionary.to_pylist())
-        size = np.fromiter(map(len, ids), np.int64, len(ids)) // self.dtype.itemsize
-        start, flat = np.cumsum(size) - size, np.frombuffer(b"".join(ids), self.dtype)
-        stop = np.cumsum(size[at])
-        return flat[np.repeat(start[at] - (stop - size[at]), size[at]) + np.arange(stop[-1])], stop[ends - 1]
+        parts = [" " + x for x in coded.dictionary.to_pylist()], heads.dictionary.to_pylist()
+        del lists, coded, heads
+        ids = [x for each in parts for x in self.pieces(each)]
+        del parts
+        # places within a stretch fit 32 bits unless one text alone is so long
+        kind = np.int32 if len(ids) < 1 << 30 and texts.nbytes < 1 << 30 else np.int64
+        size = np.fromiter(map(len, ids), kind, len(ids)) // self.dtype.itemsize
+        start, flat = np.cumsum(size, dtype=kind) - size, np.frombuffer(b"".join(ids), self.dtype)
+        del ids
+        each = size[at]
+        stop = np.cumsum(each, dtype=kind)
+        place = np.repeat(start[at] - (stop - each), each)
+        place += np.arange(stop[-1], dtype=kind)
+        return flat[place], stop[ends - 1]
 
     def column(self, texts: pa.Array) -> list[bytes]:
         """Ids of each row; null counts as empty."""
@@ -253,8 +291,8 @@ def write(docs: DataFrame, tokenizer: str, id_col: str = "doc_id", text_col: str
                 index_file = (where := _open(f"{name}.index.arrow"))[0].open_output_stream(where[1])
                 kinds = pa.schema([("doc_id", batch.schema.field(0).type), ("start", pa.int64()), ("n_tokens", pa.int64())])
                 index = pa.ipc.new_file(index_file, kinds)
-            for a in range(0, batch.num_rows, 2000):
-                part = batch.slice(a, 2000)
+            for a in range(0, batch.num_rows, PART):
+                part = batch.slice(a, PART)
                 ids = [x + end for x in encode.column(part.column(1))]
                 sizes = np.array([len(x) // encode.dtype.itemsize for x in ids], np.int64)
                 starts = writer.tokens + np.cumsum(sizes) - sizes
@@ -269,7 +307,8 @@ def write(docs: DataFrame, tokenizer: str, id_col: str = "doc_id", text_col: str
 
     keys = [F.col(id_col).asc_nulls_first(), F.xxhash64(text_col)]
     dealt = docs.select(id_col, text_col).repartitionByRange(*keys).sortWithinPartitions(*keys)
-    shards = sorted(cut(dealt.mapInArrow(lean(run, f"tokenfile {tokenizer}"), "shard bigint, path string, index string, n_docs bigint, n_tokens bigint")).collect())
+    with small_batches(spark, PART):  # a batch is held by the JVM and by the worker
+        shards = sorted(cut(dealt.mapInArrow(lean(run, f"tokenfile {tokenizer}"), "shard bigint, path string, index string, n_docs bigint, n_tokens bigint")).collect())
     rows, base = [], 0
     for r in shards:
         rows.append((*r, base))

@@ -46,3 +46,16 @@ def test_sequences_are_of_equal_length_and_views(spark):
     assert flat == [x for t in TEXTS for x in [*ids(t), 2]]
     view, _ = T.Shard(manifest.first()["path"])[0]
     assert not view.flags.owndata and view.dtype == np.uint16
+
+
+def test_new_pieces_are_encoded_in_rows_and_not_word_by_word(monkeypatch):
+    ends = ["", ",", ".\nNext", "'s", "7", "!?", "é", "漢字", "\tx", "ß.", "'", "\n\nz", " b"]
+    words = [f"w{chr(97 + i % 26)}{i}{ends[i % len(ends)]}" for i in range(3000)] + ["'ll", "...", "🙂", "\x00", "x\x85y"]
+    texts = ["head " + " ".join(words), "other " + " ".join(reversed(words)) + " ", " ".join(words[:7]) + "\n"]
+    one, by_word = T.Encoder(PATH), []
+    monkeypatch.setattr(T.Encoder, "_word", lambda self, w, f=T.Encoder._word: (by_word.append(w), f(self, w))[1])
+    assert [np.frombuffer(x, "<u2").tolist() for x in one(texts)] == [ids(t) for t in texts]
+    assert len(by_word) < 20
+    other = T.Encoder(PATH)
+    other.bytes_of[:] += 1  # a model whose ids do not add up to the bytes: word by word
+    assert one(texts) == other(texts) and len(by_word) > 3000
