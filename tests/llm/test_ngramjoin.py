@@ -92,3 +92,10 @@ def test_one_of_each_names_all_but_the_least(spark):
     docs = [(1, "a b c d"), (2, "a b c d"), (3, "x y z"), (4, None)]
     gone = J.one_of_each(J.jaccard_join(spark.createDataFrame(docs, "doc_id bigint, text string")))
     assert [r[0] for r in gone.collect()] == [2]
+
+
+def test_dead_shuffles_are_dropped_before_the_sets_are_shuffled(spark, monkeypatch):
+    asked = []
+    monkeypatch.setattr(J, "tidy", lambda s: asked.append(s))
+    df = spark.createDataFrame([(1, "a b c d e f"), (2, "a b c d e f"), (3, "x y z")], "doc_id bigint, text string")
+    assert J.jaccard_join(df).count() == 3 and len(asked) == 2
