@@ -11,7 +11,7 @@ from fractions import Fraction
 from pyspark.sql import DataFrame, SparkSession
 
 from rankscan.llm import decontaminate, mixture, ngramjoin, queries, tokenfile, toxicity
-from rankscan.llm.common import shared_path, table, without
+from rankscan.llm.common import lighten, shared_path, table, without
 
 #: The near-duplicate stage's rule: words of a shingle, least Jaccard similarity of two documents' sets.
 NEAR_WORDS, NEAR_SHARE = 5, Fraction(4, 5)
@@ -19,6 +19,7 @@ NEAR_WORDS, NEAR_SHARE = 5, Fraction(4, 5)
 
 def toxicity_stage(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
     """Documents whose score is at least 0.5 go."""
+    lighten(spark)
     scored = toxicity.score(docs, toxicity.train(docs, table(spark, sf_dir, "labels")))
     return without(docs, scored.where("score >= 0.5"))
 
@@ -28,6 +29,7 @@ def ngram_stage(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
 
     Near copies share at least 4/5 of their five-word shingles; op4's three words and 9/10 bind that query alone.
     """
+    lighten(spark)
     joined = ngramjoin.jaccard_join(docs, k=NEAR_WORDS, threshold=NEAR_SHARE)
     repeated = joined.groupBy("doc_id", "text_key").count().where("count > 1")
     kept = docs if repeated.isEmpty() else docs.dropDuplicates(["doc_id", "text"])
@@ -47,6 +49,7 @@ def mixing_stage(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame
 
 def token_stage(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
     """Writes token files and returns what is read back from them, a row per document."""
+    lighten(spark)
     return tokenfile.encode_and_check(docs, queries.TOKENIZER)
 
 

@@ -92,6 +92,14 @@ def tidy(spark: SparkSession) -> None:
     spark.sparkContext._jvm.System.gc()
 
 
+def lighten(spark: SparkSession) -> None:
+    """Executors' JVMs collect their garbage and give the heap's empty part back to the system, so that what earlier steps
+    left there does not stand beside the memory of the Python workers to come. A task for each core, all at once; an
+    executor that none of them meets keeps its heap as it is."""
+    cores = spark.sparkContext.defaultParallelism
+    spark.range(0, cores, 1, cores).selectExpr("reflect('java.lang.System', 'gc') AS done").write.format("noop").mode("overwrite").save()
+
+
 @contextmanager
 def small_batches(spark: SparkSession, rows: int) -> Iterator[None]:
     """Arrow batches of at most ``rows`` rows for what is executed inside; rows with whole texts or sets are large."""

@@ -38,3 +38,14 @@ def test_empty_documents(spark, n):
     docs = spark.read.parquet(f"{TINY}/documents.parquet").limit(n)
     for _, stage in P.STAGES:
         assert stage(spark, docs, TINY).count() == 0
+
+
+def test_executors_give_memory_back_before_token_files(spark):
+    def collected():
+        beans = spark._jvm.java.lang.management.ManagementFactory.getGarbageCollectorMXBeans()
+        return sum(b.getCollectionCount() for b in beans if "Old" in b.getName() or "MarkSweep" in b.getName())
+
+    docs = spark.createDataFrame([(1, "a b c d"), (2, None)], "doc_id bigint, text string")
+    before = collected()
+    assert P.token_stage(spark, docs, TINY).count() == 2
+    assert collected() > before
