@@ -10,6 +10,7 @@ from collections.abc import Callable, Iterator
 from contextlib import contextmanager
 
 import pyarrow as pa
+from py4j.protocol import Py4JError
 from pyspark.sql import Column, DataFrame, SparkSession
 from pyspark.sql import functions as F
 
@@ -87,15 +88,38 @@ def cut(df: DataFrame) -> DataFrame:
 
 def tidy(spark: SparkSession) -> None:
     """Files of shuffles and checkpoints that nothing refers to go when the driver's JVM collects garbage, which by itself
-    may be long after; this asks for it before a step that needs much disk."""
+    may be long after; this asks for it before a step that needs much disk or has many tasks, whose events fill the
+    driver's heap, and gives what the driver has freed back to the system."""
     gc.collect()
     spark.sparkContext._jvm.System.gc()
+    trim_driver(spark)
+
+
+def trim_driver(spark: SparkSession) -> bool:
+    """The driver's JVM gives native memory that its compiler threads have freed back to the system, beside a heap that
+    many stages' events have filled. False on a JVM without that command (before 17.0.9, or not on Linux's malloc)."""
+    gateway, jvm = spark.sparkContext._gateway, spark.sparkContext._jvm
+    try:
+        named = jvm.java.lang.Class.forName
+        kinds = gateway.new_array(jvm.java.lang.Class, 4)
+        for i, x in enumerate(("javax.management.ObjectName", "java.lang.String", "[Ljava.lang.Object;", "[Ljava.lang.String;")):
+            kinds[i] = named(x)
+        given = gateway.new_array(jvm.java.lang.Object, 4)
+        given[0], given[1] = jvm.javax.management.ObjectName("com.sun.management:type=DiagnosticCommand"), "systemTrimNativeHeap"
+        given[2], given[3] = gateway.new_array(jvm.java.lang.Object, 1), gateway.new_array(jvm.java.lang.String, 1)
+        given[2][0], given[3][0] = gateway.new_array(jvm.java.lang.String, 0), "[Ljava.lang.String;"
+        # by the interface's method, as the server's own class is closed to reflection
+        named("javax.management.MBeanServer").getMethod("invoke", kinds).invoke(jvm.java.lang.management.ManagementFactory.getPlatformMBeanServer(), given)
+    except Py4JError:
+        return False
+    return True
 
 
 def lighten(spark: SparkSession) -> None:
-    """Executors' JVMs collect their garbage and give the heap's empty part back to the system, so that what earlier steps
+    """The driver (see ``tidy``) and the executors' JVMs collect their garbage and give the heap's empty part back to the system, so that what earlier steps
     left there does not stand beside the memory of the Python workers to come. A task for each core, all at once; an
     executor that none of them meets keeps its heap as it is."""
+    tidy(spark)
     cores = spark.sparkContext.defaultParallelism
     spark.range(0, cores, 1, cores).selectExpr("reflect('java.lang.System', 'gc') AS done").write.format("noop").mode("overwrite").save()
 

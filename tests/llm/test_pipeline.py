@@ -1,7 +1,7 @@
 import pytest
 
 import corpus_pipeline as P
-from rankscan.llm import decontaminate, ngramjoin
+from rankscan.llm import common, decontaminate, ngramjoin
 from tests.conftest import TINY
 
 
@@ -49,3 +49,27 @@ def test_executors_give_memory_back_before_token_files(spark):
     before = collected()
     assert P.token_stage(spark, docs, TINY).count() == 2
     assert collected() > before
+
+
+def test_near_duplicate_stage_runs_the_join_once(spark, monkeypatch):
+    """What the stage reads three times is materialised: no shuffle of the join is left in its plan."""
+    plans, held = [], ngramjoin.one_of_each
+
+    def one_of_each(joined):
+        plans.append(joined._jdf.queryExecution().executedPlan().toString())
+        return held(joined)
+
+    monkeypatch.setattr(ngramjoin, "one_of_each", one_of_each)
+    docs = spark.createDataFrame([(1, "a b c d"), (2, "a b c d"), (3, "e f g")], "doc_id bigint, text string")
+    assert sorted(r[0] for r in P.ngram_stage(spark, docs, TINY).collect()) == [1, 3]
+    assert len(plans) == 1 and "Exchange" not in plans[0]
+
+
+def test_the_driver_gives_freed_native_memory_back_in_each_stage(spark, monkeypatch):
+    given, trim = [], common.trim_driver
+    monkeypatch.setattr(common, "trim_driver", lambda session: given.append(trim(session)))
+    docs = spark.createDataFrame([(1, "a b c d", "x"), (2, None, "y")], "doc_id bigint, text string, source string")
+    for name, stage in P.STAGES:
+        given.clear()
+        stage(spark, docs, TINY).count()
+        assert given and all(given), name
