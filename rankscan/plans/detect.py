@@ -22,9 +22,10 @@ def detect_events(
     The whole plane is searched unless told otherwise; ``auto`` and ``powell`` are approximate (see ``search_segments``).
     Scores equal to ``digits`` decimals are ties throughout, which go to the earliest.
 
-    ``series``: (series_id, t, value). A series without a valid value yields nothing.
+    ``series``: (series_id, t, value). Points without a value make gaps: a region's s is the time of its last point less
+    w - 1. NaN is the greatest value, or left out if a line is taken off. A series without a valid value yields nothing.
     """
-    packed = segment(series.select("series_id", "t", "value"), n_s, w_max, short=short)
+    packed = segment(series.select("series_id", "t", "value"), n_s, w_max, short=short, nan=detrend == "none")
     output = "best" if per_series == "best" and rank else "regions"
     found = search_segments(packed, w_max, w_min, score, search, restarts, theta, law, samples, detrend, ties, alpha, seed, output=output, n_s=n_s, digits=digits)
     if output == "best":
